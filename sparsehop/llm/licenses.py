@@ -43,17 +43,18 @@ def templates(spark, phrases: dict[str, str] = PHRASES, wordings: dict[str, str]
 
 
 def _grams(words: str):
+    """Each rolling k-gram as its words; only these leave the explode, never the whole list again."""
     n = F.size(words)
-    return F.transform(F.sequence(F.lit(1), F.greatest(n - (K - 1), F.lit(1))), lambda i: F.xxhash64(F.slice(words, i, K)))
+    return F.transform(F.sequence(F.lit(1), F.greatest(n - (K - 1), F.lit(1))), lambda i: F.concat_ws(" ", F.slice(words, i, K)))
 
 
 def license_spans(docs: DataFrame, table: DataFrame) -> DataFrame:
     """Verified spans: doc_id, text_id, template, label, phrase, first and last word (inclusive), share."""
     words = docs.select("doc_id", F.xxhash64(common.text_of()).alias("text_id"), common.word_list(common.text_of()).alias("words"))
-    spots = table.select("template", "label", "phrase", F.size("t_words").alias("t_len"), F.posexplode(_grams("t_words")).alias("t_at", "gram"), "t_words").filter(F.size("t_words") >= K)
-    grams = words.filter(F.size("words") >= K).select("doc_id", "text_id", "words", F.posexplode(_grams("words")).alias("at", "gram"))
+    spots = table.select("template", "label", "phrase", F.size("t_words").alias("t_len"), F.posexplode(_grams("t_words")).alias("t_at", "t_gram")).filter(F.col("t_len") >= K).withColumn("hash", F.xxhash64("t_gram"))
+    grams = words.filter(F.size("words") >= K).select("doc_id", "text_id", F.posexplode(_grams("words")).alias("at", "gram")).withColumn("hash", F.xxhash64("gram"))
     # the words that stand at the hit, compared with the template's own: a hash alone proves nothing
-    hits = grams.join(F.broadcast(spots), "gram").filter(F.slice("words", F.col("at") + 1, K) == F.slice("t_words", F.col("t_at") + 1, K))
+    hits = grams.join(F.broadcast(spots), "hash").filter(F.col("gram") == F.col("t_gram"))
     hits = hits.select("doc_id", "text_id", "template", "label", "phrase", "t_len", "at", "t_at", (F.col("at") - F.col("t_at")).alias("diagonal")).distinct()
     # one row a diagonal: votes and the words that it covers
     by = ["doc_id", "text_id", "template", "label", "phrase", "t_len"]
