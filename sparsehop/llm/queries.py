@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, licenses, secrets
+from . import bpe, decontaminate, licenses, media, secrets
 
 QUERIES = {
     "op1_license_scan": licenses.query,
     "op5_secret_scan": secrets.query,
+    "op7_media": media.query,
     "op9_decontaminate": decontaminate.query,
     "op10_bpe": bpe.query,
 }
