@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, licenses, media, secrets
+from . import bpe, decontaminate, licenses, media, secrets, toxicity
 
 QUERIES = {
     "op1_license_scan": licenses.query,
+    "op3_toxicity": toxicity.query,
     "op5_secret_scan": secrets.query,
     "op7_media": media.query,
     "op9_decontaminate": decontaminate.query,
