@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, licenses, media, secrets, toxicity
+from . import bpe, decontaminate, licenses, media, neardup, secrets, toxicity
 
 QUERIES = {
     "op1_license_scan": licenses.query,
     "op3_toxicity": toxicity.query,
+    "op4_jaccard_join": neardup.query,
     "op5_secret_scan": secrets.query,
     "op7_media": media.query,
     "op9_decontaminate": decontaminate.query,
     "op10_bpe": bpe.query,
 }
-SQL = {"op5_secret_scan": secrets.ORACLE, "op9_decontaminate": decontaminate.ORACLE}
+SQL = {"op4_jaccard_join": neardup.ORACLE, "op5_secret_scan": secrets.ORACLE, "op9_decontaminate": decontaminate.ORACLE}
