@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, licenses, media, neardup, secrets, toxicity
+from . import bpe, decontaminate, licenses, media, neardup, secrets, suffix, toxicity
 
 QUERIES = {
     "op1_license_scan": licenses.query,
+    "op2_suffix_dedup": suffix.query,
     "op3_toxicity": toxicity.query,
     "op4_jaccard_join": neardup.query,
     "op5_secret_scan": secrets.query,
