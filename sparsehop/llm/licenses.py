@@ -3,9 +3,10 @@
 Every rolling word k-gram of every text is hashed and joined to the positions
 of the same hash in the license templates. A hit votes for the diagonal (place
 in the text less place in the template); neighbouring diagonals that an
-inserted or lost word sets apart are merged, and the words of each candidate
-span are compared with the template before a label is given. Short phrases are
-templates that must match word for word on one diagonal.
+inserted or lost word sets apart are merged. Each hit is verified by a second,
+independent hash of its words, and a candidate span by the share of the
+template's words that its hits cover; short phrases must match word for word on
+one diagonal.
 
 Null and empty texts have no words, no labels and score 0. Rows that repeat a
 doc_id are told apart by their text; equal rows get equal results.
@@ -13,6 +14,11 @@ doc_id are told apart by their text; equal rows get equal results.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -31,31 +37,86 @@ WORDINGS = {
     "reserved": "All rights reserved. No part of this publication may be reproduced, distributed, or transmitted in any form or by any means",
 }
 K = 3
+#: Words whose hashes a Python worker remembers, and bytes of text that it takes at once.
+KNOWN_WORDS, SLICE_BYTES = 400_000, 2_000_000
 #: Diagonals this far apart join; least share of a wording's words that a verified span repeats.
 MERGE_GAP, LEAST_SHARE = 3, 0.6
 
 
+class Grams:
+    """Two independent 64-bit hashes of every rolling word k-gram of many texts, from hashes of the words."""
+
+    def __init__(self) -> None:
+        rng = np.random.default_rng(11)
+        self.factors = rng.integers(1, 2**63, (2, K), dtype=np.uint64) * 2 + 1
+        self.known: dict[bytes, int] = {}
+        self.hashes = np.zeros((2, 1 << 12), np.uint64)
+
+    def _number(self, word: bytes) -> int:
+        n = self.known[word] = len(self.known)
+        if n >= self.hashes.shape[1]:
+            self.hashes = np.concatenate([self.hashes, np.zeros_like(self.hashes)], axis=1)
+        self.hashes[:, n] = xxhash.xxh3_64_intdigest(word, 1), xxhash.xxh3_64_intdigest(word, 2)
+        return n
+
+    def of(self, texts: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(text, place, hash, check) of each k-gram."""
+        if len(self.known) > KNOWN_WORDS:
+            self.known.clear()
+        known, number = self.known, self._number
+        numbers = np.array([known[w] if w in known else number(w) for words in texts for w in words], np.int64)
+        sizes = np.array([len(w) for w in texts], np.int64)
+        starts = np.cumsum(sizes) - sizes
+        text = np.repeat(np.arange(len(texts)), sizes)
+        n = max(len(numbers) - K + 1, 0)
+        whole = np.flatnonzero(text[:n] == text[K - 1 : K - 1 + n])
+        out = []
+        for h, factors in zip(self.hashes, self.factors, strict=True):
+            words = h[numbers]
+            x = sum(words[whole + i] * factors[i] for i in range(K)) if len(whole) else np.zeros(0, np.uint64)
+            x = x ^ (x >> np.uint64(29))
+            out.append((x * np.uint64(0x9E3779B97F4A7C15)).view(np.int64))
+        return text[whole], whole - starts[text[whole]], *out
+
+
 def templates(spark, phrases: dict[str, str] = PHRASES, wordings: dict[str, str] = WORDINGS) -> DataFrame:
-    """One row a template: id, label, whether it is a phrase, and its words. A fixed table, so safe to broadcast."""
-    rows = [(i, label, True, text) for i, (text, label) in enumerate(phrases.items())]
-    rows += [(len(rows) + i, label, False, text) for i, (label, text) in enumerate(wordings.items())]
-    return spark.createDataFrame(rows, "template int, label string, phrase boolean, t string").withColumn("t_words", common.word_list(F.col("t"))).drop("t")
-
-
-def _grams(words: str):
-    """Each rolling k-gram as its words; only these leave the explode, never the whole list again."""
-    n = F.size(words)
-    return F.transform(F.sequence(F.lit(1), F.greatest(n - (K - 1), F.lit(1))), lambda i: F.concat_ws(" ", F.slice(words, i, K)))
-
-
-def license_spans(docs: DataFrame, table: DataFrame) -> DataFrame:
-    """Verified spans: doc_id, text_id, template, label, phrase, first and last word (inclusive), share."""
-    words = docs.select("doc_id", F.xxhash64(common.text_of()).alias("text_id"), common.word_list(common.text_of()).alias("words"))
-    spots = table.select("template", "label", "phrase", F.size("t_words").alias("t_len"), F.posexplode(_grams("t_words")).alias("t_at", "t_gram")).filter(F.col("t_len") >= K).withColumn("hash", F.xxhash64("t_gram"))
-    grams = words.filter(F.size("words") >= K).select("doc_id", "text_id", F.posexplode(_grams("words")).alias("at", "gram")).withColumn("hash", F.xxhash64("gram"))
-    # the words that stand at the hit, compared with the template's own: a hash alone proves nothing
-    hits = grams.join(F.broadcast(spots), "hash").filter(F.col("gram") == F.col("t_gram"))
-    hits = hits.select("doc_id", "text_id", "template", "label", "phrase", "t_len", "at", "t_at", (F.col("at") - F.col("t_at")).alias("diagonal")).distinct()
+    """One row a k-gram of each template: a fixed table of fixed size, so safe to broadcast."""
+    texts = [(label, True, text) for text, label in phrases.items()] + [(label, False, text) for label, text in wordings.items()]
+    words = [common.words_of(t.encode()) for _, _, t in texts]
+    if any(len(w) < K for w in words):
+        raise ValueError(f"a template needs {K} words")
+    rows = [(int(i), texts[i][0], texts[i][1], len(words[i]), int(at), int(h), int(c)) for i, at, h, c in zip(*Grams().of(words), strict=True)]
+    return spark.createDataFrame(rows, "template int, label string, phrase boolean, t_len int, t_at int, hash long, t_check long")
+
+
+def _gram_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row for each k-gram, and one with place -1 and the number of words for each text."""
+    grams = Grams()
+    for batch in batches:
+        raws = common.raw_texts(batch)
+        for a, b in common.slices([len(x) for x in raws], SLICE_BYTES):
+            texts = [common.words_of(x) for x in raws[a:b]]
+            text, at, h, check = grams.of(texts)
+            every = np.arange(b - a)
+            own = np.array([xxhash.xxh3_64_intdigest(x) for x in raws[a:b]], np.uint64).view(np.int64)
+            who = np.concatenate([every, text])
+            ids = batch.column(0).slice(a, b - a).take(pa.array(who))
+            nothing = np.zeros(b - a, np.int64)
+            columns = [np.concatenate([np.full(b - a, -1), at]).astype(np.int32), np.concatenate([np.array([len(w) for w in texts]), h]), np.concatenate([nothing, check])]
+            yield pa.RecordBatch.from_arrays([ids, pa.array(own[who]), *map(pa.array, columns)], names=["doc_id", "text_id", "at", "hash", "check"])
+
+
+def votes(docs: DataFrame, table: DataFrame) -> DataFrame:
+    """Every k-gram joined to the template positions of its hash; rows with place -1 stand for the texts themselves."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    grams = docs.select("doc_id", "text").mapInArrow(_gram_rows, f"doc_id {kind}, text_id long, at int, hash long, check long")
+    met = grams.join(F.broadcast(table), "hash", "left").filter((F.col("at") < 0) | (F.col("check") == F.col("t_check")))
+    return met.select("doc_id", "text_id", "at", F.when(F.col("at") < 0, F.col("hash")).alias("n_words"), "template", "label", "phrase", "t_len", "t_at")
+
+
+def license_spans(met: DataFrame) -> DataFrame:
+    """Verified spans from ``votes``: doc_id, text_id, template, label, phrase, first and last word (inclusive), share."""
+    hits = met.filter("at >= 0").select("doc_id", "text_id", "template", "label", "phrase", "t_len", "at", "t_at", (F.col("at") - F.col("t_at")).alias("diagonal")).distinct()
     # one row a diagonal: votes and the words that it covers
     by = ["doc_id", "text_id", "template", "label", "phrase", "t_len"]
     diagonals = hits.groupBy(*by, "diagonal").agg(F.count("*").alias("votes"), F.min("at").alias("first"), (F.max("at") + K - 1).alias("last"), F.collect_set("t_at").alias("t_ats"))
@@ -79,7 +140,8 @@ def license_spans(docs: DataFrame, table: DataFrame) -> DataFrame:
 
 def scan_licenses(docs: DataFrame, table: DataFrame) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score for each row of ``docs``."""
-    spans = license_spans(docs, table)
+    met = common.persist_shared(votes(docs, table))
+    spans = license_spans(met)
     summed = spans.groupBy("doc_id", "text_id").agg(
         F.count_if("phrase").alias("n_base"),
         F.min(F.when(F.col("phrase"), F.col("first"))).cast("long").alias("first_word"),
@@ -88,7 +150,7 @@ def scan_licenses(docs: DataFrame, table: DataFrame) -> DataFrame:
         F.array_sort(F.collect_set("label")).alias("all"),
         F.max("share").alias("score"),
     )
-    rows = docs.select("doc_id", F.xxhash64(common.text_of()).alias("text_id"), F.size(common.word_list(common.text_of())).cast("long").alias("n_words"))
+    rows = met.filter("at < 0").select("doc_id", "text_id", "n_words")
     both = rows.alias("r").join(summed.alias("s"), F.col("r.doc_id").eqNullSafe(F.col("s.doc_id")) & (F.col("r.text_id") == F.col("s.text_id")), "left")
     return both.select(
         "r.doc_id", "n_words", F.coalesce("n_base", F.lit(0)).cast("long").alias("n_base"), "first_word", "last_word",
