@@ -27,16 +27,15 @@ MIN_CHARS, MAX_EDITS = 20, 2
 OWN = ("n_lines", "n_removed")
 
 
-def _place() -> Column:
-    """Order of lines over the corpus; null documents come first."""
-    return F.coalesce(F.col("doc_id").cast("decimal(38,0)"), F.lit(-(2**63)).cast("decimal(38,0)")) * F.lit(2**31).cast("decimal(10,0)") + F.col("line_no").cast("decimal(10,0)")
+def occurrences(docs: DataFrame, edits: int | None = None) -> DataFrame:
+    """h1, h2 (hashes of the line) and place of every line that is long enough; with ``edits``, also its index and probe keys.
 
-
-def occurrences(docs: DataFrame) -> DataFrame:
-    """doc_id, line_no, line, place and two hashes of every line that is long enough."""
+    A place is (doc_id, line_no), in the order of the corpus; null documents come first. The lines themselves go no further.
+    """
     split = docs.select("doc_id", F.posexplode(F.split(common.text_of(), "\n", -1)).alias("line_no", "line"))
     long = split.filter(F.char_length("line") >= MIN_CHARS)
-    return long.withColumns({"place": _place().cast("decimal(38,0)"), "h1": F.xxhash64("line"), "h2": F.xxhash64(F.lit(1), "line")})
+    keys = [] if edits is None else [F.array(*index_keys(F.col("line"), edits)).alias("index"), F.array(*probe_keys(F.col("line"), edits)).alias("probes")]
+    return long.select(F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), F.struct("doc_id", "line_no").alias("place"), *keys)
 
 
 def _bounds(length: Column, segment: int, edits: int) -> tuple[Column, Column]:
@@ -52,12 +51,12 @@ def _key(line: Column, segment: int, length: Column, start: Column, size: Column
     return F.xxhash64(F.lit(segment), length, F.substring(line, start + 1, size))
 
 
-def index_keys(line: Column, edits: int) -> Column:
+def index_keys(line: Column, edits: int) -> list[Column]:
     length = F.char_length(line)
-    return F.array(*[_key(line, s, length, *_bounds(length, s, edits)) for s in range(edits + 1)])
+    return [_key(line, s, length, *_bounds(length, s, edits)) for s in range(edits + 1)]
 
 
-def probe_keys(line: Column, edits: int) -> Column:
+def probe_keys(line: Column, edits: int) -> list[Column]:
     """Keys of the substrings at which a line no longer than this one may have its segments.
 
     With d characters less and s segments before it, a segment lies at most s places to the left
@@ -73,7 +72,7 @@ def probe_keys(line: Column, edits: int) -> Column:
                     at = start + shift
                     fits = (other > 0) & (at >= 0) & (at + size <= length)
                     keys.append(F.when(fits, _key(line, s, other, at, size)))
-    return F.array_distinct(F.array_compact(F.array(*keys)))
+    return keys
 
 
 def banded_distance(pattern: Column, text: Column, edits: int) -> Column:
@@ -111,29 +110,40 @@ def banded_distance(pattern: Column, text: Column, edits: int) -> Column:
     return F.aggregate(F.sequence(F.lit(1), n), first, step, lambda s: s["score"])
 
 
-def near_pairs(lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
-    """(a, b): places' hashes h1 of distinct lines within ``edits`` edits, b no longer than a; verified on the whole lines."""
-    index = lines.select(F.col("h1").alias("b"), F.explode(index_keys(F.col("line"), edits)).alias("key"))
-    probes = lines.select(F.col("h1").alias("a"), F.explode(probe_keys(F.col("line"), edits)).alias("key"))
-    met = probes.join(index, "key").filter("a <> b").select("a", "b").distinct()
-    left = lines.select(F.col("h1").alias("a"), F.col("h2").alias("a2"), F.col("line").alias("x"), F.col("first").alias("a_first"))
-    right = lines.select(F.col("h1").alias("b"), F.col("h2").alias("b2"), F.col("line").alias("y"), F.col("first").alias("b_first"))
-    both = met.join(left, "a").join(right, "b")
-    return both.filter(banded_distance(F.col("y"), F.col("x"), edits) <= edits).select("a", "a2", "a_first", "b", "b2", "b_first")
+def meeting_pairs(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+    """(a, b): hashes h1 of distinct lines of which b, no longer than a, has a segment that a holds in its place."""
+    lines = occurrences(docs, edits).groupBy("h1", "h2").agg(F.first("index").alias("index"), F.first("probes").alias("probes"))
+    index = lines.select(F.col("h1").alias("b"), F.explode("index").alias("key"))
+    probes = lines.select(F.col("h1").alias("a"), F.explode("probes").alias("key")).filter("key IS NOT NULL")
+    return probes.join(index, "key").filter("a <> b").select("a", "b").distinct()
+
+
+def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+    """(h1, h2) of the distinct lines that have another within ``edits`` edits before them; ``lines`` has h1, h2, first and n."""
+    ends = lines.select("h1", "h2", "first")
+    met = meeting_pairs(docs, edits)
+    met = met.join(ends.select(F.col("h1").alias("a"), F.col("h2").alias("a2"), F.col("first").alias("a_first")), "a")
+    met = common.persist_shared(met.join(ends.select(F.col("h1").alias("b"), F.col("h2").alias("b2"), F.col("first").alias("b_first")), "b").filter("a_first <> b_first"))
+    # the texts of these lines alone, from the documents where they stand first
+    spots = met.select(F.explode(F.array("a_first", "b_first")).alias("at")).groupBy(F.col("at.doc_id").alias("id")).agg(F.collect_set("at.line_no").alias("wanted"))
+    texts = docs.select("doc_id", "text").join(spots, F.col("doc_id").eqNullSafe(F.col("id")))
+    read = texts.select("doc_id", F.split(common.text_of(), "\n", -1).alias("pieces"), F.explode("wanted").alias("line_no"))
+    found = read.select(F.struct("doc_id", "line_no").alias("place"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line")).distinct()
+    found = common.persist_shared(found)
+    left = found.select(F.col("place").alias("a_first"), F.col("h1").alias("a"), F.col("line").alias("x"))
+    right = found.select(F.col("place").alias("b_first"), F.col("h1").alias("b"), F.col("line").alias("y"))
+    both = met.join(left, ["a", "a_first"]).join(right, ["b", "b_first"]).filter(banded_distance(F.col("y"), F.col("x"), edits) <= edits)
+    later = F.when(F.col("a_first") > F.col("b_first"), F.struct(F.col("a").alias("h1"), F.col("a2").alias("h2"))).otherwise(F.struct(F.col("b").alias("h1"), F.col("b2").alias("h2")))
+    return both.select(later.alias("line")).select("line.h1", "line.h2").distinct()
 
 
 def removed_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     """(doc_id, line_no) of every line that goes, once each."""
-    seen = occurrences(docs)
-    lines = common.persist_shared(seen.groupBy("line", "h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("n")))
-    pairs = near_pairs(lines, edits)
-    later = pairs.select(
-        F.when(F.col("a_first") > F.col("b_first"), F.struct(F.col("a").alias("h1"), F.col("a2").alias("h2"))).when(F.col("b_first") > F.col("a_first"), F.struct(F.col("b").alias("h1"), F.col("b2").alias("h2"))).alias("line")
-    )
-    near = later.filter("line IS NOT NULL").select("line.h1", "line.h2").distinct().withColumn("near", F.lit(True))
-    judged = lines.select("h1", "h2", "first", "n").join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
-    gone = seen.select("doc_id", "line_no", "place", "h1", "h2").join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
-    return gone.select("doc_id", "line_no").distinct()
+    lines = occurrences(docs).groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("n"))
+    near = near_lines(docs, lines, edits).withColumn("near", F.lit(True))
+    judged = lines.join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
+    gone = occurrences(docs).join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
+    return gone.select("place.doc_id", "place.line_no").distinct()
 
 
 def dedup_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
