@@ -43,7 +43,7 @@ SPREAD = WINDOW - GRAM + 1
 #: Distinct contexts of an anchor that one suffix array takes; anchors beyond go window by window.
 MOST_CONTEXTS = 2_000
 #: Bytes of text that are hashed at once, and of contexts that share one suffix array.
-SLICE_BYTES, ARRAY_BYTES = 4_000_000, 1_000_000
+SLICE_BYTES, ARRAY_BYTES = 600_000, 500_000
 
 RUN = "anchor bigint, c1 bigint, c2 bigint, doc bigint, start int, windows int"
 FOUND = "kind int, doc bigint, start int, length int, anchor bigint"
