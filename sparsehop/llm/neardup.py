@@ -11,8 +11,9 @@ signatures and set sizes leave the threshold possible; its Jaccard similarity
 is then computed from the whole sets.
 
 Prefix groups of more than ``BLOCK`` sets are split into salted blocks, and
-each pair of blocks is one unit of work: no task holds an unbounded group, no
-group is capped, and candidate pairs that fail the signatures are never rows.
+each pair of blocks is one unit of work: no task holds an unbounded group and no
+group is capped. Pairs are never rows: a unit gives each member's number of links
+and the least member that its links lead to, which is all that classes need.
 
 Null and empty texts have no shingles; they link with nothing and are classes
 of their own. Repeated rows and equal texts belong to one class. The links of a
@@ -99,55 +100,112 @@ def sign(docs: DataFrame, depth: int) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, {SIGNED}")
 
 
-def _compare(threshold: float):
-    """Pairs inside one block, or across two, that may reach the threshold."""
-    least = least_agreement(threshold)
+class Unit:
+    """Members of one prefix group, or of two of its blocks: who may link with whom.
 
-    def pairs_of(tree: int, left: tuple, right: tuple | None) -> Iterator[np.ndarray]:
-        ids, sizes, paths, signatures = left
-        ids2, sizes2, paths2, signatures2 = right or left
-        for i in range(len(ids)):
-            low = i + 1 if right is None else 0
-            fits = np.minimum(sizes[i], sizes2[low:]) >= threshold * np.maximum(sizes[i], sizes2[low:])
-            fits &= ~(paths[i, :tree] == paths2[low:, :tree]).any(1)
-            near = np.flatnonzero(fits)
+    A pair counts in the first tree in which it meets, so once in all units.
+    """
+
+    def __init__(self, tree: int, low: int, high: int, rows: list[tuple], threshold: float) -> None:
+        self.tree, self.one, self.threshold = tree, low == high, threshold
+        self.block = np.array([r[0] for r in rows])
+        self.ids = np.array([r[1] for r in rows])
+        self.sizes = np.array([r[2] for r in rows])
+        self.paths = np.array([r[3] for r in rows])
+        self.signatures = np.frombuffer(b"".join([r[4] for r in rows]), np.uint8).reshape(-1, HASHES)
+        self.least = least_agreement(threshold)
+        self.low = low
+
+    def partners(self) -> Iterator[tuple[int, np.ndarray]]:
+        """(member, later members) that the signatures and sizes leave possible."""
+        other = None if self.one else np.flatnonzero(self.block != self.low)
+        for i in range(len(self.ids)) if self.one else np.flatnonzero(self.block == self.low).tolist():
+            near = np.arange(i + 1, len(self.ids)) if self.one else other
+            fits = np.minimum(self.sizes[i], self.sizes[near]) >= self.threshold * np.maximum(self.sizes[i], self.sizes[near])
+            near = near[fits & ~(self.paths[i, : self.tree] == self.paths[near, : self.tree]).any(1)]
             if near.size:
-                near = near[(signatures[i] == signatures2[low:][near]).sum(1) >= least]
+                near = near[(self.signatures[i] == self.signatures[near]).sum(1) >= self.least]
                 if near.size:
-                    yield np.stack([np.full(near.size, ids[i]), ids2[low:][near]])
+                    yield i, near
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, held = None, []
-
-        def finish() -> Iterator[pa.RecordBatch]:
-            tree, _, low, high = key
-            packed = {}
-            for side in {low, high}:
-                rows = [r for r in held if r[0] == side]
-                if rows:
-                    packed[side] = (np.array([r[1] for r in rows]), np.array([r[2] for r in rows]), np.array([r[3] for r in rows]), np.frombuffer(b"".join(r[4] for r in rows), np.uint8).reshape(-1, HASHES))
-            if low in packed and high in packed:
-                found = [*pairs_of(tree, packed[low], None if low == high else packed[high])]
-                if found:
-                    a, b = np.concatenate(found, axis=1)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["a", "b"])
 
-        for batch in batches:
-            columns = [batch.column(i).to_pylist() for i in range(9)]
-            for tree, path, low, high, *row in zip(*columns, strict=True):
-                if key != (tree, path, low, high):
-                    if len(held) > 1:
-                        yield from finish()
-                    key, held = (tree, path, low, high), []
-                held.append(row)
-        if len(held) > 1:
-            yield from finish()
+def _units(batches: Iterator[pa.RecordBatch], make):
+    """Runs of rows that share (tree, path, low, high), passed on as lists; the next list starts with the next unit."""
+    key, held = None, []
+    for batch in batches:
+        for tree, path, low, high, *row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            if key != (tree, path, low, high):
+                if len(held) > 1:
+                    yield from make(key, held)
+                key, held = (tree, path, low, high), []
+            held.append(row)
+    if len(held) > 1:
+        yield from make(key, held)
 
-    return run
 
+def _meet(threshold: float):
+    """Members of each unit that have a possible partner there: rows as many as members, never as pairs."""
 
-def candidates(sets: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """Pairs (a, b) of distinct sets that share a prefix and may reach the threshold; each pair once.
+    def make(key, held) -> Iterator[pa.RecordBatch]:
+        unit, some = Unit(key[0], key[2], key[3], held, threshold), set()
+        for i, near in unit.partners():
+            some.add(i)
+            some.update(near.tolist())
+        if some:
+            rows = sorted(some)
+            arrays = [pa.array([key[0]] * len(rows), pa.int32()), pa.array([key[1]] * len(rows), pa.int64()), *(pa.array([key[k]] * len(rows), pa.int32()) for k in (2, 3))]
+            yield pa.RecordBatch.from_arrays([*arrays, pa.array(unit.block[rows].astype(np.int32)), pa.array(unit.ids[rows])], names=["tree", "path", "low", "high", "block", "set"])
+
+    return lambda batches: _units(batches, make)
+
+
+def _link(threshold: float):
+    """For each member of a unit, its links there (copies counted) and the least member that links lead to.
+
+    The pairs of the signatures are checked on whole sets: one member's shingles are
+    flagged in the unit's dictionary, and its partners' flags are summed.
+    """
+
+    def make(key, held) -> Iterator[pa.RecordBatch]:
+        unit = Unit(key[0], key[2], key[3], held, threshold)
+        copies, sets = np.array([r[5] for r in held]), [np.frombuffer(r[6], np.uint64) for r in held]
+        words, codes = np.unique(np.concatenate(sets), return_inverse=True)
+        ends = np.cumsum([len(x) for x in sets])
+        codes = np.split(codes, ends[:-1])
+        flags, links, root = np.zeros(len(words), np.int64), np.zeros(len(sets), np.int64), list(range(len(sets)))
+
+        def find(x: int) -> int:
+            while root[x] != x:
+                root[x] = root[root[x]]
+                x = root[x]
+            return x
+
+        for i, near in unit.partners():
+            flags[codes[i]] = 1
+            theirs = [codes[j] for j in near]
+            sizes = unit.sizes[near]
+            both = np.add.reduceat(flags[np.concatenate(theirs)], np.cumsum(sizes) - sizes)
+            flags[codes[i]] = 0
+            for j in near[both >= threshold * (unit.sizes[i] + sizes - both) - 1e-9].tolist():
+                links[i] += copies[j]
+                links[j] += copies[i]
+                x, y = find(i), find(j)
+                if x != y:
+                    x, y = (x, y) if unit.ids[x] < unit.ids[y] else (y, x)
+                    root[y] = x
+        rows = np.flatnonzero(links)
+        if len(rows):
+            least = unit.ids[[find(i) for i in rows.tolist()]]
+            yield pa.RecordBatch.from_arrays([pa.array(unit.ids[rows]), pa.array(links[rows]), pa.array(least)], names=["set", "links", "least"])
+
+    return lambda batches: _units(batches, make)
+
+
+UNIT = ["tree", "path", "low", "high"]
+
+
+def meetings(sets: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """(tree, path, low, high, block, set): members of prefix groups, dealt into pairs of blocks, with a possible partner.
 
     ``sets`` has set (long), n, paths and signature.
     """
@@ -158,27 +216,14 @@ def candidates(sets: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     # a member of block i works in the pairs (i, j) and (j, i) of blocks; low <= high names the pair
     units = placed.select("tree", "path", "set", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
     units = units.select("tree", "path", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "set")
-    full = units.join(sets.select("set", "n", "paths", "signature"), "set").select("tree", "path", "low", "high", "block", "set", "n", "paths", "signature")
-    ready = full.repartition("tree", "path", "low", "high").sortWithinPartitions("tree", "path", "low", "high")
-    return ready.mapInArrow(_compare(threshold), "a long, b long")
-
-
-def _verify(threshold: float):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = []
-            for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-                a, b = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                both = np.intersect1d(a, b, assume_unique=True).size
-                keep.append(both >= threshold * (len(a) + len(b) - both) - 1e-9)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
-
-    return run
+    full = units.join(sets.select("set", "n", "paths", "signature"), "set").select(*UNIT, "block", "set", "n", "paths", "signature")
+    ready = full.repartition(*UNIT).sortWithinPartitions(*UNIT)
+    return ready.mapInArrow(_meet(threshold), "tree int, path long, low int, high int, block int, set long")
 
 
-def links(docs: DataFrame, sets: DataFrame, pairs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The pairs of sets whose whole shingle sets reach the threshold."""
-    needed = pairs.select(F.explode(F.array("a", "b")).alias("set")).distinct()
+def links(docs: DataFrame, sets: DataFrame, met: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """(set, links, least): links of each set to other sets, counted on the whole shingle sets, unit by unit."""
+    needed = met.select("set").distinct()
     spots = sets.join(needed, "set").select("set", "doc_id", "set_id")
     texts = docs.select("doc_id", "text").join(spots, "doc_id").select("set", "set_id", "text")
 
@@ -190,8 +235,9 @@ def links(docs: DataFrame, sets: DataFrame, pairs: DataFrame, threshold: float =
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.binary())], names=["set", "hashes"]).filter(pa.array(mine, pa.bool_()))
 
     hashes = common.persist_shared(texts.mapInArrow(whole, "set long, hashes binary").dropDuplicates(["set"]))
-    left, right = hashes.select(F.col("set").alias("a"), F.col("hashes").alias("x")), hashes.select(F.col("set").alias("b"), F.col("hashes").alias("y"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(_verify(threshold), "a long, b long")
+    full = met.join(sets.select("set", "n", "paths", "signature", "copies"), "set").join(hashes, "set")
+    ready = full.select(*UNIT, "block", "set", "n", "paths", "signature", "copies", "hashes").repartition(*UNIT).sortWithinPartitions(*UNIT)
+    return ready.mapInArrow(_link(threshold), "set long, links long, least long")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -219,12 +265,10 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     # doc_id alone cannot name a set: rows may repeat it with other texts
     grouped = signed.filter("n > 0").groupBy("set_id").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("copies"), F.first("n").alias("n"), F.first("paths").alias("paths"), F.first("signature").alias("signature"))
     sets = common.persist_shared(grouped.withColumn("set", F.xxhash64("set_id")))
-    pairs = common.persist_shared(candidates(sets, threshold))
-    found = common.persist_shared(links(docs, sets, pairs, threshold))
-    ends = found.select(F.col("a").alias("set"), F.col("b").alias("to")).unionByName(found.select(F.col("b").alias("set"), F.col("a").alias("to")))
-    weights = sets.select(F.col("set").alias("to"), "copies")
-    outer = ends.join(weights, "to").groupBy("set").agg(F.sum("copies").alias("outer_links"))
-    classes = components(found)
+    met = common.persist_shared(meetings(sets, threshold))
+    found = common.persist_shared(links(docs, sets, met, threshold))
+    outer = found.groupBy("set").agg(F.sum("links").alias("outer_links"))
+    classes = components(found.select(F.col("set").alias("a"), F.col("least").alias("b")).filter("a <> b").distinct())
     joined = sets.select("set", "set_id", "doc_id", "copies").join(outer, "set", "left").join(classes, "set", "left").withColumn("class", F.coalesce("class", "set"))
     named = joined.groupBy("class").agg(F.min("doc_id").alias("class_id"))
     whole = joined.join(named, "class").select("set_id", "class_id", (F.col("copies") - 1 + F.coalesce("outer_links", F.lit(0))).alias("n_links"))
