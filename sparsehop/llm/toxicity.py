@@ -33,6 +33,8 @@ from . import common
 
 #: Bound of the labelled sample that fits the classifier.
 TRAIN_ROWS = 20_000
+#: Tokens whose slots a Python worker remembers.
+KNOWN_TOKENS = 250_000
 SLOTS = 1 << 18
 SIZE = 64
 #: Letters the model tells apart: 1-26 for a-z, 27-59 for the lower-case Latin-1 letters; 0 is all else.
@@ -42,8 +44,7 @@ SIGNS = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "6": "g", "7": "t",
 COST_SIGN, COST_KEEP, COST_DOUBLE, COST_JOIN, COST_SPLIT = 0.7, 5.0, 0.7, 0.3, 2.0
 
 _SPACED = re.compile(r"(?<![\w@$])[^\W_]?(?:(?<=[\w@$!0-9])[ ._*-]{1,2}[\w@$!](?![\w@$!])){2,}")
-_TOKEN = re.compile(r"\S+")
-_LETTER = re.compile(r"[^\W\d_]")
+_SINGLES = re.compile(r"(?<![\w@$!])[\w@$!][ ._*-]{1,2}[\w@$!][ ._*-]{1,2}[\w@$!](?![\w@$!])")
 _DISGUISED = re.compile(r"[^\W\d_][0-9@$!|+(*]|[0-9@$!|+(*][^\W\d_]|([^\W\d_])\1\1")
 _EDGES = re.compile(r"^[^\w@$]+|([^\w$@]+|([^\w])\2+)$")
 _WORD = re.compile(r"[^\W\d_]+")
@@ -135,36 +136,58 @@ class Deobfuscator:
             self.known[run] = read
         return read
 
-    def restored(self, text: str) -> Iterator[str]:
-        """Lower-cased words of a text, disguised runs read."""
-        low = text.lower()
+    def token_words(self, token: str) -> set[str]:
+        """Words of one run without white space, as it stands and, if it is disguised, as it reads."""
+        words = set(_WORD.findall(token))
+        if _DISGUISED.search(token) and _DISGUISED.search(core := _EDGES.sub("", token)):
+            words.update(_WORD.findall(self.decode(core)))
+        return words
+
+    def restored(self, text: str) -> set[str]:
+        """Lower-cased words of a text, disguised and spaced-out runs read as well."""
+        low, words = text.lower(), set()
+        for token in set(low.split()):
+            words |= self.token_words(token)
+        for run in spaced_runs(low):
+            words.update(_WORD.findall(self.decode(run)))
+        return words
+
+
+def spaced_runs(low: str) -> Iterator[str]:
+    """Stretches of three or more single characters that one or two signs or spaces set apart."""
+    if _SINGLES.search(low):
         for found in _SPACED.finditer(low):
-            yield from _WORD.findall(self.decode(found[0].strip(" ._-")))
-        for token in _TOKEN.findall(low):
-            if _DISGUISED.search(token) and _DISGUISED.search(core := _EDGES.sub("", token)):
-                yield from _WORD.findall(self.decode(core))
-        yield from _WORD.findall(low)
+            yield found[0].strip(" ._-")
 
 
 class Features:
-    """Slots of a document's distinct words and of their beginnings."""
+    """Slots of a document's distinct words and of their beginnings; tokens are remembered by a worker."""
 
     def __init__(self, model: np.ndarray) -> None:
         self.reader, self.known = Deobfuscator(model), {}
 
-    def of_word(self, word: str) -> tuple[int, ...]:
-        found = self.known.get(word)
-        if found is None:
-            names = [word] + [f"{n}:{word[:n]}" for n in (4, 5, 6) if len(word) > n]
-            found = tuple(zlib.crc32(x.encode()) % SLOTS for x in names)
-            if len(self.known) < 300_000 and len(word) < 60:
-                self.known[word] = found
+    @staticmethod
+    def of_word(word: str) -> tuple[int, ...]:
+        names = [word] + [f"{n}:{word[:n]}" for n in (4, 5, 6) if len(word) > n]
+        return tuple(zlib.crc32(x.encode()) % SLOTS for x in names)
+
+    def of_token(self, token: str) -> frozenset[int]:
+        found = frozenset(i for word in self.reader.token_words(token) for i in self.of_word(word))
+        if len(self.known) >= KNOWN_TOKENS:
+            self.known.clear()
+        if len(token) < 60:
+            self.known[token] = found
         return found
 
     def of_text(self, raw: bytes) -> set[int]:
-        slots: set[int] = set()
-        for word in set(self.reader.restored(raw.decode("utf-8", "replace"))):
-            slots.update(self.of_word(word))
+        low = raw.decode("utf-8", "replace").lower()
+        known, slots = self.known, set()
+        for token in set(low.split()):
+            found = known.get(token)
+            slots |= self.of_token(token) if found is None else found
+        for run in spaced_runs(low):
+            for word in _WORD.findall(self.reader.decode(run)):
+                slots.update(self.of_word(word))
         return slots
 
 
