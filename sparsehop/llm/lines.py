@@ -27,15 +27,37 @@ MIN_CHARS, MAX_EDITS = 20, 2
 OWN = ("n_lines", "n_removed")
 
 
+NO_DOC, LINES = -(2**63), 2**31
+
+
+def _place() -> Column:
+    """A line's place as one number, in the order of the corpus; null documents come first."""
+    doc = F.coalesce(F.col("doc_id").cast("decimal(20,0)"), F.lit(NO_DOC).cast("decimal(20,0)"))
+    return (doc * F.lit(LINES).cast("decimal(10,0)") + F.col("line_no").cast("decimal(10,0)")).cast("decimal(38,0)")
+
+
+def _doc_of(place: Column, kind: str) -> Column:
+    doc = F.call_function("div", place - F.pmod(place, F.lit(LINES).cast("decimal(38,0)")), F.lit(LINES).cast("decimal(38,0)"))
+    return F.when(doc != NO_DOC, doc).cast(kind)
+
+
+def _line_of(place: Column) -> Column:
+    return F.pmod(place, F.lit(LINES).cast("decimal(38,0)")).cast("int")
+
+
 def occurrences(docs: DataFrame, edits: int | None = None) -> DataFrame:
     """h1, h2 (hashes of the line) and place of every line that is long enough; with ``edits``, also its index and probe keys.
 
-    A place is (doc_id, line_no), in the order of the corpus; null documents come first. The lines themselves go no further.
+    The keys are plain columns i0, i1, ... and p0, p1, ...; the lines themselves go no further.
     """
     split = docs.select("doc_id", F.posexplode(F.split(common.text_of(), "\n", -1)).alias("line_no", "line"))
     long = split.filter(F.char_length("line") >= MIN_CHARS)
-    keys = [] if edits is None else [F.array(*index_keys(F.col("line"), edits)).alias("index"), F.array(*probe_keys(F.col("line"), edits)).alias("probes")]
-    return long.select(F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), F.struct("doc_id", "line_no").alias("place"), *keys)
+    own = [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2")]
+    if edits is None:
+        return long.select(*own, _place().alias("place"))
+    index = [k.alias(f"i{n}") for n, k in enumerate(index_keys(F.col("line"), edits))]
+    probes = [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits))]
+    return long.select(*own, *index, *probes)
 
 
 def _bounds(length: Column, segment: int, edits: int) -> tuple[Column, Column]:
@@ -75,6 +97,11 @@ def probe_keys(line: Column, edits: int) -> list[Column]:
     return keys
 
 
+def _let(value: Column, use) -> Column:
+    """``use`` of a value that is computed once: a lambda's argument is not inlined."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
 def banded_distance(pattern: Column, text: Column, edits: int) -> Column:
     """Edit distance of two strings whose lengths differ by ``edits`` at most; right up to ``edits``, above it beyond."""
     width, mask = 2 * edits + 1, 2 ** (2 * edits + 1) - 1
@@ -86,35 +113,41 @@ def banded_distance(pattern: Column, text: Column, edits: int) -> Column:
         word(mask ^ ((1 << edits) - 1)).alias("vp"), word(0).alias("vn"), F.least(m, F.lit(edits)).cast("int").alias("score"), m.cast("int").alias("m"), p0.alias("p"), t0.alias("t")
     )
 
-    def step(state, j):
-        p, m, c = state["p"], state["m"], F.get(state["t"], j - 1)
-        eq = word(0)
-        for d in range(width):
-            eq = eq.bitwiseOR(F.when(F.get(p, j - 1 - edits + d) == c, word(1 << d)).otherwise(word(0)))
-        vp, vn = state["vp"], state["vn"]
-        x = eq.bitwiseOR(vn)
-        d0 = ((x.bitwiseAND(vp) + vp).bitwiseXOR(vp)).bitwiseOR(x).bitwiseAND(word(mask))
-        hp = vn.bitwiseOR(d0.bitwiseOR(vp).bitwiseXOR(word(mask)))
-        hn = d0.bitwiseAND(vp)
-        down = F.shiftright(d0, 1)
-        row = (m - j + edits).cast("int")
-        diagonal = F.when(d0.bitwiseAND(word(1 << (2 * edits))) == 0, 1).otherwise(0)
-        level = F.lit(0)
-        for d in range(2 * edits):
-            level = level + F.when(row == d, F.when(hp.bitwiseAND(word(1 << d)) != 0, 1).when(hn.bitwiseAND(word(1 << d)) != 0, -1).otherwise(0)).otherwise(0)
-        moved = F.when(j <= m - edits, diagonal).otherwise(level)
-        return F.struct(
-            hn.bitwiseOR(down.bitwiseOR(hp).bitwiseXOR(word(mask))).bitwiseAND(word(mask)).alias("vp"), down.bitwiseAND(hp).alias("vn"), (state["score"] + moved).cast("int").alias("score"), m.alias("m"), p.alias("p"), state["t"].alias("t")
-        )
+    def step(s, j):
+        def matches(c):
+            hits = [F.when(F.get(s["p"], j - 1 - edits + d) == c, word(1 << d)).otherwise(word(0)) for d in range(width)]
+            total = hits[0]
+            for h in hits[1:]:
+                total = total + h
+            return total.bitwiseOR(s["vn"])
+
+        def diagonals(x):
+            d0 = ((x.bitwiseAND(s["vp"]) + s["vp"]).bitwiseXOR(s["vp"])).bitwiseOR(x).bitwiseAND(word(mask))
+            return _let(d0, lambda d: F.struct(d.alias("d0"), s["vn"].bitwiseOR(d.bitwiseOR(s["vp"]).bitwiseXOR(word(mask))).alias("hp"), d.bitwiseAND(s["vp"]).alias("hn")))
+
+        def moved(r):
+            row = s["m"] - j + edits
+            level = F.call_function("shiftright", r["hp"], row).bitwiseAND(word(1)) - F.call_function("shiftright", r["hn"], row).bitwiseAND(word(1))
+            diagonal = F.when(r["d0"].bitwiseAND(word(1 << (2 * edits))) == 0, word(1)).otherwise(word(0))
+            by = F.when(j <= s["m"] - edits, diagonal).when(row >= 0, level).otherwise(word(0))
+            down = F.shiftright(r["d0"], 1)
+            return F.struct(
+                r["hn"].bitwiseOR(down.bitwiseOR(r["hp"]).bitwiseXOR(word(mask))).bitwiseAND(word(mask)).alias("vp"), down.bitwiseAND(r["hp"]).alias("vn"),
+                (s["score"] + by).cast("int").alias("score"), s["m"].alias("m"), s["p"].alias("p"), s["t"].alias("t"),
+            )
+
+        return _let(_let(_let(F.get(s["t"], j - 1), matches), diagonals), moved)
 
     return F.aggregate(F.sequence(F.lit(1), n), first, step, lambda s: s["score"])
 
 
 def meeting_pairs(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     """(a, b): hashes h1 of distinct lines of which b, no longer than a, has a segment that a holds in its place."""
-    lines = occurrences(docs, edits).groupBy("h1", "h2").agg(F.first("index").alias("index"), F.first("probes").alias("probes"))
-    index = lines.select(F.col("h1").alias("b"), F.explode("index").alias("key"))
-    probes = lines.select(F.col("h1").alias("a"), F.explode("probes").alias("key")).filter("key IS NOT NULL")
+    seen = occurrences(docs, edits)
+    keys = [c for c in seen.columns if c not in ("h1", "h2")]
+    lines = seen.groupBy("h1", "h2").agg(*[F.first(c).alias(c) for c in keys])
+    index = lines.select(F.col("h1").alias("b"), F.explode(F.array(*[c for c in keys if c[0] == "i"])).alias("key"))
+    probes = lines.select(F.col("h1").alias("a"), F.explode(F.array(*[c for c in keys if c[0] == "p"])).alias("key")).filter("key IS NOT NULL")
     return probes.join(index, "key").filter("a <> b").select("a", "b").distinct()
 
 
@@ -125,10 +158,11 @@ def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> Dat
     met = met.join(ends.select(F.col("h1").alias("a"), F.col("h2").alias("a2"), F.col("first").alias("a_first")), "a")
     met = common.persist_shared(met.join(ends.select(F.col("h1").alias("b"), F.col("h2").alias("b2"), F.col("first").alias("b_first")), "b").filter("a_first <> b_first"))
     # the texts of these lines alone, from the documents where they stand first
-    spots = met.select(F.explode(F.array("a_first", "b_first")).alias("at")).groupBy(F.col("at.doc_id").alias("id")).agg(F.collect_set("at.line_no").alias("wanted"))
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    spots = met.select(F.explode(F.array("a_first", "b_first")).alias("at")).groupBy(_doc_of(F.col("at"), kind).alias("id")).agg(F.collect_set(_line_of(F.col("at"))).alias("wanted"))
     texts = docs.select("doc_id", "text").join(spots, F.col("doc_id").eqNullSafe(F.col("id")))
     read = texts.select("doc_id", F.split(common.text_of(), "\n", -1).alias("pieces"), F.explode("wanted").alias("line_no"))
-    found = read.select(F.struct("doc_id", "line_no").alias("place"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line")).distinct()
+    found = read.select(_place().alias("place"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line")).distinct()
     found = common.persist_shared(found)
     left = found.select(F.col("place").alias("a_first"), F.col("h1").alias("a"), F.col("line").alias("x"))
     right = found.select(F.col("place").alias("b_first"), F.col("h1").alias("b"), F.col("line").alias("y"))
@@ -143,7 +177,8 @@ def removed_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     near = near_lines(docs, lines, edits).withColumn("near", F.lit(True))
     judged = lines.join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
     gone = occurrences(docs).join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
-    return gone.select("place.doc_id", "place.line_no").distinct()
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    return gone.select("place").distinct().select(_doc_of(F.col("place"), kind).alias("doc_id"), _line_of(F.col("place")).alias("line_no"))
 
 
 def dedup_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
