@@ -11,10 +11,15 @@ from .semiring import Semiring
 BLOCK_WORDS = 512
 
 
+def bit_of(id_: Column) -> Column:
+    """The bit of an id in its 64-bit word."""
+    return F.call_function("shiftleft", F.lit(1).cast("bigint"), id_.bitwiseAND(63).cast("int"))
+
+
 def pack_words(ids: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
     """(block, words): the Boolean dense form, one row for each block that has a set bit. Ids are not negative."""
     word = F.shiftright("id", 6)
-    ones = ids.groupBy(word.alias("word")).agg(F.bit_or(F.shiftleft(F.lit(1).cast("bigint"), F.col("id").bitwiseAND(63).cast("int"))).alias("bits"))
+    ones = ids.groupBy(word.alias("word")).agg(F.bit_or(bit_of(F.col("id"))).alias("bits"))
     pairs = F.map_from_entries(F.collect_list(F.struct((F.col("word") % block_words).alias("k"), "bits")))
     filled = F.transform(F.sequence(F.lit(0).cast("bigint"), F.lit(block_words - 1).cast("bigint")), lambda i: F.coalesce(F.element_at(F.col("m"), i), F.lit(0).cast("bigint")))
     return ones.groupBy(F.floor(F.col("word") / block_words).alias("block")).agg(pairs.alias("m")).select("block", filled.alias("words"))

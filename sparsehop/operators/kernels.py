@@ -110,7 +110,7 @@ def fits_words(g: Graph, opts: MatvecOptions) -> bool:
 
 def all_words(x: DataFrame, max_id: int) -> DataFrame:
     """One row with the words of all blocks; its size is checked by ``fits_words`` before."""
-    ones = x.groupBy(F.shiftright("id", 6).alias("w")).agg(F.bit_or(F.shiftleft(F.lit(1).cast("bigint"), F.col("id").bitwiseAND(63).cast("int"))).alias("bits"))
+    ones = x.groupBy(F.shiftright("id", 6).alias("w")).agg(F.bit_or(V.bit_of(F.col("id"))).alias("bits"))
     filled = F.transform(F.sequence(F.lit(0).cast("bigint"), F.lit(max_id >> 6).cast("bigint")), lambda i: F.coalesce(F.try_element_at(F.col("m"), i), F.lit(0).cast("bigint")))
     return ones.agg(F.map_from_entries(F.collect_list(F.struct("w", "bits"))).alias("m")).select(filled.alias("words"))
 

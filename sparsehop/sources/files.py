@@ -19,10 +19,10 @@ def read_edge_text(spark: SparkSession, path: str, form: str) -> DataFrame:
         return spark.read.schema(SCHEMA).json(path)
     if form not in ("tsv", "mtx"):
         raise ValueError("form is csv, json, tsv or mtx")
-    lines = spark.read.option("wholetext", form == "mtx").text(path)
+    lines = spark.read.text(path, wholetext=form == "mtx")
     if form == "mtx":
         # small headers, large bodies: the size line is told by position, so a file is read whole; split big files before
-        body = F.filter(F.split("value", "\\r?\\n"), lambda x: (F.trim(x) != "") & ~x.startswith("%"))
+        body = F.filter(F.split("value", "\\r?\\n"), lambda x: ~x.rlike(r"^\s*(%|$)"))
         lines = lines.select(F.explode(F.slice(body, F.lit(2), F.greatest(F.size(body) - 1, F.lit(0)))).alias("value"))
     parts = lines.filter(~F.col("value").rlike(r"^\s*([%#]|$)")).select(F.split(F.trim("value"), r"\s+").alias("p"))
     return parts.select(F.get("p", F.lit(0)).cast("bigint").alias("src"), F.get("p", F.lit(1)).cast("bigint").alias("dst"), F.get("p", F.lit(2)).cast("double").alias("val"))

@@ -146,7 +146,8 @@ def toy(spark, sf_dir=None) -> Graph:
 
 def edges_from_interval(df: DataFrame, part: str, id_: str, ts: str, seconds: int) -> DataFrame:
     """(src, dst): events of one part at most ``seconds`` apart, the earlier first: a bucketed range join."""
-    one = df.select(part, F.col(id_).alias("id"), F.col(ts).alias("t"), F.floor(F.unix_micros(ts) / (seconds * 1_000_000)).alias("bucket"))
+    at = F.col(ts).cast("timestamp")
+    one = df.select(part, F.col(id_).alias("id"), at.alias("t"), F.floor(F.unix_micros(at) / (seconds * 1_000_000)).alias("bucket"))
     left = one.select(part, F.col("id").alias("src"), F.col("t").alias("t1"), F.explode(F.array("bucket", F.col("bucket") + 1)).alias("bucket"))
     right = one.select(part, F.col("id").alias("dst"), F.col("t").alias("t2"), "bucket")
     gap = F.unix_micros("t2") - F.unix_micros("t1")
