@@ -156,7 +156,7 @@ def _encode_rows(texts: list[str], path: str, pattern) -> Iterator[tuple[int, st
 def _encoder(path: str, pattern: str, schema: pa.Schema, keep: list[str], with_ids: bool):
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         split = regex.compile(pattern)
-        for batch in batches:
+        for batch in common.small(batches):
             raws = common.raw_texts(batch)
             for a, b in common.slices([len(x) for x in raws], BLOCK_BYTES):
                 n, ids, id_sha, back = [], [], [], []

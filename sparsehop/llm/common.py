@@ -52,6 +52,13 @@ def raw_texts(batch: pa.RecordBatch, name: str = "text") -> list[bytes]:
     return [x if x is not None else b"" for x in column.cast(pa.binary()).to_pylist()]
 
 
+def small(batches, rows: int = 256):
+    """The batches in shorter pieces, so that a worker holds few rows as Python objects at once."""
+    for batch in batches:
+        for i in range(0, batch.num_rows, rows):
+            yield batch.slice(i, rows)
+
+
 def sha256_hex(raw: bytes) -> str:
     return hashlib.sha256(raw).hexdigest()
 

@@ -99,7 +99,7 @@ def _pattern_blocks(benchmark: DataFrame, window: int) -> Iterator[list[tuple[tu
 def _scan(schema: pa.Schema, windows: list[tuple[tuple[bytes, ...], str]]):
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables = searchers(windows)
-        for batch in batches:
+        for batch in common.small(batches):
             n_words, hits, items = [], [], []
             before = batch.column(batch.schema.get_field_index("hits")).to_pylist()
             found = batch.column(batch.schema.get_field_index("item_ids")).to_pylist()

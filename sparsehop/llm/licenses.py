@@ -92,7 +92,7 @@ def templates(spark, phrases: dict[str, str] = PHRASES, wordings: dict[str, str]
 def _gram_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """A row for each k-gram, and one with place -1 and the number of words for each text."""
     grams = Grams()
-    for batch in batches:
+    for batch in common.small(batches):
         raws = common.raw_texts(batch)
         for a, b in common.slices([len(x) for x in raws], SLICE_BYTES):
             texts = [common.words_of(x) for x in raws[a:b]]

@@ -84,7 +84,7 @@ def sign(docs: DataFrame, depth: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         family = _family()
-        for batch in batches:
+        for batch in common.small(batches):
             ids, sizes, paths, signatures = [], [], [], []
             for raw in common.raw_texts(batch):
                 found = shingles(raw)
@@ -132,7 +132,7 @@ class Unit:
 def _units(batches: Iterator[pa.RecordBatch], make):
     """Runs of rows that share (tree, path, low, high), passed on as lists; the next list starts with the next unit."""
     key, held = None, []
-    for batch in batches:
+    for batch in common.small(batches):
         for tree, path, low, high, *row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
             if key != (tree, path, low, high):
                 if len(held) > 1:
@@ -228,7 +228,7 @@ def links(docs: DataFrame, sets: DataFrame, met: DataFrame, threshold: float = T
     texts = docs.select("doc_id", "text").join(spots, "doc_id").select("set", "set_id", "text")
 
     def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.small(batches):
             found = [shingles(raw).tobytes() for raw in common.raw_texts(batch)]
             # rows that share a doc_id but not the text are told apart by the set's digest
             mine = [xxhash.xxh3_128_digest(x) == y for x, y in zip(found, batch.column(1).to_pylist(), strict=True)]

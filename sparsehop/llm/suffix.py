@@ -142,7 +142,7 @@ def _fold(keys: list[np.ndarray], doc: np.ndarray, start: np.ndarray) -> tuple[n
 def _collect_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Runs of (doc, text) rows; a slice's own repeats are folded before they are sent anywhere."""
     hasher = Hasher()
-    for batch in batches:
+    for batch in common.small(batches):
         raws, docs = common.raw_texts(batch), np.array(batch.column(0).to_pylist(), np.int64)
         for a, b in common.slices([len(x) for x in raws], SLICE_BYTES):
             data = np.frombuffer(b"".join(raws[a:b]), np.uint8)
@@ -303,7 +303,7 @@ def _arrays(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["repeat", "length", "doc", "start", "earlier"])
 
     last = None
-    for batch in batches:
+    for batch in common.small(batches):
         for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
             if row[0] != last and size > ARRAY_BYTES:
                 yield from finish()
@@ -338,7 +338,7 @@ def _with_bytes(docs: DataFrame, wanted: DataFrame, cut, schema: str) -> DataFra
 
 
 def _cut_contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in common.small(batches):
         rows: list[tuple] = []
         for doc, raw, spans in zip(batch.column(0).to_pylist(), common.raw_texts(batch), batch.column(2).to_pylist(), strict=True):
             rows += [(s["anchor"], doc, s["start"], s["length"], raw[s["start"] : s["start"] + s["length"]]) for s in spans]
@@ -350,7 +350,7 @@ def _cut_contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 def _cut_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Every window of the crowded contexts as a context of its own."""
     hasher = Hasher()
-    for batch in batches:
+    for batch in common.small(batches):
         for doc, raw, spans in zip(batch.column(0).to_pylist(), common.raw_texts(batch), batch.column(2).to_pylist(), strict=True):
             data = np.frombuffer(raw, np.uint8)
             one, two = hasher.prefix(data, 0), hasher.prefix(data, 1)
@@ -383,7 +383,7 @@ def repeated_passages(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in common.small(batches):
         out = []
         for raw, spans in zip(common.raw_texts(batch, "text"), batch.column(batch.schema.get_field_index("spans")).to_pylist(), strict=True):
             parts, at, n, removed = [], 0, 0, 0

@@ -62,7 +62,7 @@ def trigram_counts(docs: DataFrame) -> DataFrame:
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, total = _codepoint_table(), np.zeros(SIZE**3, np.int64)
-        for batch in batches:
+        for batch in common.small(batches, 1024):
             raws = common.raw_texts(batch)
             for a, b in common.slices([len(x) for x in raws], 4_000_000):
                 joined = b"\n\n".join(raws[a:b]).decode("utf-8", "replace").lower()
@@ -204,7 +204,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, model: np.ndarray, most: i
 
     def slots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         features = Features(sent.value)
-        for batch in batches:
+        for batch in common.small(batches, 1024):
             found = [sorted(features.of_text(raw)) for raw in common.raw_texts(batch)]
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.list_(pa.int32())), batch.column(1)], names=["slots", "label"])
 
@@ -256,7 +256,7 @@ def score_toxicity(docs: DataFrame, model: np.ndarray, weights: np.ndarray, bias
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         features, weight = Features(sent.value[0]), sent.value[1].tolist()
-        for batch in batches:
+        for batch in common.small(batches, 1024):
             values = []
             for raw in common.raw_texts(batch):
                 total = bias + math.fsum(weight[i] for i in features.of_text(raw))
