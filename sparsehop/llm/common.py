@@ -8,6 +8,7 @@ is replaced by that result.
 
 from __future__ import annotations
 
+import gc
 import hashlib
 import os
 import re
@@ -84,10 +85,16 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def persist_shared(df: DataFrame) -> DataFrame:
-    """Write a frame to the shared folder and read it back: lineage ends in files that outlive executors."""
+    """Write a frame to the shared folder and read it back: lineage ends in files that outlive executors.
+
+    The shuffle files behind the frame are of no more use; collecting the driver's
+    garbage lets Spark's cleaner remove them from the executors' disks.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/stage-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
     return spark.read.schema(df.schema).parquet(path)
 
 

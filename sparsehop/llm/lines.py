@@ -102,20 +102,24 @@ def _let(value: Column, use) -> Column:
     return F.element_at(F.transform(F.array(value), use), 1)
 
 
-def banded_distance(pattern: Column, text: Column, edits: int) -> Column:
-    """Edit distance of two strings whose lengths differ by ``edits`` at most; right up to ``edits``, above it beyond."""
+def code_points(line: Column) -> Column:
+    return F.transform(F.split(line, ""), lambda c: F.ascii(c))
+
+
+def banded_distance(p: Column, t: Column, edits: int) -> Column:
+    """Edit distance of two lists of code points whose lengths differ by ``edits`` at most; right up to ``edits``, above it beyond.
+
+    Both are plain columns of stored rows: an expression in their place would be
+    evaluated anew in every step, and in the state it would be copied in every step.
+    """
     width, mask = 2 * edits + 1, 2 ** (2 * edits + 1) - 1
     word = lambda x: F.lit(x).cast("bigint")
-    m, n = F.char_length(pattern), F.char_length(text)
-    # the characters ride in the state: a column named inside the step would be split anew each time
-    p0, t0 = F.split(pattern, ""), F.split(text, "")
-    first = F.struct(
-        word(mask ^ ((1 << edits) - 1)).alias("vp"), word(0).alias("vn"), F.least(m, F.lit(edits)).cast("int").alias("score"), m.cast("int").alias("m"), p0.alias("p"), t0.alias("t")
-    )
+    m, n = F.size(p), F.size(t)
+    first = F.struct(word(mask ^ ((1 << edits) - 1)).alias("vp"), word(0).alias("vn"), F.least(m, F.lit(edits)).cast("int").alias("score"))
 
     def step(s, j):
         def matches(c):
-            hits = [F.when(F.get(s["p"], j - 1 - edits + d) == c, word(1 << d)).otherwise(word(0)) for d in range(width)]
+            hits = [F.when(F.get(p, j - 1 - edits + d) == c, word(1 << d)).otherwise(word(0)) for d in range(width)]
             total = hits[0]
             for h in hits[1:]:
                 total = total + h
@@ -126,35 +130,48 @@ def banded_distance(pattern: Column, text: Column, edits: int) -> Column:
             return _let(d0, lambda d: F.struct(d.alias("d0"), s["vn"].bitwiseOR(d.bitwiseOR(s["vp"]).bitwiseXOR(word(mask))).alias("hp"), d.bitwiseAND(s["vp"]).alias("hn")))
 
         def moved(r):
-            row = s["m"] - j + edits
+            row = m - j + edits
             level = F.call_function("shiftright", r["hp"], row).bitwiseAND(word(1)) - F.call_function("shiftright", r["hn"], row).bitwiseAND(word(1))
             diagonal = F.when(r["d0"].bitwiseAND(word(1 << (2 * edits))) == 0, word(1)).otherwise(word(0))
-            by = F.when(j <= s["m"] - edits, diagonal).when(row >= 0, level).otherwise(word(0))
+            by = F.when(j <= m - edits, diagonal).when(row >= 0, level).otherwise(word(0))
             down = F.shiftright(r["d0"], 1)
-            return F.struct(
-                r["hn"].bitwiseOR(down.bitwiseOR(r["hp"]).bitwiseXOR(word(mask))).bitwiseAND(word(mask)).alias("vp"), down.bitwiseAND(r["hp"]).alias("vn"),
-                (s["score"] + by).cast("int").alias("score"), s["m"].alias("m"), s["p"].alias("p"), s["t"].alias("t"),
-            )
+            return F.struct(r["hn"].bitwiseOR(down.bitwiseOR(r["hp"]).bitwiseXOR(word(mask))).bitwiseAND(word(mask)).alias("vp"), down.bitwiseAND(r["hp"]).alias("vn"), (s["score"] + by).cast("int").alias("score"))
 
-        return _let(_let(_let(F.get(s["t"], j - 1), matches), diagonals), moved)
+        return _let(_let(_let(F.get(t, j - 1), matches), diagonals), moved)
 
     return F.aggregate(F.sequence(F.lit(1), n), first, step, lambda s: s["score"])
 
 
+def pieces_agree(x: Column, y: Column, edits: int) -> Column:
+    """Whether the distance of two lines may be ``edits`` or less, by pieces.
+
+    y is cut into 2 * edits + 2 pieces. An edit spoils one piece at most, and the
+    others stand in x at most ``edits`` places away; so all but ``edits`` are found there.
+    """
+    pieces = 2 * edits + 2
+    size = F.floor(F.char_length(y) / pieces).cast("int")
+    found = F.lit(0)
+    for k in range(pieces):
+        start = size * k + 1
+        around = F.substring(x, F.greatest(start - edits, F.lit(1)), size + 2 * edits)
+        found = found + F.when(F.instr(around, F.substring(y, start, size)) > 0, 1).otherwise(0)
+    return found >= pieces - edits
+
+
 def meeting_pairs(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
-    """(a, b): hashes h1 of distinct lines of which b, no longer than a, has a segment that a holds in its place."""
+    """(a, b) with a < b: hashes h1 of distinct lines of which one has a segment that the other holds in its place."""
     seen = occurrences(docs, edits)
     keys = [c for c in seen.columns if c not in ("h1", "h2")]
     lines = seen.groupBy("h1", "h2").agg(*[F.first(c).alias(c) for c in keys])
     index = lines.select(F.col("h1").alias("b"), F.explode(F.array(*[c for c in keys if c[0] == "i"])).alias("key"))
     probes = lines.select(F.col("h1").alias("a"), F.explode(F.array(*[c for c in keys if c[0] == "p"])).alias("key")).filter("key IS NOT NULL")
-    return probes.join(index, "key").filter("a <> b").select("a", "b").distinct()
+    return probes.join(index, "key").filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     """(h1, h2) of the distinct lines that have another within ``edits`` edits before them; ``lines`` has h1, h2, first and n."""
-    ends = lines.select("h1", "h2", "first")
-    met = meeting_pairs(docs, edits)
+    met = common.persist_shared(meeting_pairs(docs, edits))
+    ends = common.persist_shared(lines.select("h1", "h2", "first").join(met.select(F.explode(F.array("a", "b")).alias("h1")).distinct(), "h1"))
     met = met.join(ends.select(F.col("h1").alias("a"), F.col("h2").alias("a2"), F.col("first").alias("a_first")), "a")
     met = common.persist_shared(met.join(ends.select(F.col("h1").alias("b"), F.col("h2").alias("b2"), F.col("first").alias("b_first")), "b").filter("a_first <> b_first"))
     # the texts of these lines alone, from the documents where they stand first
@@ -162,18 +179,19 @@ def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> Dat
     spots = met.select(F.explode(F.array("a_first", "b_first")).alias("at")).groupBy(_doc_of(F.col("at"), kind).alias("id")).agg(F.collect_set(_line_of(F.col("at"))).alias("wanted"))
     texts = docs.select("doc_id", "text").join(spots, F.col("doc_id").eqNullSafe(F.col("id")))
     read = texts.select("doc_id", F.split(common.text_of(), "\n", -1).alias("pieces"), F.explode("wanted").alias("line_no"))
-    found = read.select(_place().alias("place"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line")).distinct()
+    found = read.select(_place().alias("place"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line"))
+    found = found.dropDuplicates(["place", "h1"]).withColumn("points", code_points(F.col("line")))
     found = common.persist_shared(found)
-    left = found.select(F.col("place").alias("a_first"), F.col("h1").alias("a"), F.col("line").alias("x"))
-    right = found.select(F.col("place").alias("b_first"), F.col("h1").alias("b"), F.col("line").alias("y"))
-    both = met.join(left, ["a", "a_first"]).join(right, ["b", "b_first"]).filter(banded_distance(F.col("y"), F.col("x"), edits) <= edits)
+    left = found.select(F.col("place").alias("a_first"), F.col("h1").alias("a"), F.col("line").alias("x"), F.col("points").alias("xp"))
+    right = found.select(F.col("place").alias("b_first"), F.col("h1").alias("b"), F.col("line").alias("y"), F.col("points").alias("yp"))
+    both = met.join(left, ["a", "a_first"]).join(right, ["b", "b_first"]).filter(pieces_agree(F.col("x"), F.col("y"), edits) & (banded_distance(F.col("yp"), F.col("xp"), edits) <= edits))
     later = F.when(F.col("a_first") > F.col("b_first"), F.struct(F.col("a").alias("h1"), F.col("a2").alias("h2"))).otherwise(F.struct(F.col("b").alias("h1"), F.col("b2").alias("h2")))
     return both.select(later.alias("line")).select("line.h1", "line.h2").distinct()
 
 
 def removed_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     """(doc_id, line_no) of every line that goes, once each."""
-    lines = occurrences(docs).groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("n"))
+    lines = common.persist_shared(occurrences(docs).groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("n")))
     near = near_lines(docs, lines, edits).withColumn("near", F.lit(True))
     judged = lines.join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
     gone = occurrences(docs).join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
