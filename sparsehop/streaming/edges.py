@@ -68,3 +68,23 @@ def incremental_depths(stream: DataFrame, source: int) -> DataFrame:
     mark = new_path(stream.sparkSession, "mark")
     stream.writeStream.foreachBatch(lambda df, _: state.insert(df)).option("checkpointLocation", mark).trigger(availableNow=True).start().awaitTermination()
     return state.depths.select("id", F.col("val").cast("int").alias("depth"))
+
+
+def stateful_degree(edges: DataFrame, timeout_ms: int = 3_600_000) -> DataFrame:
+    """(src, degree): a running degree of each source as batches arrive; a state that stays idle past the timeout goes.
+
+    Update mode: a source is given again whenever its degree grows.
+    """
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    def grow(key, batches, state):
+        if state.hasTimedOut:
+            state.remove()
+            return
+        n = (state.get[0] if state.exists else 0) + sum(len(b) for b in batches)
+        state.update((n,))
+        state.setTimeoutDuration(timeout_ms)
+        yield pd.DataFrame({"src": [key[0]], "degree": [n]})
+
+    return edges.groupBy("src").applyInPandasWithState(grow, "src bigint, degree bigint", "degree bigint", "update", GroupStateTimeout.ProcessingTimeTimeout)
