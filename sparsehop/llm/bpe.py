@@ -26,7 +26,7 @@ from . import common
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: Bytes of distinct pre-tokens that a Python worker remembers between blocks.
-CACHE_BYTES = 24_000_000
+CACHE_BYTES = 2_500_000
 #: Bytes of text whose pre-tokens are encoded together.
 BLOCK_BYTES = 8_000_000
 
@@ -48,7 +48,7 @@ class MergeReplay:
         rank = self.pairs.get(key)
         if rank is None:
             rank = self.ranks.get(self.tokens[a] + self.tokens[b], -1)
-            if len(self.pairs) < 2_000_000:
+            if len(self.pairs) < 250_000:
                 self.pairs[key] = rank
         return rank
 

@@ -290,17 +290,24 @@ def _arrays(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held: list[tuple[int, int, int, int, bytes]] = []
     size = 0
 
+    def packed(rows: list[tuple]) -> pa.RecordBatch:
+        columns = [*zip(*rows, strict=True)]
+        types = (pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.bool_())
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["repeat", "length", "doc", "start", "earlier"])
+
     def finish() -> Iterator[pa.RecordBatch]:
-        rows = []
+        """Intervals nest, so their occurrences can be many more than the contexts: they leave as they are found."""
+        rows: list[tuple] = []
         contexts, counts = [h[4] for h in held], [h[3] - WINDOW + 1 for h in held]
         for k, (length, places) in enumerate(maximal_repeats(contexts, counts) if len(held) > 1 else ()):
             spots = sorted({(held[c][1], held[c][2] + o) for c, o in places})
             name = f"{held[places[0][0]][0]}:{spots[0][0]}:{spots[0][1]}:{k}"
             rows += [(name, length, doc, start, i > 0) for i, (doc, start) in enumerate(spots)]
+            if len(rows) > 5000:
+                yield packed(rows)
+                rows = []
         if rows:
-            columns = [*zip(*rows, strict=True)]
-            types = (pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.bool_())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["repeat", "length", "doc", "start", "earlier"])
+            yield packed(rows)
 
     last = None
     for batch in common.small(batches):
