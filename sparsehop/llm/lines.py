@@ -8,8 +8,11 @@ Distinct lines are cut into MAX_EDITS + 1 segments: a line within that many
 edits keeps one of them. The index has each segment by its number, the line's
 length and its hash; a probing line looks up, for each length that is in reach
 and not above its own, the substrings that may stand where the segment stood.
-Pairs that meet are verified by banded bit-parallel edit distance: the band of
-2 * MAX_EDITS + 1 diagonals is one integer, updated once a character.
+Keys of one or two lines give pairs. On keys of more, each line looks for one
+earlier line within reach among bounded lists of the others, so that a crowd
+never becomes all its pairs. All pairs are verified by banded bit-parallel edit
+distance: the band of 2 * MAX_EDITS + 1 diagonals is one integer, updated once a
+character; letter counts and pieces that a true pair must share go before it.
 
 Null and empty texts have one empty line, which is shorter than MIN_CHARS and
 stays. Rows that repeat a doc_id share their places: equal lines at one place
@@ -24,6 +27,8 @@ from pyspark.sql import functions as F
 from . import common
 
 MIN_CHARS, MAX_EDITS = 20, 2
+#: Lines of one key that meet as one list.
+BLOCK = 256
 OWN = ("n_lines", "n_removed")
 
 
@@ -46,18 +51,39 @@ def _line_of(place: Column) -> Column:
 
 
 def occurrences(docs: DataFrame, edits: int | None = None) -> DataFrame:
-    """h1, h2 (hashes of the line) and place of every line that is long enough; with ``edits``, also its index and probe keys.
+    """h1, h2 (hashes of the line) and place of every line that is long enough; with ``edits``, its probe keys.
 
-    The keys are plain columns i0, i1, ... and p0, p1, ...; the lines themselves go no further.
+    The keys are plain columns p0, p1, ..., the line's own index keys first; the lines themselves go no further.
     """
     split = docs.select("doc_id", F.posexplode(F.split(common.text_of(), "\n", -1)).alias("line_no", "line"))
     long = split.filter(F.char_length("line") >= MIN_CHARS)
     own = [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2")]
     if edits is None:
-        return long.select(*own, _place().alias("place"))
-    index = [k.alias(f"i{n}") for n, k in enumerate(index_keys(F.col("line"), edits))]
+        return long.select(*own, _place().alias("place"), letter_counts(F.col("line")).alias("counts"))
     probes = [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits))]
-    return long.select(*own, *index, *probes)
+    return long.select(*own, *probes)
+
+
+# Letters whose numbers in a line are kept, a byte each.
+COUNTED = "entaiors"
+
+
+def letter_counts(line: Column) -> Column:
+    """How often each counted letter stands in a line, modulo 256, eight bytes in one integer."""
+    total = F.lit(0).cast("bigint")
+    for i, c in enumerate(COUNTED):
+        n = F.char_length(line) - F.char_length(F.replace(line, F.lit(c), F.lit("")))
+        total = total.bitwiseOR(F.shiftleft(n.cast("bigint").bitwiseAND(F.lit(255).cast("bigint")), 8 * i))
+    return total
+
+
+def counts_agree(a: Column, b: Column, edits: int) -> Column:
+    """Whether two lines' letters allow the distance: an edit moves two counts by one at most."""
+    apart = F.lit(0).cast("bigint")
+    for i in range(len(COUNTED)):
+        x, y = (F.shiftright(v, 8 * i).bitwiseAND(F.lit(255).cast("bigint")) for v in (a, b))
+        apart = apart + F.least(F.abs(x - y), 256 - F.abs(x - y))
+    return apart <= 2 * edits
 
 
 def _bounds(length: Column, segment: int, edits: int) -> tuple[Column, Column]:
@@ -85,18 +111,20 @@ def probe_keys(line: Column, edits: int) -> list[Column]:
     of its own start and, counted from the end, at most edits - s places to the right of it.
     """
     length, keys = F.char_length(line), []
-    for less in range(edits + 1):
+    for less, s, shift in probe_places(edits):
         other = length - less
-        for s in range(edits + 1):
-            start, size = _bounds(other, s, edits)
-            for shift in range(-edits, edits + 1):
-                if abs(shift) <= s and abs(shift - less) <= edits - s:
-                    at = start + shift
-                    fits = (other > 0) & (at >= 0) & (at + size <= length)
-                    keys.append(F.when(fits, _key(line, s, other, at, size)))
+        start, size = _bounds(other, s, edits)
+        at = start + shift
+        keys.append(F.when((other > 0) & (at >= 0) & (at + size <= length), _key(line, s, other, at, size)))
     return keys
 
 
+def probe_places(edits: int) -> list[tuple[int, int, int]]:
+    """(characters less, segment, shift) of the keys, in their order; the first edits + 1 are the line's own index keys."""
+    every = [(less, s, shift) for less in range(edits + 1) for s in range(edits + 1) for shift in range(-edits, edits + 1) if abs(shift) <= s and abs(shift - less) <= edits - s]
+    return sorted(every, key=lambda x: (x[0] != 0 or x[2] != 0, x))
+
+
 def _let(value: Column, use) -> Column:
     """``use`` of a value that is computed once: a lambda's argument is not inlined."""
     return F.element_at(F.transform(F.array(value), use), 1)
@@ -158,40 +186,79 @@ def pieces_agree(x: Column, y: Column, edits: int) -> Column:
     return found >= pieces - edits
 
 
-def meeting_pairs(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
-    """(a, b) with a < b: hashes h1 of distinct lines of which one has a segment that the other holds in its place."""
+def meetings(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+    """(a, key, n, low, high, own): a line's probe that meets an index key of n lines, low and high among them.
+
+    ``own`` marks the line's own index keys. Rows are as many as probes that meet, whatever n is.
+    """
     seen = occurrences(docs, edits)
-    keys = [c for c in seen.columns if c not in ("h1", "h2")]
+    keys = [c for c in seen.columns if c[0] == "p"]
     lines = seen.groupBy("h1", "h2").agg(*[F.first(c).alias(c) for c in keys])
-    index = lines.select(F.col("h1").alias("b"), F.explode(F.array(*[c for c in keys if c[0] == "i"])).alias("key"))
-    probes = lines.select(F.col("h1").alias("a"), F.explode(F.array(*[c for c in keys if c[0] == "p"])).alias("key")).filter("key IS NOT NULL")
-    return probes.join(index, "key").filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    index = lines.select(F.col("h1").alias("b"), F.explode(F.array(*keys[: edits + 1])).alias("key"))
+    index = index.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("b").alias("low"), F.max("b").alias("high"))
+    probes = lines.select(F.col("h1").alias("a"), F.posexplode(F.array(*keys)).alias("at", "key")).filter("key IS NOT NULL")
+    met = probes.join(index, "key").filter("n > 1 OR low <> a")
+    return met.select("a", "key", "n", "low", "high", (F.col("at") <= edits).alias("own"))
 
 
-def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
-    """(h1, h2) of the distinct lines that have another within ``edits`` edits before them; ``lines`` has h1, h2, first and n."""
-    met = common.persist_shared(meeting_pairs(docs, edits))
-    ends = common.persist_shared(lines.select("h1", "h2", "first").join(met.select(F.explode(F.array("a", "b")).alias("h1")).distinct(), "h1"))
-    met = met.join(ends.select(F.col("h1").alias("a"), F.col("h2").alias("a2"), F.col("first").alias("a_first")), "a")
-    met = common.persist_shared(met.join(ends.select(F.col("h1").alias("b"), F.col("h2").alias("b2"), F.col("first").alias("b_first")), "b").filter("a_first <> b_first"))
-    # the texts of these lines alone, from the documents where they stand first
+def crowded_pairs(rows: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
+    """(a, b): for each line on a key of three or more lines, one earlier line within the distance, if the key has any.
+
+    ``rows`` has a, key and own. The lines on a key are dealt into blocks by a hash; a
+    line meets whole blocks, each as one list, so pairs are never rows and no list is
+    unbounded. Probes look among the index's lines and these among the probes.
+    """
+    held = texts.select(F.col("h1").alias("a"), "first", "counts", "line")
+    sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("probes"))
+    full = rows.join(sizes, "key").withColumn("blocks", F.ceil(F.col("probes") / BLOCK).cast("int")).join(held, "a")
+    full = full.withColumn("block", F.pmod(F.xxhash64("a"), F.col("blocks")).cast("int"))
+    out = None
+    for mine, theirs in ((full, full.filter("own")), (full.filter("own"), full)):
+        lists = theirs.groupBy("key", "block").agg(F.array_sort(F.collect_list(F.struct("first", F.col("a").alias("b"), "counts", "line"))).alias("others"))
+        asked = mine.select("a", "key", "first", "counts", "line", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"))
+
+        def witness(found, y):
+            fits = (y["b"] != F.col("a")) & (y["first"] < F.col("first")) & counts_agree(y["counts"], F.col("counts"), edits)
+            return F.when(found.isNotNull(), found).when(fits & (F.levenshtein(F.col("line"), y["line"], edits) >= 0), y["b"])
+
+        one = asked.join(lists, ["key", "block"]).select("a", F.aggregate("others", F.lit(None).cast("bigint"), witness).alias("b")).filter("b IS NOT NULL")
+        out = one if out is None else out.unionByName(one)
+    return out.distinct()
+
+
+def line_texts(docs: DataFrame, ends: DataFrame) -> DataFrame:
+    """``ends`` (h1, h2, first, counts) with each line's text, read from the document where it stands first."""
     kind = docs.schema["doc_id"].dataType.simpleString()
-    spots = met.select(F.explode(F.array("a_first", "b_first")).alias("at")).groupBy(_doc_of(F.col("at"), kind).alias("id")).agg(F.collect_set(_line_of(F.col("at"))).alias("wanted"))
+    spots = ends.groupBy(_doc_of(F.col("first"), kind).alias("id")).agg(F.collect_set(_line_of(F.col("first"))).alias("wanted"))
     texts = docs.select("doc_id", "text").join(spots, F.col("doc_id").eqNullSafe(F.col("id")))
     read = texts.select("doc_id", F.split(common.text_of(), "\n", -1).alias("pieces"), F.explode("wanted").alias("line_no"))
-    found = read.select(_place().alias("place"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line"))
-    found = found.dropDuplicates(["place", "h1"]).withColumn("points", code_points(F.col("line")))
-    found = common.persist_shared(found)
-    left = found.select(F.col("place").alias("a_first"), F.col("h1").alias("a"), F.col("line").alias("x"), F.col("points").alias("xp"))
-    right = found.select(F.col("place").alias("b_first"), F.col("h1").alias("b"), F.col("line").alias("y"), F.col("points").alias("yp"))
-    both = met.join(left, ["a", "a_first"]).join(right, ["b", "b_first"]).filter(pieces_agree(F.col("x"), F.col("y"), edits) & (banded_distance(F.col("yp"), F.col("xp"), edits) <= edits))
+    found = read.select(_place().alias("first"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line")).dropDuplicates(["first", "h1"])
+    return ends.join(found, ["first", "h1"])
+
+
+def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+    """(h1, h2) of the distinct lines that have another within ``edits`` edits before them; ``lines`` has h1, h2, first and n."""
+    met = common.persist_shared(meetings(docs, edits))
+    pairs = met.filter("n < 3").select("a", F.explode(F.array("low", "high")).alias("b")).filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    crowd = met.filter("n > 2").select("a", "key", "own")
+    known = lines.select("h1", "h2", "first", "counts")
+    ends = common.persist_shared(known.join(pairs.select(F.explode(F.array("a", "b")).alias("h1")).union(crowd.select("a")).distinct(), "h1"))
+    named = lambda side: ends.select(F.col("h1").alias(side), F.col("h2").alias(f"{side}2"), F.col("first").alias(f"{side}_first"), F.col("counts").alias(f"{side}_counts"))
+    able = common.persist_shared(pairs.join(named("a"), "a").join(named("b"), "b").filter((F.col("a_first") != F.col("b_first")) & counts_agree(F.col("a_counts"), F.col("b_counts"), edits)).select("a", "b"))
+    wanted = able.select(F.explode(F.array("a", "b")).alias("h1")).union(crowd.select("a")).distinct()
+    texts = common.persist_shared(line_texts(docs, ends.join(wanted, "h1")))
+    able = able.unionByName(crowded_pairs(crowd, texts, edits)).distinct()
+    side = lambda k, t: texts.select(F.col("h1").alias(k), F.col("h2").alias(f"{k}2"), F.col("first").alias(f"{k}_first"), F.col("line").alias(t))
+    both = able.join(side("a", "x"), "a").join(side("b", "y"), "b").filter(pieces_agree(F.col("x"), F.col("y"), edits))
+    both = common.persist_shared(both.withColumns({"xp": code_points(F.col("x")), "yp": code_points(F.col("y"))}).drop("x", "y"))
+    both = both.filter(banded_distance(F.col("yp"), F.col("xp"), edits) <= edits)
     later = F.when(F.col("a_first") > F.col("b_first"), F.struct(F.col("a").alias("h1"), F.col("a2").alias("h2"))).otherwise(F.struct(F.col("b").alias("h1"), F.col("b2").alias("h2")))
     return both.select(later.alias("line")).select("line.h1", "line.h2").distinct()
 
 
 def removed_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     """(doc_id, line_no) of every line that goes, once each."""
-    lines = common.persist_shared(occurrences(docs).groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("n")))
+    lines = common.persist_shared(occurrences(docs).groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("n"), F.first("counts").alias("counts")))
     near = near_lines(docs, lines, edits).withColumn("near", F.lit(True))
     judged = lines.join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
     gone = occurrences(docs).join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
