@@ -58,10 +58,8 @@ def occurrences(docs: DataFrame, edits: int | None = None) -> DataFrame:
     split = docs.select("doc_id", F.posexplode(F.split(common.text_of(), "\n", -1)).alias("line_no", "line"))
     long = split.filter(F.char_length("line") >= MIN_CHARS)
     own = [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2")]
-    if edits is None:
-        return long.select(*own, _place().alias("place"), letter_counts(F.col("line")).alias("counts"))
-    probes = [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits))]
-    return long.select(*own, *probes)
+    probes = [] if edits is None else [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits))]
+    return long.select(*own, _place().alias("place"), *probes)
 
 
 # Letters whose numbers in a line are kept, a byte each.
@@ -186,14 +184,19 @@ def pieces_agree(x: Column, y: Column, edits: int) -> Column:
     return found >= pieces - edits
 
 
-def meetings(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+def distinct_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+    """h1, h2, first place, n places and probe keys of each distinct line."""
+    seen = occurrences(docs, edits)
+    keys = [c for c in seen.columns if c[0] == "p" and c != "place"]
+    return seen.groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count(F.lit(1)).alias("n"), *[F.first(c).alias(c) for c in keys])
+
+
+def meetings(lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     """(a, key, n, low, high, own): a line's probe that meets an index key of n lines, low and high among them.
 
     ``own`` marks the line's own index keys. Rows are as many as probes that meet, whatever n is.
     """
-    seen = occurrences(docs, edits)
-    keys = [c for c in seen.columns if c[0] == "p"]
-    lines = seen.groupBy("h1", "h2").agg(*[F.first(c).alias(c) for c in keys])
+    keys = [c for c in lines.columns if c[0] == "p"]
     index = lines.select(F.col("h1").alias("b"), F.explode(F.array(*keys[: edits + 1])).alias("key"))
     index = index.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("b").alias("low"), F.max("b").alias("high"))
     probes = lines.select(F.col("h1").alias("a"), F.posexplode(F.array(*keys)).alias("at", "key")).filter("key IS NOT NULL")
@@ -227,29 +230,25 @@ def crowded_pairs(rows: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
 
 
 def line_texts(docs: DataFrame, ends: DataFrame) -> DataFrame:
-    """``ends`` (h1, h2, first, counts) with each line's text, read from the document where it stands first."""
+    """``ends`` (h1, h2, first) with each line's text and letter counts, read from the document where it stands first."""
     kind = docs.schema["doc_id"].dataType.simpleString()
     spots = ends.groupBy(_doc_of(F.col("first"), kind).alias("id")).agg(F.collect_set(_line_of(F.col("first"))).alias("wanted"))
     texts = docs.select("doc_id", "text").join(spots, F.col("doc_id").eqNullSafe(F.col("id")))
     read = texts.select("doc_id", F.split(common.text_of(), "\n", -1).alias("pieces"), F.explode("wanted").alias("line_no"))
     found = read.select(_place().alias("first"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line")).dropDuplicates(["first", "h1"])
-    return ends.join(found, ["first", "h1"])
+    return ends.join(found, ["first", "h1"]).withColumn("counts", letter_counts(F.col("line")))
 
 
 def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
-    """(h1, h2) of the distinct lines that have another within ``edits`` edits before them; ``lines`` has h1, h2, first and n."""
-    met = common.persist_shared(meetings(docs, edits))
+    """(h1, h2) of the distinct lines that have another within ``edits`` edits before them; ``lines`` is ``distinct_lines``."""
+    met = common.persist_shared(meetings(lines, edits))
     pairs = met.filter("n < 3").select("a", F.explode(F.array("low", "high")).alias("b")).filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     crowd = met.filter("n > 2").select("a", "key", "own")
-    known = lines.select("h1", "h2", "first", "counts")
-    ends = common.persist_shared(known.join(pairs.select(F.explode(F.array("a", "b")).alias("h1")).union(crowd.select("a")).distinct(), "h1"))
-    named = lambda side: ends.select(F.col("h1").alias(side), F.col("h2").alias(f"{side}2"), F.col("first").alias(f"{side}_first"), F.col("counts").alias(f"{side}_counts"))
-    able = common.persist_shared(pairs.join(named("a"), "a").join(named("b"), "b").filter((F.col("a_first") != F.col("b_first")) & counts_agree(F.col("a_counts"), F.col("b_counts"), edits)).select("a", "b"))
-    wanted = able.select(F.explode(F.array("a", "b")).alias("h1")).union(crowd.select("a")).distinct()
-    texts = common.persist_shared(line_texts(docs, ends.join(wanted, "h1")))
-    able = able.unionByName(crowded_pairs(crowd, texts, edits)).distinct()
-    side = lambda k, t: texts.select(F.col("h1").alias(k), F.col("h2").alias(f"{k}2"), F.col("first").alias(f"{k}_first"), F.col("line").alias(t))
-    both = able.join(side("a", "x"), "a").join(side("b", "y"), "b").filter(pieces_agree(F.col("x"), F.col("y"), edits))
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("h1")).union(crowd.select("a")).distinct()
+    texts = common.persist_shared(line_texts(docs, lines.select("h1", "h2", "first").join(wanted, "h1")))
+    able = pairs.unionByName(crowded_pairs(crowd, texts, edits)).distinct()
+    side = lambda k, t: texts.select(F.col("h1").alias(k), F.col("h2").alias(f"{k}2"), F.col("first").alias(f"{k}_first"), F.col("counts").alias(f"{k}_counts"), F.col("line").alias(t))
+    both = able.join(side("a", "x"), "a").join(side("b", "y"), "b").filter(counts_agree(F.col("a_counts"), F.col("b_counts"), edits) & pieces_agree(F.col("x"), F.col("y"), edits))
     both = common.persist_shared(both.withColumns({"xp": code_points(F.col("x")), "yp": code_points(F.col("y"))}).drop("x", "y"))
     both = both.filter(banded_distance(F.col("yp"), F.col("xp"), edits) <= edits)
     later = F.when(F.col("a_first") > F.col("b_first"), F.struct(F.col("a").alias("h1"), F.col("a2").alias("h2"))).otherwise(F.struct(F.col("b").alias("h1"), F.col("b2").alias("h2")))
@@ -258,9 +257,9 @@ def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> Dat
 
 def removed_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     """(doc_id, line_no) of every line that goes, once each."""
-    lines = common.persist_shared(occurrences(docs).groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("n"), F.first("counts").alias("counts")))
+    lines = common.persist_shared(distinct_lines(docs, edits))
     near = near_lines(docs, lines, edits).withColumn("near", F.lit(True))
-    judged = lines.join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
+    judged = lines.select("h1", "h2", "first", "n").join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
     gone = occurrences(docs).join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
     kind = docs.schema["doc_id"].dataType.simpleString()
     return gone.select("place").distinct().select(_doc_of(F.col("place"), kind).alias("doc_id"), _line_of(F.col("place")).alias("line_no"))
