@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from . import common
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-#: Bytes of distinct pre-tokens that a Python worker remembers between blocks.
+#: Characters of distinct pre-tokens of one generation that a Python worker remembers.
 CACHE_BYTES = 2_500_000
 #: Bytes of text whose pre-tokens are encoded together.
 BLOCK_BYTES = 8_000_000
@@ -120,37 +120,57 @@ class MergeReplay:
         return out  # type: ignore[return-value]
 
 
-_KEPT: dict[str, tuple[MergeReplay, dict[str, tuple[str, bytes, int]], list[int]]] = {}
+class Worker:
+    """Encoder of a Python worker, with the ids of the pre-tokens it met, as joined text.
+
+    Two generations bound the memory: when the young one is full it becomes the old
+    one, and pre-tokens that are met again move back, so the frequent ones always stay.
+    """
+
+    def __init__(self, path: str) -> None:
+        self.replay = MergeReplay(read_ranks(path))
+        self.by_name = {str(rank): token for rank, token in self.replay.tokens.items()}
+        self.young: dict[str, str] = {}
+        self.old: dict[str, str] = {}
+        self.held = 0
+
+    def learn(self, pieces: set[str]) -> dict[str, str]:
+        """A table that has all the given pre-tokens."""
+        if self.held > CACHE_BYTES:
+            self.young, self.old, self.held = {}, self.young, 0
+        young, old = self.young, self.old
+        fresh = []
+        for p in pieces:
+            if p not in young:
+                if p in old:
+                    young[p] = old[p]
+                else:
+                    fresh.append(p)
+                self.held += len(p)
+        raw = [p.encode("utf-8", "surrogatepass") for p in fresh]
+        for p, ids in zip(fresh, self.replay.encode(raw), strict=True):
+            young[p] = ",".join(map(str, ids))
+        return young
 
 
-def _worker(path: str):
-    """Encoder and remembered words of this Python worker."""
+_KEPT: dict[str, Worker] = {}
+
+
+def _worker(path: str) -> Worker:
     if path not in _KEPT:
-        _KEPT[path] = (MergeReplay(read_ranks(path)), {}, [0])
+        _KEPT[path] = Worker(path)
     return _KEPT[path]
 
 
 def _encode_rows(texts: list[str], path: str, pattern) -> Iterator[tuple[int, str, bytes]]:
     """(number of ids, ids joined by commas, bytes the ids stand for) of each text."""
-    replay, known, held = _worker(path)
+    worker = _worker(path)
     pieces = [pattern.findall(t) for t in texts]
-    fresh = [*{p for row in pieces for p in row if p not in known}]
-    raw = [p.encode("utf-8", "surrogatepass") for p in fresh]
-    local = known
-    if held[0] + sum(map(len, raw)) > CACHE_BYTES:
-        known.clear()
-        held[0] = 0
-        fresh = [*{p for row in pieces for p in row}]
-        raw = [p.encode("utf-8", "surrogatepass") for p in fresh]
-        if sum(map(len, raw)) > CACHE_BYTES:
-            local = {}
-    for piece, ids in zip(fresh, replay.encode(raw), strict=True):
-        local[piece] = (",".join(map(str, ids)), b"".join([replay.tokens[i] for i in ids]), len(ids))
-    if local is known:
-        held[0] += sum(map(len, raw))
+    known, tokens = worker.learn({p for row in pieces for p in row}), worker.by_name
     for row in pieces:
-        found = [local[p] for p in row]
-        yield sum([x[2] for x in found]), ",".join([x[0] for x in found]), b"".join([x[1] for x in found])
+        joined = ",".join([known[p] for p in row])
+        ids = joined.split(",") if joined else []
+        yield len(ids), joined, b"".join([tokens[i] for i in ids])
 
 
 def _encoder(path: str, pattern: str, schema: pa.Schema, keep: list[str], with_ids: bool):
@@ -190,7 +210,7 @@ def bpe_encode(docs: DataFrame, path: str, pattern: str, with_ids: bool = True)
 
 
 def decode(ids: list[int], path: str) -> bytes:
-    tokens = _worker(path)[0].tokens
+    tokens = _worker(path).replay.tokens
     return b"".join([tokens[i] for i in ids])
 
 
