@@ -26,7 +26,7 @@ from . import common
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: Characters of distinct pre-tokens of one generation that a Python worker remembers.
-CACHE_BYTES = 2_500_000
+CACHE_BYTES = 6_000_000
 #: Bytes of text whose pre-tokens are encoded together.
 BLOCK_BYTES = 8_000_000
 
@@ -153,13 +153,8 @@ class Worker:
         return young
 
 
-_KEPT: dict[str, Worker] = {}
-
-
 def _worker(path: str) -> Worker:
-    if path not in _KEPT:
-        _KEPT[path] = Worker(path)
-    return _KEPT[path]
+    return common.worker_memory(("bpe", path), lambda: Worker(path))
 
 
 def _encode_rows(texts: list[str], path: str, pattern) -> Iterator[tuple[int, str, bytes]]:

@@ -53,6 +53,17 @@ def raw_texts(batch: pa.RecordBatch, name: str = "text") -> list[bytes]:
     return [x if x is not None else b"" for x in column.cast(pa.binary()).to_pylist()]
 
 
+_MEMORY: list = [None, None]
+
+
+def worker_memory(owner, make):
+    """What ``make`` gives, kept by this Python worker between tasks until another owner asks: one operator's memory at a time."""
+    if _MEMORY[0] != owner:
+        _MEMORY[:] = [None, None]
+        _MEMORY[:] = [owner, make()]
+    return _MEMORY[1]
+
+
 def small(batches, rows: int = 256):
     """The batches in shorter pieces, so that a worker holds few rows as Python objects at once."""
     for batch in batches:

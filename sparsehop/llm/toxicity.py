@@ -21,6 +21,7 @@ from __future__ import annotations
 
 import math
 import re
+import uuid
 import zlib
 from collections.abc import Iterator
 
@@ -253,9 +254,10 @@ def score_toxicity(docs: DataFrame, model: np.ndarray, weights: np.ndarray, bias
     rest = docs.drop("score", "predicted")
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in rest.schema] + [T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())])
     arrow, sent = to_arrow_schema(schema), docs.sparkSession.sparkContext.broadcast((model, weights))
+    owner = ("toxicity", uuid.uuid4().hex)  # another model's words are another memory
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        features, weight = Features(sent.value[0]), sent.value[1].tolist()
+        features, weight = common.worker_memory(owner, lambda: Features(sent.value[0])), sent.value[1].tolist()
         for batch in common.small(batches, 1024):
             values = []
             for raw in common.raw_texts(batch):
