@@ -35,7 +35,7 @@ from . import common
 #: Bound of the labelled sample that fits the classifier.
 TRAIN_ROWS = 20_000
 #: Tokens whose slots a Python worker remembers.
-KNOWN_TOKENS = 120_000
+KNOWN_TOKENS = 200_000
 SLOTS = 1 << 18
 SIZE = 64
 #: Letters the model tells apart: 1-26 for a-z, 27-59 for the lower-case Latin-1 letters; 0 is all else.
