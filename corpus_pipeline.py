@@ -21,8 +21,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines that stand earlier in the corpus, to within the edit threshold, leave the texts; n_chars follows."""
-    done = lines.dedup_lines(docs.select(*COLUMNS))
+    """Lines that stand earlier in the corpus leave the texts, at any length if equal, long ones to within the edit threshold; n_chars follows."""
+    done = lines.dedup_lines(docs.select(*COLUMNS), least=1)
     return done.withColumn("n_chars", F.char_length(common.text_of()).cast("long")).select(*COLUMNS)
 
 

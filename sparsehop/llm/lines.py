@@ -2,7 +2,9 @@
 
 A line of ``MIN_CHARS`` characters or more goes if an equal line, or one within
 ``MAX_EDITS`` edits, stands earlier in the corpus (smaller doc_id, or same
-document and smaller line number). Lines are judged on the input.
+document and smaller line number). Lines are judged on the input. With a smaller
+``least``, lines from that length on go if an equal one stands earlier; the two
+edits still need ``MIN_CHARS``, as they leave nothing to compare in shorter lines.
 
 Distinct lines are cut into MAX_EDITS + 1 segments: a line within that many
 edits keeps one of them. The index has each segment by its number, the line's
@@ -14,7 +16,7 @@ never becomes all its pairs. All pairs are verified by banded bit-parallel edit
 distance: the band of 2 * MAX_EDITS + 1 diagonals is one integer, updated once a
 character; letter counts and pieces that a true pair must share go before it.
 
-Null and empty texts have one empty line, which is shorter than MIN_CHARS and
+Null and empty texts have one empty line, which is shorter than any ``least`` and
 stays. Rows that repeat a doc_id share their places: equal lines at one place
 are one line and stay both.
 """
@@ -50,15 +52,19 @@ def _line_of(place: Column) -> Column:
     return F.pmod(place, F.lit(LINES).cast("decimal(38,0)")).cast("int")
 
 
-def occurrences(docs: DataFrame, edits: int | None = None) -> DataFrame:
-    """h1, h2 (hashes of the line) and place of every line that is long enough; with ``edits``, its probe keys.
+def occurrences(docs: DataFrame, edits: int | None = None, least: int = MIN_CHARS) -> DataFrame:
+    """h1, h2 (hashes of the line) and place of every line of ``least`` characters or more; with ``edits``, its probe keys.
 
     The keys are plain columns p0, p1, ..., the line's own index keys first; the lines themselves go no further.
+    Lines under ``MIN_CHARS`` have no keys.
     """
     split = docs.select("doc_id", F.posexplode(F.split(common.text_of(), "\n", -1)).alias("line_no", "line"))
-    long = split.filter(F.char_length("line") >= MIN_CHARS)
+    long = split.filter(F.char_length("line") >= least)
     own = [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2")]
-    probes = [] if edits is None else [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits))]
+    keys = [] if edits is None else probe_keys(F.col("line"), edits)
+    if least < MIN_CHARS:
+        keys = [F.when(F.char_length("line") >= MIN_CHARS, k) for k in keys]
+    probes = [k.alias(f"p{n}") for n, k in enumerate(keys)]
     return long.select(*own, _place().alias("place"), *probes)
 
 
@@ -184,9 +190,9 @@ def pieces_agree(x: Column, y: Column, edits: int) -> Column:
     return found >= pieces - edits
 
 
-def distinct_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+def distinct_lines(docs: DataFrame, edits: int = MAX_EDITS, least: int = MIN_CHARS) -> DataFrame:
     """h1, h2, first place, n places and probe keys of each distinct line."""
-    seen = occurrences(docs, edits)
+    seen = occurrences(docs, edits, least)
     keys = [c for c in seen.columns if c[0] == "p" and c != "place"]
     return seen.groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count(F.lit(1)).alias("n"), *[F.first(c).alias(c) for c in keys])
 
@@ -197,6 +203,7 @@ def meetings(lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     ``own`` marks the line's own index keys. Rows are as many as probes that meet, whatever n is.
     """
     keys = [c for c in lines.columns if c[0] == "p"]
+    lines = lines.filter("p0 IS NOT NULL")
     index = lines.select(F.col("h1").alias("b"), F.explode(F.array(*keys[: edits + 1])).alias("key"))
     index = index.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("b").alias("low"), F.max("b").alias("high"))
     probes = lines.select(F.col("h1").alias("a"), F.posexplode(F.array(*keys)).alias("at", "key")).filter("key IS NOT NULL")
@@ -255,27 +262,28 @@ def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> Dat
     return both.select(later.alias("line")).select("line.h1", "line.h2").distinct()
 
 
-def removed_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+def removed_lines(docs: DataFrame, edits: int = MAX_EDITS, least: int = MIN_CHARS) -> DataFrame:
     """(doc_id, line_no) of every line that goes, once each."""
-    lines = common.persist_shared(distinct_lines(docs, edits))
+    lines = common.persist_shared(distinct_lines(docs, edits, least))
     near = near_lines(docs, lines, edits).withColumn("near", F.lit(True))
     judged = lines.select("h1", "h2", "first", "n").join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
-    gone = occurrences(docs).join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
+    gone = occurrences(docs, least=least).join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
     kind = docs.schema["doc_id"].dataType.simpleString()
     return gone.select("place").distinct().select(_doc_of(F.col("place"), kind).alias("doc_id"), _line_of(F.col("place")).alias("line_no"))
 
 
-def dedup_lines(docs: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
+def dedup_lines(docs: DataFrame, edits: int = MAX_EDITS, least: int = MIN_CHARS) -> DataFrame:
     """``docs`` with the lines that stay as ``text``, and n_lines and n_removed.
 
+    ``least`` is the length from which equal lines go: 1 takes every line that is not empty.
     A document that loses no line keeps its text as it is; one that loses all has an empty text.
     """
-    gone = removed_lines(docs, edits).groupBy(F.col("doc_id").alias("id")).agg(F.collect_set("line_no").alias("gone"))
+    gone = removed_lines(docs, edits, least).groupBy(F.col("doc_id").alias("id")).agg(F.collect_set("line_no").alias("gone"))
     rest = docs.drop(*OWN)
     joined = rest.join(gone, rest["doc_id"].eqNullSafe(gone["id"]), "left").drop("id")
     pieces = F.split(common.text_of(), "\n", -1)
     # a place shared by rows of one doc_id may be a short line in one of them, which stays
-    stays = F.filter(pieces, lambda line, i: (F.char_length(line) < MIN_CHARS) | ~F.array_contains("gone", i))
+    stays = F.filter(pieces, lambda line, i: (F.char_length(line) < least) | ~F.array_contains("gone", i))
     kept = F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(stays, "\n"))
     return joined.withColumns({"n_lines": F.size(pieces).cast("long"), "n_removed": F.when(F.col("gone").isNull(), 0).otherwise(F.size(pieces) - F.size(stays)).cast("long"), "text": kept}).drop("gone")
 

@@ -44,3 +44,12 @@ def test_stages_take_effect_and_keep_clean_documents(spark, tmp_path):
     again = {r.doc_id: r for r in corpus_pipeline.run(spark, str(tmp_path)).collect()}
     assert {k: v.ids_sha256 for k, v in again.items()} == {k: v.ids_sha256 for k, v in seen["bpe"].items()}
     assert lines.MIN_CHARS == 20 and neardup.THRESHOLD == 0.8
+
+
+def test_short_equal_lines_go_and_short_near_lines_stay(spark):
+    long = prose(1, 12, 99)
+    texts = {1: "Les.\nAnd ornd.\n\nLes.", 2: f"Les.\n{long}\nx\n", 3: f"Lest.\nLes.\n{long}é\nx\nAnd ornd", 4: "Les.", 5: None, 6: ""}
+    docs = spark.createDataFrame([(d, t, "en", "s", len(t or "")) for d, t in texts.items()], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    got = {r.doc_id: (r.text, r.n_chars) for r in corpus_pipeline.drop_repeated_lines(spark, docs, "").collect()}
+    want = {1: "Les.\nAnd ornd.\n", 2: f"{long}\nx\n", 3: "Lest.\nAnd ornd", 4: "", 5: None, 6: ""}
+    assert got == {d: (t, len(t or "")) for d, t in want.items()}
