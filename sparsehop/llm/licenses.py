@@ -5,8 +5,8 @@ of the same hash in the license templates. A hit votes for the diagonal (place
 in the text less place in the template); neighbouring diagonals that an
 inserted or lost word sets apart are merged. Each hit is verified by a second,
 independent hash of its words, and a candidate span by the share of the
-template's words that its hits cover; short phrases must match word for word on
-one diagonal.
+template's words that its hits cover; short phrases and one-line notices must
+match word for word on one diagonal. Phrases alone count for the base columns.
 
 Null and empty texts have no words, no labels and score 0. Rows that repeat a
 doc_id are told apart by their text; equal rows get equal results.
@@ -26,6 +26,26 @@ from . import common
 
 # Phrases with their labels, and license wordings in public use.
 PHRASES = {"under the mit license": "mit", "apache license version 2": "apache-2", "cc by nc": "cc-by-nc"}
+#: One-line notices, whose every word must match.
+NOTICES = {
+    "released under the mit license": "mit",
+    "licensed under the mit license": "mit",
+    "licensed under the apache license version 2": "apache-2",
+    "licensed under the bsd": "bsd",
+    "bsd 3 clause license": "bsd",
+    "bsd 2 clause license": "bsd",
+    "licensed under the gnu general public license": "gpl",
+    "gnu general public license version 3": "gpl",
+    "gnu general public license v3": "gpl",
+    "gnu gpl v3": "gpl",
+    "licensed under cc by nc": "cc-by-nc",
+    "creative commons attribution noncommercial": "cc-by-nc",
+    "licensed under cc by 4 0": "cc-by",
+    "creative commons attribution 4 0": "cc-by",
+    "mozilla public license version 2": "mpl-2",
+    "mozilla public license v 2": "mpl-2",
+    "all rights reserved": "reserved",
+}
 WORDINGS = {
     "mit": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the Software), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so",
     "apache-2": "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0",
@@ -79,14 +99,15 @@ class Grams:
         return text[whole], whole - starts[text[whole]], *out
 
 
-def templates(spark, phrases: dict[str, str] = PHRASES, wordings: dict[str, str] = WORDINGS) -> DataFrame:
+def templates(spark, phrases: dict[str, str] = PHRASES, wordings: dict[str, str] = WORDINGS, notices: dict[str, str] = NOTICES) -> DataFrame:
     """One row a k-gram of each template: a fixed table of fixed size, so safe to broadcast."""
-    texts = [(label, True, text) for text, label in phrases.items()] + [(label, False, text) for label, text in wordings.items()]
-    words = [common.words_of(t.encode()) for _, _, t in texts]
+    texts = [(label, True, True, text) for text, label in phrases.items()] + [(label, False, True, text) for text, label in notices.items()]
+    texts += [(label, False, False, text) for label, text in wordings.items()]
+    words = [common.words_of(t[-1].encode()) for t in texts]
     if any(len(w) < K for w in words):
         raise ValueError(f"a template needs {K} words")
-    rows = [(int(i), texts[i][0], texts[i][1], len(words[i]), int(at), int(h), int(c)) for i, at, h, c in zip(*Grams().of(words), strict=True)]
-    return spark.createDataFrame(rows, "template int, label string, phrase boolean, t_len int, t_at int, hash long, t_check long")
+    rows = [(int(i), *texts[i][:3], len(words[i]), int(at), int(h), int(c)) for i, at, h, c in zip(*Grams().of(words), strict=True)]
+    return spark.createDataFrame(rows, "template int, label string, phrase boolean, whole boolean, t_len int, t_at int, hash long, t_check long")
 
 
 def _gram_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -111,16 +132,17 @@ def votes(docs: DataFrame, table: DataFrame) -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
     grams = docs.select("doc_id", "text").mapInArrow(_gram_rows, f"doc_id {kind}, text_id long, at int, hash long, check long")
     met = grams.join(F.broadcast(table), "hash", "left").filter((F.col("at") < 0) | (F.col("check") == F.col("t_check")))
-    return met.select("doc_id", "text_id", "at", F.when(F.col("at") < 0, F.col("hash")).alias("n_words"), "template", "label", "phrase", "t_len", "t_at")
+    return met.select("doc_id", "text_id", "at", F.when(F.col("at") < 0, F.col("hash")).alias("n_words"), "template", "label", "phrase", "whole", "t_len", "t_at")
 
 
 def license_spans(met: DataFrame) -> DataFrame:
     """Verified spans from ``votes``: doc_id, text_id, template, label, phrase, first and last word (inclusive), share."""
-    hits = met.filter("at >= 0").select("doc_id", "text_id", "template", "label", "phrase", "t_len", "at", "t_at", (F.col("at") - F.col("t_at")).alias("diagonal")).distinct()
+    hits = met.filter("at >= 0").select("doc_id", "text_id", "template", "label", "phrase", "whole", "t_len", "at", "t_at", (F.col("at") - F.col("t_at")).alias("diagonal")).distinct()
     # one row a diagonal: votes and the words that it covers
-    by = ["doc_id", "text_id", "template", "label", "phrase", "t_len"]
+    by = ["doc_id", "text_id", "template", "label", "phrase", "whole", "t_len"]
+    kept = [c for c in by if c not in ("whole", "t_len")]
     diagonals = hits.groupBy(*by, "diagonal").agg(F.count("*").alias("votes"), F.min("at").alias("first"), (F.max("at") + K - 1).alias("last"), F.collect_set("t_at").alias("t_ats"))
-    exact = diagonals.filter(F.col("phrase") & (F.col("votes") == F.col("t_len") - (K - 1))).select(*by[:-1], "first", "last", F.lit(1.0).alias("share"))
+    exact = diagonals.filter(F.col("whole") & (F.col("votes") == F.col("t_len") - (K - 1))).select(*kept, "first", "last", F.lit(1.0).alias("share"))
     sorted_diagonals = F.array_sort(F.collect_list(F.struct("diagonal", "first", "last", "t_ats")))
 
     def join(groups, d):
@@ -131,10 +153,10 @@ def license_spans(met: DataFrame) -> DataFrame:
         return F.when(near, F.concat(F.slice(groups, 1, F.greatest(F.size(groups) - 1, F.lit(0))), F.array(one))).otherwise(F.concat(groups, F.array(fresh)))
 
     empty = F.array().cast("array<struct<diagonal:int,first:int,last:int,t_ats:array<int>>>")
-    merged = diagonals.filter(~F.col("phrase")).groupBy(*by).agg(F.aggregate(sorted_diagonals, empty, join).alias("groups")).select(*by, F.inline("groups"))
+    merged = diagonals.filter(~F.col("whole")).groupBy(*by).agg(F.aggregate(sorted_diagonals, empty, join).alias("groups")).select(*by, F.inline("groups"))
     covered = F.size(F.array_distinct(F.flatten(F.transform("t_ats", lambda i: F.sequence(i, i + (K - 1))))))
     close = (F.col("last") - F.col("first") + 1) <= 2 * F.col("t_len")
-    voted = merged.withColumn("share", covered / F.col("t_len")).filter(close & (F.col("share") >= LEAST_SHARE)).select(*by[:-1], "first", "last", "share")
+    voted = merged.withColumn("share", covered / F.col("t_len")).filter(close & (F.col("share") >= LEAST_SHARE)).select(*kept, "first", "last", "share")
     return exact.unionByName(voted)
 
 

@@ -75,6 +75,20 @@ def test_license_base_and_voted_labels(spark):
     assert rows[3].labels == "mit" and rows[3].score > 0.9 and rows[2].labels == "" and 0 <= min(r.score for r in rows.values())
 
 
+def test_license_lines_of_the_given_tables_are_labelled(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    docs = docs.filter("text RLIKE '(?i)licen|reserved'").union(spark.createDataFrame([(-1, "All rights"), (-2, "the GNU Lesser General Public License, version 3"), (-3, "Licensed under CC BY 4.0")], SCHEMA))
+    lines_of = {"gnu general public license version 3": "gpl", "all rights reserved": "reserved", "released under the mit license": "mit", "licensed under cc by nc 4 0": "cc-by-nc", "licensed under the apache license version 2 0": "apache-2", "licensed under cc by 4 0": "cc-by"}
+    want = {}
+    for d, t in docs.collect():
+        padded = f" {' '.join(words(t))} "
+        want[d] = ",".join(sorted({label for line, label in lines_of.items() if f" {line} " in padded}))
+    rows = licenses.scan_licenses(docs, licenses.templates(spark)).collect()
+    assert {r.doc_id: r.labels for r in rows} == want
+    assert {x for labels in want.values() for x in labels.split(",")} == {"", *lines_of.values()}
+    assert all(r.score == (1 if r.labels else 0) and (r.n_base > 0 or not r.base_labels) for r in rows)
+
+
 # --- suffix arrays --------------------------------------------------------------------------------
 
 
