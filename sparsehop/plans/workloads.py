@@ -79,8 +79,8 @@ def crossover(a: DataFrame, b: DataFrame) -> DataFrame:
     return both.agg(F.min(F.when(F.col("x") > F.col("y"), F.col("size"))).alias("size"))
 
 
-def level_times(g: Graph, source: int) -> list[dict]:
-    """Per level: counts, and the time of a push and of a pull from the same state."""
+def level_times(g: Graph, source: int, runs: int = 1) -> list[dict]:
+    """Per level: counts, and the mean time of a push and of a pull from the same state."""
     levels = persist(bfs(g, source).levels)
     rows, trace = persist(g.rows()), {x["iter"]: x.asDict() for x in cost.trace(g, levels).collect()}
     out, opts = [], MatvecOptions()
@@ -89,9 +89,7 @@ def level_times(g: Graph, source: int) -> list[dict]:
         seen = persist(levels.filter(F.col("depth") <= depth).select("id"))
         spent = []
         for plan in (K.col_masked_mxv(g, front, seen, OR_AND, True), K.probe_rows(g, seen, seen, "left_anti", opts, rows)):
-            began = time.perf_counter()
-            plan.write.format("noop").mode("overwrite").save()
-            spent.append(1000 * (time.perf_counter() - began))
+            spent.append(timed(lambda plan=plan: plan.write.format("noop").mode("overwrite").save(), runs)[0])
         out.append(trace[depth + 1] | {"push_ms": spent[0], "pull_ms": spent[1]})
     return out
 

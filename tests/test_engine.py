@@ -235,3 +235,19 @@ def test_geomeans_of_published_times(spark):
 
     got = {r.system: r.speedup for r in W.geomean(support._published(spark), "masked", []).collect()}
     assert abs(got["la_cpu"] - 82.7) < 0.1 and abs(got["push_la_gpu"] - 4.05) < 0.01 and abs(got["vc_cpu"] - 1.71) < 0.01
+
+
+def test_timed_workloads_take_all_graphs_and_ten_runs(spark, monkeypatch):
+    from sparsehop import support
+
+    names, seen = {"kron", "rmat_64", "rmat_32", "rmat_16", "word", "ordpart", "copurchase", "pages", "knn", "geometric", "chain", "ladder"}, []
+    graphs = {n: (None, 0, "mesh") for n in names}
+    built = support._bench_graphs(spark, "/root/testdata/sf0.001")
+    assert set(built) == names
+    assert all(g.out_degrees().filter(f"id = {source}").count() == 1 for g, source, _ in built.values())
+    monkeypatch.setattr(support, "_bench_graphs", lambda spark, sf, chosen=(): {n: graphs[n] for n in chosen or names})
+    monkeypatch.setattr(W, "compare", lambda graphs, systems=None, runs=1: seen.append((set(graphs), runs)) or [{"g": n, "t": "mesh", "s": s, "ms": 1.0, "m": 1.0, "st": "ok"} for n in graphs for s in ("switching", "vc_cpu")])
+    from sparsehop.catalogue import QUERIES as queries
+    assert queries["workload_compare"](spark, "").count() == 2 * len(names)
+    assert queries["workload_compare_by_type"](spark, "").count() == 1
+    assert seen == [(names, 10), (names, 10)]
