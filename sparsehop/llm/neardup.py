@@ -234,7 +234,15 @@ def links(docs: DataFrame, sets: DataFrame, met: DataFrame, threshold: float = T
             mine = [xxhash.xxh3_128_digest(x) == y for x, y in zip(found, batch.column(1).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.binary())], names=["set", "hashes"]).filter(pa.array(mine, pa.bool_()))
 
-    hashes = common.persist_shared(texts.mapInArrow(whole, "set long, hashes binary").dropDuplicates(["set"]))
+    def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in common.small(batches):
+            found = [shingles(raw).tobytes() for raw in common.raw_texts(batch)]
+            yield pa.RecordBatch.from_arrays([pa.array([xxhash.xxh3_128_digest(x) for x in found], pa.binary()), pa.array(found, pa.binary())], names=["set_id", "hashes"])
+
+    # sets that only rows without a doc_id hold meet their texts by digest: an equal null would pair all such rows
+    unnamed = docs.filter("doc_id IS NULL").select("text").mapInArrow(digests, "set_id binary, hashes binary")
+    unnamed = unnamed.join(spots.filter("doc_id IS NULL").select("set", "set_id"), "set_id").select("set", "hashes")
+    hashes = common.persist_shared(texts.mapInArrow(whole, "set long, hashes binary").unionByName(unnamed).dropDuplicates(["set"]))
     full = met.join(sets.select("set", "n", "paths", "signature", "copies"), "set").join(hashes, "set")
     ready = full.select(*UNIT, "block", "set", "n", "paths", "signature", "copies", "hashes").repartition(*UNIT).sortWithinPartitions(*UNIT)
     return ready.mapInArrow(_link(threshold), "set long, links long, least long")

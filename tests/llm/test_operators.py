@@ -424,6 +424,14 @@ def plane_of(zigzagged, basis):
     return basis @ block @ basis.T
 
 
+def test_near_copies_without_a_doc_id_are_linked(spark):
+    base = prose(9, 120, 900).split()
+    edited = lambda at: " ".join([*base[:at], "other", *base[at + 1 :]])
+    docs = [(None, edited(5)), (None, edited(60)), (None, edited(5)), (4, edited(110)), (5, prose(10, 120, 900)), (None, prose(11, 120, 900)), (None, None)]
+    rows = neardup.near_duplicates(spark.createDataFrame(docs, SCHEMA)).collect()
+    assert sorted((r.doc_id or 0, r.class_id or 0, r.n_links) for r in rows) == [(0, 0, 0), (0, 0, 0), (0, 4, 3), (0, 4, 3), (0, 4, 3), (4, 4, 3), (5, 5, 0)]
+
+
 # --- lines ----------------------------------------------------------------------------------------
 
 
