@@ -15,8 +15,10 @@ from __future__ import annotations
 
 import base64
 import heapq
-from collections.abc import Iterator
+from array import array
+from collections.abc import Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -25,10 +27,12 @@ from pyspark.sql import functions as F
 from . import common
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-#: Characters of distinct pre-tokens of one generation that a Python worker remembers.
-CACHE_BYTES = 6_000_000
-#: Bytes of text whose pre-tokens are encoded together.
-BLOCK_BYTES = 8_000_000
+#: Bytes, as Python holds them, of the pre-tokens with their ids that one generation of a worker's memory takes.
+CACHE_BYTES = 80_000_000
+#: Pairs of ids whose rank a worker remembers.
+CACHE_PAIRS = 200_000
+#: Bytes of text that are split at once, and of new pre-tokens that are encoded together.
+BLOCK_BYTES, REPLAY_BYTES = 2_000_000, 200_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -36,32 +40,41 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(token): int(rank) for token, rank in (line.split() for line in lines if line.strip())}
 
 
+def _ascending(places: array) -> Iterable[int]:
+    """Positions in order; of many, a bounded list of Python integers at a time."""
+    if len(places) < 4096:
+        return sorted(places)
+    ordered = np.sort(np.frombuffer(places, np.int32))
+    return (i for at in range(0, len(ordered), 65_536) for i in ordered[at : at + 65_536].tolist())
+
+
 class MergeReplay:
     def __init__(self, ranks: dict[bytes, int]) -> None:
         self.ranks = ranks
-        self.tokens = {rank: token for token, rank in ranks.items()}
-        self.pairs: dict[tuple[int, int], int] = {}
+        self.tokens: list[bytes] = [b""] * (max(ranks.values(), default=-1) + 1)
+        for token, rank in ranks.items():
+            self.tokens[rank] = token
+        self.pairs: dict[int, int] = {}
 
     def rank_of(self, a: int, b: int) -> int:
         """Rank of two neighbours joined, -1 where the vocabulary lacks it."""
-        key = (a, b)
+        key = a << 32 | b
         rank = self.pairs.get(key)
         if rank is None:
             rank = self.ranks.get(self.tokens[a] + self.tokens[b], -1)
-            if len(self.pairs) < 250_000:
-                self.pairs[key] = rank
+            if len(self.pairs) >= CACHE_PAIRS:
+                self.pairs.clear()
+            self.pairs[key] = rank
         return rank
 
     def encode(self, words: list[bytes]) -> list[tuple[int, ...]]:
         """Ids of each word, as ranks merge them in order."""
         out: list[tuple[int, ...] | None] = [(whole,) if (whole := self.ranks.get(w)) is not None else None if w else () for w in words]
-        symbol: list[int] = []
-        owner: list[int] = []
-        left: list[int] = []
-        right: list[int] = []
+        # machine integers, so that one endless pre-token costs some twenty bytes a byte
+        symbol, owner, left, right = array("i"), array("i"), array("i"), array("i")
         first: dict[int, int] = {}
         single = [self.ranks.get(bytes([b]), -1) for b in range(256)]
-        index: dict[int, list[int]] = {}
+        index: dict[int, array] = {}
         rank_of = self.rank_of
         for k, word in enumerate(words):
             if out[k] is not None:
@@ -69,13 +82,15 @@ class MergeReplay:
             base, n = len(symbol), len(word)
             first[k] = base
             symbol.extend([single[b] for b in word])
-            owner.extend([k] * n)
+            owner.extend(array("i", [k]) * n)
             left.extend(range(base - 1, base + n - 1))
             right.extend(range(base + 1, base + n + 1))
             left[base], right[base + n - 1] = -1, -1
             for i in range(base, base + n - 1):
                 if (rank := rank_of(symbol[i], symbol[i + 1])) >= 0:
-                    index.setdefault(rank, []).append(i)
+                    if rank not in index:
+                        index[rank] = array("i")
+                    index[rank].append(i)
         heap = [*index]
         heapq.heapify(heap)
         while heap:
@@ -83,15 +98,14 @@ class MergeReplay:
             places = index.pop(rank, None)
             if places is None:
                 continue
-            places.sort()
             held: set[int] = set()
-            for i in places:
+            for i in _ascending(places):
                 j = right[i]
                 if symbol[i] < 0 or j < 0 or rank_of(symbol[i], symbol[j]) != rank:
                     continue
                 if owner[i] in held:
                     if rank not in index:
-                        index[rank] = []
+                        index[rank] = array("i")
                         heapq.heappush(heap, rank)
                     index[rank].append(i)
                     continue
@@ -106,7 +120,7 @@ class MergeReplay:
                     if opened < 0:
                         continue
                     if opened not in index:
-                        index[opened] = []
+                        index[opened] = array("i")
                         heapq.heappush(heap, opened)
                     index[opened].append(at)
                     if opened < rank:
@@ -129,7 +143,7 @@ class Worker:
 
     def __init__(self, path: str) -> None:
         self.replay = MergeReplay(read_ranks(path))
-        self.by_name = {str(rank): token for rank, token in self.replay.tokens.items()}
+        self.by_name = {str(rank): token for rank, token in enumerate(self.replay.tokens)}
         self.young: dict[str, str] = {}
         self.old: dict[str, str] = {}
         self.held = 0
@@ -144,12 +158,14 @@ class Worker:
             if p not in young:
                 if p in old:
                     young[p] = old[p]
+                    self.held += common.weight(p, young[p])
                 else:
                     fresh.append(p)
-                self.held += len(p)
         raw = [p.encode("utf-8", "surrogatepass") for p in fresh]
-        for p, ids in zip(fresh, self.replay.encode(raw), strict=True):
-            young[p] = ",".join(map(str, ids))
+        for a, b in common.slices([len(x) for x in raw], REPLAY_BYTES):
+            for p, ids in zip(fresh[a:b], self.replay.encode(raw[a:b]), strict=True):
+                young[p] = ",".join(map(str, ids))
+                self.held += common.weight(p, young[p])
         return young
 
 

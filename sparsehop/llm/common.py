@@ -8,10 +8,12 @@ is replaced by that result.
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import hashlib
 import os
 import re
+import sys
 import tempfile
 import uuid
 
@@ -56,14 +58,30 @@ def raw_texts(batch: pa.RecordBatch, name: str = "text") -> list[bytes]:
 _MEMORY: list = [None, None]
 
 
+def fresh_worker() -> None:
+    """What a Python stage without a memory of its own calls first: whatever an earlier stage left in a reused worker goes back to the system."""
+    _MEMORY[:] = [None, None]
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library: nothing to trim
+        pass
+
+
 def worker_memory(owner, make):
     """What ``make`` gives, kept by this Python worker between tasks until another owner asks: one operator's memory at a time."""
     if _MEMORY[0] != owner:
-        _MEMORY[:] = [None, None]
+        fresh_worker()
         _MEMORY[:] = [owner, make()]
     return _MEMORY[1]
 
 
+def weight(*values: str) -> int:
+    """Bytes that strings take as entries of a dictionary."""
+    return 104 + sum(map(sys.getsizeof, values))
+
+
 def small(batches, rows: int = 256):
     """The batches in shorter pieces, so that a worker holds few rows as Python objects at once."""
     for batch in batches:
@@ -88,9 +106,11 @@ def slices(sizes: list[int], most: int):
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The checkpoint folder of the session; a temporary one only where none is set (tests)."""
+    """The checkpoint folder of the session; a temporary one only where none is set and all runs on one machine (tests)."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not where:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         where = os.path.join(tempfile.gettempdir(), "sparsehop-checkpoints")
     return where.rstrip("/")
 
@@ -117,3 +137,21 @@ def forget_shared(df: DataFrame) -> None:
     for name in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
         path = jvm.org.apache.hadoop.fs.Path(name)
         path.getFileSystem(conf).delete(path, True)
+
+
+def salted(rows: DataFrame, keys: list[str], hot: DataFrame, by: Column, salts: int = 64) -> DataFrame:
+    """``rows`` with ``salt``: spread by ``by`` where the keys are hot, 0 elsewhere. ``hot`` is what ``hot_keys`` gives, so small enough to send along."""
+    flagged = rows.join(F.broadcast(hot.withColumn("_hot", F.lit(True))), keys, "left")
+    return flagged.withColumn("salt", F.when(F.col("_hot"), F.pmod(F.xxhash64(by), F.lit(salts)).cast("int")).otherwise(0)).drop("_hot")
+
+
+def repeated_for_salts(rows: DataFrame, keys: list[str], hot: DataFrame, salts: int = 64) -> DataFrame:
+    """The other side of a salted join: rows of hot keys once for every salt."""
+    flagged = rows.join(F.broadcast(hot.withColumn("_hot", F.lit(True))), keys, "left")
+    return flagged.withColumn("salt", F.explode(F.when(F.col("_hot"), F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0))))).drop("_hot")
+
+
+def hot_keys(counted: DataFrame, keys: list[str], n: str, share: int = 2000) -> DataFrame:
+    """Keys that stand for more than one row in ``share``: fewer than ``share`` of them, whatever the size of the table."""
+    total = counted.agg(F.coalesce(F.sum(n), F.lit(0))).first()[0]
+    return counted.filter(F.col(n) * share > F.lit(int(total))).select(*keys)

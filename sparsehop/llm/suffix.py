@@ -141,6 +141,7 @@ def _fold(keys: list[np.ndarray], doc: np.ndarray, start: np.ndarray) -> tuple[n
 
 def _collect_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Runs of (doc, text) rows; a slice's own repeats are folded before they are sent anywhere."""
+    common.fresh_worker()
     hasher = Hasher()
     for batch in common.small(batches):
         raws, docs = common.raw_texts(batch), np.array(batch.column(0).to_pylist(), np.int64)
@@ -171,6 +172,7 @@ def _scan_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     State over batches is the last row and the waiting contexts of one anchor, at
     most MOST_CONTEXTS; an anchor with more is crowded from there on.
     """
+    common.fresh_worker()
     anchor, context, waiting, crowded = None, None, [], False
 
     def out(kind, doc, start, length, key) -> pa.RecordBatch:
@@ -287,6 +289,7 @@ REPEATS = "repeat string, length int, doc bigint, start int, earlier boolean"
 
 def _arrays(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Suffix arrays over whole anchors' contexts, several anchors to an array."""
+    common.fresh_worker()
     held: list[tuple[int, int, int, int, bytes]] = []
     size = 0
 
@@ -345,6 +348,7 @@ def _with_bytes(docs: DataFrame, wanted: DataFrame, cut, schema: str) -> DataFra
 
 
 def _cut_contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    common.fresh_worker()
     for batch in common.small(batches):
         rows: list[tuple] = []
         for doc, raw, spans in zip(batch.column(0).to_pylist(), common.raw_texts(batch), batch.column(2).to_pylist(), strict=True):
@@ -390,6 +394,7 @@ def repeated_passages(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    common.fresh_worker()
     for batch in common.small(batches):
         out = []
         for raw, spans in zip(common.raw_texts(batch, "text"), batch.column(batch.schema.get_field_index("spans")).to_pylist(), strict=True):

@@ -34,8 +34,10 @@ from . import common
 
 #: Bound of the labelled sample that fits the classifier.
 TRAIN_ROWS = 20_000
-#: Tokens whose slots a Python worker remembers.
-KNOWN_TOKENS = 200_000
+#: Bytes, as Python holds them, of the tokens whose slots a worker remembers, and disguised runs whose reading it remembers.
+KNOWN_BYTES, KNOWN_RUNS = 32_000_000, 20_000
+#: Code points whose trigrams are counted at once.
+COUNT_POINTS = 1 << 20
 SLOTS = 1 << 18
 SIZE = 64
 #: Letters the model tells apart: 1-26 for a-z, 27-59 for the lower-case Latin-1 letters; 0 is all else.
@@ -62,14 +64,15 @@ def trigram_counts(docs: DataFrame) -> DataFrame:
     """(code, n) of every character trigram of every text; codes are bounded by the alphabet, counts add up over all rows."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.fresh_worker()
         table, total = _codepoint_table(), np.zeros(SIZE**3, np.int64)
-        for batch in common.small(batches, 1024):
+        for batch in common.small(batches):
             raws = common.raw_texts(batch)
-            for a, b in common.slices([len(x) for x in raws], 4_000_000):
+            for a, b in common.slices([len(x) for x in raws], 1_000_000):
                 joined = b"\n\n".join(raws[a:b]).decode("utf-8", "replace").lower()
-                points = np.frombuffer(joined.encode("utf-32-le"), np.uint32)
-                codes = table[np.minimum(points, 65535)]
-                if len(codes) > 2:
+                for at in range(0, len(joined) - 2, COUNT_POINTS):  # windows overlap by two, so each trigram is in one
+                    points = np.frombuffer(joined[at : at + COUNT_POINTS + 2].encode("utf-32-le"), np.uint32)
+                    codes = table[np.minimum(points, 65535)]
                     total += np.bincount((codes[:-2] * SIZE + codes[1:-1]) * SIZE + codes[2:], minlength=SIZE**3)
         seen = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(total[seen])], names=["code", "n"])
@@ -133,7 +136,9 @@ class Deobfuscator:
             path, letters = path
             parts.append(letters)
         read = "".join(reversed(parts)).strip()
-        if len(self.known) < 50_000 and len(run) < 200:
+        if len(run) < 200:
+            if len(self.known) >= KNOWN_RUNS:
+                self.known.clear()
             self.known[run] = read
         return read
 
@@ -162,22 +167,29 @@ def spaced_runs(low: str) -> Iterator[str]:
 
 
 class Features:
-    """Slots of a document's distinct words and of their beginnings; tokens are remembered by a worker."""
+    """Slots of a document's distinct words and of their beginnings; tokens are remembered by a worker.
 
-    def __init__(self, model: np.ndarray) -> None:
-        self.reader, self.known = Deobfuscator(model), {}
+    ``wanted`` tells the slots that are of use: a scorer wants those with a weight, so most tokens have none.
+    """
+
+    def __init__(self, model: np.ndarray, wanted: np.ndarray | None = None) -> None:
+        self.reader, self.wanted = Deobfuscator(model), wanted
+        self.known: dict[str, tuple[int, ...]] = {}
+        self.held = 0
 
-    @staticmethod
-    def of_word(word: str) -> tuple[int, ...]:
+    def of_word(self, word: str) -> list[int]:
         names = [word] + [f"{n}:{word[:n]}" for n in (4, 5, 6) if len(word) > n]
-        return tuple(zlib.crc32(x.encode()) % SLOTS for x in names)
+        slots = [zlib.crc32(x.encode()) % SLOTS for x in names]
+        return slots if self.wanted is None else [i for i in slots if self.wanted[i]]
 
-    def of_token(self, token: str) -> frozenset[int]:
-        found = frozenset(i for word in self.reader.token_words(token) for i in self.of_word(word))
-        if len(self.known) >= KNOWN_TOKENS:
+    def of_token(self, token: str) -> tuple[int, ...]:
+        found = tuple({i for word in self.reader.token_words(token) for i in self.of_word(word)})
+        if self.held > KNOWN_BYTES:
             self.known.clear()
+            self.held = 0
         if len(token) < 60:
             self.known[token] = found
+            self.held += common.weight(token) + (40 + 36 * len(found) if found else 0)
         return found
 
     def of_text(self, raw: bytes) -> set[int]:
@@ -185,7 +197,10 @@ class Features:
         known, slots = self.known, set()
         for token in set(low.split()):
             found = known.get(token)
-            slots |= self.of_token(token) if found is None else found
+            if found is None:
+                found = self.of_token(token)
+            if found:
+                slots.update(found)
         for run in spaced_runs(low):
             for word in _WORD.findall(self.reader.decode(run)):
                 slots.update(self.of_word(word))
@@ -196,43 +211,65 @@ def held_out() -> F.Column:
     return F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 5 == 0
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, model: np.ndarray, most: int = TRAIN_ROWS) -> pa.Table:
-    """Slots and label of at most ``most`` labelled documents."""
-    usable = labels.filter(F.col("toxic").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("label"))
+def training_slots(docs: DataFrame, labels: DataFrame, model: np.ndarray, most: int = TRAIN_ROWS) -> DataFrame:
+    """(slots, label) of at most ``most`` labelled documents; of rows that share a doc_id, the text of the least digest stands for all."""
+    usable = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("label"))
     taken = usable.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    texts = docs.select("doc_id", "text").join(F.broadcast(taken), "doc_id").select("text", "label")
+    named = docs.select("doc_id", common.text_of().alias("text")).join(F.broadcast(taken), "doc_id")
+    least = named.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("text").alias("digest"), "text")).alias("one"), F.first("label").alias("label"))
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def slots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.fresh_worker()
         features = Features(sent.value)
-        for batch in common.small(batches, 1024):
+        for batch in common.small(batches):
             found = [sorted(features.of_text(raw)) for raw in common.raw_texts(batch)]
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.list_(pa.int32())), batch.column(1)], names=["slots", "label"])
 
-    return texts.mapInArrow(slots, "slots array<int>, label int").toArrow()
+    return common.persist_shared(least.select("one.text", "label").mapInArrow(slots, "slots array<int>, label int"))
+
 
+def telling_slots(rows: DataFrame) -> tuple[np.ndarray, int, int]:
+    """(slots that tell the classes apart, rows, toxic rows): counted by Spark; at most SLOTS counts reach the driver."""
+    size = rows.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("toxic")).first()
+    if not 0 < size.toxic < size.n:
+        return np.zeros(0, np.int64), size.n, size.toxic
+    counted = rows.select(F.explode("slots").alias("slot"), "label").groupBy("slot").agg(F.count(F.lit(1)).alias("have"), F.sum("label").alias("toxic")).filter("have >= 2").toArrow()
+    slot, have, toxic = (counted.column(i).to_numpy().astype(np.float64) for i in range(3))
+    share = size.toxic / size.n
+    z = (toxic - have * share) / np.sqrt(have * share * (1 - share) + 0.1)
+    return np.sort(slot[np.abs(z) >= 2.5].astype(np.int64)), size.n, size.toxic
 
-def fit(rows: pa.Table) -> tuple[np.ndarray, float]:
-    """Weights and bias of a logistic regression on the slots that tell the classes apart."""
-    y = rows.column("label").to_numpy().astype(np.float64)
-    prior = (y.sum() + 0.5) / (len(y) + 1.0 if len(y) else 1e3)
+
+def fit(rows: DataFrame) -> tuple[np.ndarray, float]:
+    """Weights and bias of a logistic regression on the slots that tell the classes apart; only these slots of a row reach the driver."""
+    telling, n, n_toxic = telling_slots(rows)
+    prior = (n_toxic + 0.5) / (n + 1.0 if n else 1e3)
     weights, bias = np.zeros(SLOTS), math.log(prior / (1 - prior))
-    if len(y) == 0 or y.min() == y.max():
+    if not len(telling):
         return weights.astype(np.float32), bias
-    lists = rows.column("slots").combine_chunks()
-    flat = lists.flatten().to_numpy()
+    wanted = np.zeros(SLOTS, bool)
+    wanted[telling] = True
+    sent = rows.sparkSession.sparkContext.broadcast(wanted)
+
+    def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.fresh_worker()
+        for batch in batches:
+            lists = batch.column(0)
+            flat, sizes = lists.flatten().to_numpy(zero_copy_only=False), lists.value_lengths().to_numpy(zero_copy_only=False)
+            mine = sent.value[flat]
+            row = np.repeat(np.arange(len(sizes)), sizes)[mine]
+            ends = np.cumsum(np.bincount(row, minlength=len(sizes)))
+            kept = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(flat[mine], pa.int32()))
+            yield pa.RecordBatch.from_arrays([kept, batch.column(1)], names=["slots", "label"])
+
+    # the order of rows decides the last digits of the sums: sorted, equal inputs give equal weights
+    table = rows.mapInArrow(pick, "slots array<int>, label int").orderBy("label", "slots").toArrow()
+    y = table.column("label").to_numpy().astype(np.float64)
+    lists = table.column("slots").combine_chunks()
+    flat = np.searchsorted(telling, lists.flatten().to_numpy())
     row = np.repeat(np.arange(len(y)), lists.value_lengths().to_numpy())
-    have = np.bincount(flat, minlength=SLOTS).astype(np.float64)
-    toxic = np.bincount(flat, weights=y[row], minlength=SLOTS)
-    expected = have * y.mean()
-    z = (toxic - expected) / np.sqrt(expected * (1 - y.mean()) + 0.1)
-    kept = (have >= 2) & (np.abs(z) >= 2.5)
-    number = np.cumsum(kept) - 1
-    mine = kept[flat]
-    flat, row = number[flat[mine]], row[mine]
-    w, n = np.zeros(int(kept.sum())), len(y)
-    if not len(w):
-        return weights.astype(np.float32), bias
+    w = np.zeros(len(telling))
     grow, bias_grow = np.full(len(w), 1e-6), 1e-6
     for _ in range(150):
         p = 1 / (1 + np.exp(-np.clip(bias + np.bincount(row, weights=w[flat], minlength=n), -30, 30)))
@@ -242,7 +279,7 @@ def fit(rows: pa.Table) -> tuple[np.ndarray, float]:
         bias_grow += step_bias**2
         w -= 0.5 * step / np.sqrt(grow)
         bias -= 0.5 * step_bias / math.sqrt(bias_grow)
-    weights[kept] = w
+    weights[telling] = w
     return weights.astype(np.float32), float(bias)
 
 
@@ -257,8 +294,10 @@ def score_toxicity(docs: DataFrame, model: np.ndarray, weights: np.ndarray, bias
     owner = ("toxicity", uuid.uuid4().hex)  # another model's words are another memory
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        features, weight = common.worker_memory(owner, lambda: Features(sent.value[0])), sent.value[1].tolist()
-        for batch in common.small(batches, 1024):
+        model, weights = sent.value
+        features = common.worker_memory(owner, lambda: Features(model, weights != 0))
+        weight = dict(zip(np.flatnonzero(weights).tolist(), weights[weights != 0].tolist(), strict=True))
+        for batch in common.small(batches):
             values = []
             for raw in common.raw_texts(batch):
                 total = bias + math.fsum(weight[i] for i in features.of_text(raw))
@@ -271,7 +310,7 @@ def score_toxicity(docs: DataFrame, model: np.ndarray, weights: np.ndarray, bias
 def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """``docs`` with ``score`` and ``predicted``: model counted, classifier fitted, every row scored."""
     model = language_model(trigram_counts(docs))
-    return score_toxicity(docs, model, *fit(training_rows(docs, labels, model)))
+    return score_toxicity(docs, model, *fit(training_slots(docs, labels, model)))
 
 
 def query(spark, sf_dir: str) -> DataFrame:
