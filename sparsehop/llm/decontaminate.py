@@ -6,12 +6,20 @@ over blocks of two words says how far the search may jump; where the shift is
 nought, the suffix block selects a bucket, the pattern's first block selects
 inside it, and the words are compared one by one.
 
+The windows are a written table, made by Spark. Tables of up to ``BLOCK_BYTES``
+of windows are sent to every executor as one broadcast; a larger benchmark is
+dealt into blocks of that size by a hash of the window, and each block takes a
+pass over the documents that adds to what the passes before it found. The driver
+holds one block at a time, and never the items' texts.
+
 Null and empty texts have no words and no hits. Items without words give no
-window. Repeated documents and repeated items are each judged as they stand.
+window. Repeated documents and repeated items are each judged as they stand; an
+item without an id counts under the empty id.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
@@ -22,8 +30,8 @@ from pyspark.sql import types as T
 from . import common
 
 WINDOW = 13
-#: Windows that one pass over the documents searches; a larger benchmark takes more passes.
-BLOCK_WINDOWS = 200_000
+#: Bytes of windows and their item ids that one pass over the documents searches; a larger benchmark takes more passes.
+BLOCK_BYTES = 32_000_000
 OWN = ("n_words", "hits", "item_ids", "n_hit")
 
 
@@ -59,16 +67,13 @@ class WuManber:
             end += 1
 
 
-def item_windows(item_id: str, raw: bytes, window: int) -> Iterator[tuple[tuple[bytes, ...], str]]:
-    words = common.words_of(raw)
-    for i in range(max(1, len(words) - window + 1) if words else 0):
-        yield tuple(words[i : i + window]), item_id
-
-
-def searchers(windows: Iterable[tuple[tuple[bytes, ...], str]]) -> list[WuManber]:
+def searchers(windows: Iterable[tuple[bytes, str]]) -> list[WuManber]:
+    """Tables of a block of (window, item): words and item ids are held once."""
     by_length: dict[int, dict[tuple[bytes, ...], set[str]]] = {}
-    for words, item in windows:
-        by_length.setdefault(len(words), {}).setdefault(words, set()).add(item)
+    once: dict = {}
+    for window, item in windows:
+        words = tuple([once.setdefault(w, w) for w in window.split(b" ")])
+        by_length.setdefault(len(words), {}).setdefault(words, set()).add(once.setdefault(item, item))
     return [WuManber(patterns, m) for m, patterns in sorted(by_length.items())]
 
 
@@ -82,23 +87,25 @@ def merged(spans: Iterable[tuple[int, int]]) -> list[tuple[int, int]]:
     return [(s, e) for s, e in out]
 
 
-def _pattern_blocks(benchmark: DataFrame, window: int) -> Iterator[list[tuple[tuple[bytes, ...], str]]]:
-    """The query set in blocks of bounded size; the driver holds one block at a time."""
-    block: list[tuple[tuple[bytes, ...], str]] = []
-    rows = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("i"), common.text_of().alias("t"))
-    for row in rows.toLocalIterator():
-        for one in item_windows(row.i, row.t.encode(), window):
-            block.append(one)
-            if len(block) >= BLOCK_WINDOWS:
-                yield block
-                block = []
-    if block:
-        yield block
+def benchmark_windows(benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
+    """(window, item): every distinct window of every item, its words joined by spaces."""
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.fresh_worker()
+        for batch in common.small(batches):
+            for item, raw in zip(batch.column(0).to_pylist(), common.raw_texts(batch), strict=True):
+                words = common.words_of(raw)
+                for a in range(0, max(1, len(words) - window + 1) if words else 0, 4096):
+                    found = [b" ".join(words[i : i + window]) for i in range(a, min(a + 4096, max(1, len(words) - window + 1)))]
+                    yield pa.RecordBatch.from_arrays([pa.array(found, pa.binary()), pa.array([item] * len(found), pa.string())], names=["window", "item"])
+
+    rows = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item"), common.text_of().alias("text"))
+    return rows.mapInArrow(cut, "window binary, item string").distinct()
 
 
-def _scan(schema: pa.Schema, windows: list[tuple[tuple[bytes, ...], str]]):
+def _scan(schema: pa.Schema, sent, owner):
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tables = searchers(windows)
+        tables = common.worker_memory(owner, lambda: searchers(zip(*sent.value, strict=True)))
         for batch in common.small(batches):
             n_words, hits, items = [], [], []
             before = batch.column(batch.schema.get_field_index("hits")).to_pylist()
@@ -108,7 +115,11 @@ def _scan(schema: pa.Schema, windows: list[tuple[tuple[bytes, ...], str]]):
                 mine, names = [(x["start"], x["end"]) for x in spans], set(ids)
                 for table in tables:
                     for start, who in table.search(words):
-                        mine.append((start, start + table.m))
+                        # windows that follow each other grow one span, so a long copy costs no list
+                        if mine and mine[-1][0] <= start <= mine[-1][1]:
+                            mine[-1] = (mine[-1][0], max(mine[-1][1], start + table.m))
+                        else:
+                            mine.append((start, start + table.m))
                         names |= who
                 n_words.append(len(words))
                 hits.append([{"start": s, "end": e} for s, e in merged(mine)])
@@ -121,15 +132,25 @@ def _scan(schema: pa.Schema, windows: list[tuple[tuple[bytes, ...], str]]):
     return scan
 
 
-def benchmark_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
+def benchmark_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """``docs`` with n_words, hits (merged word spans inside occurring windows), n_hit and item_ids (sorted)."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
+    context = docs.sparkSession.sparkContext
     span = T.ArrayType(T.StructType([T.StructField("start", T.LongType()), T.StructField("end", T.LongType())]))
     out = docs.drop(*OWN).withColumns({"n_words": F.lit(0).cast("long"), "hits": F.array().cast(span), "item_ids": F.array().cast("array<string>")})
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in out.schema])
-    for block in [*_pattern_blocks(benchmark, window)] or [[]]:
-        out = out.mapInArrow(_scan(to_arrow_schema(schema), block), schema)
+    windows = common.persist_shared(benchmark_windows(benchmark, window))
+    size = windows.agg(F.coalesce(F.sum(F.octet_length("window") + F.octet_length("item")), F.lit(0))).first()[0]
+    blocks = max(1, -(-int(size) // block_bytes))
+    for k in range(blocks):
+        table = windows.filter(F.pmod(F.xxhash64("window"), F.lit(blocks)) == k).toArrow()
+        sent = context.broadcast((table.column(0).to_pylist(), table.column(1).to_pylist()))
+        del table
+        out = out.mapInArrow(_scan(to_arrow_schema(schema), sent, ("windows", uuid.uuid4().hex)), schema)
+        if k < blocks - 1:  # one pass is one worker's memory: a chain of them would be as many
+            out = common.persist_shared(out)
+            sent.unpersist()
     total = F.aggregate("hits", F.lit(0).cast("long"), lambda n, x: n + x["end"] - x["start"])
     return out.withColumn("n_hit", total)
 
