@@ -3,17 +3,21 @@
 Spans come from Spark's regular expressions: the pieces between the matches and
 the matches themselves, alternately, give every match's place in code points.
 Kinds assign, access and hex are the base; issued (tokens with a published
-issuer prefix) and pem (private key headers) are the method's own.
+issuer prefix) and pem (private keys, with their body where it stands) are the
+method's own.
 
 Each candidate value is hashed and counted over the whole corpus by distinct
-repositories (``source``) and owners (``lang`` and ``source`` together, unless
-the caller names the columns). A value that many repositories or owners hold is
-a copied example; one that a single owner holds, and that looks random, is
-live-looking.
-
-Null and empty texts have no spans. A repeated row counts its spans again, but
-repositories and owners are counted distinctly, so it moves no verdict. Null
-repositories and owners count as none.
+repositories and owners. An owner is who publishes (``source``), a repository a
+collection of theirs (``source`` and ``lang`` together), unless the caller names
+the columns. A value that several owners hold in several repositories is a
+copied example; one that a single owner holds, in however many repositories, and
+that looks random, is live-looking; what remains is unclear.
+
+Null and empty texts have no spans. Spans that start at one place are listed by
+kind, as KINDS orders them. A repeated row counts its spans again, but
+repositories and owners are counted distinctly, so it moves no verdict. A null
+repository or owner counts as none, and a value that only such rows hold has a
+single owner at most.
 """
 
 from __future__ import annotations
@@ -29,21 +33,37 @@ KINDS = {
     "access": r"AKIA[A-Z0-9]{16,}",
     "hex": r"[0-9a-f]{24,}",
     "issued": r"(?:gh[pousr]_[A-Za-z0-9]{36}|xox[abprs]-[A-Za-z0-9-]{20,}|sk_live_[A-Za-z0-9]{24,}|AIza[A-Za-z0-9_-]{35})",
-    "pem": r"-----BEGIN [A-Z ]{0,24}PRIVATE KEY-----",
+    "pem": r"-----BEGIN [A-Z ]{0,24}PRIVATE KEY-----(?:[A-Za-z0-9+/=\x20\n\r]*-----END [A-Z ]{0,24}PRIVATE KEY-----)?",
 }
 BASE = ("assign", "access", "hex")
 #: Least length of an assigned value, of distinct repositories or owners of a copied example, and of random-looking bits a character.
-LEAST_ASSIGNED, COPIED_REPOSITORIES, COPIED_OWNERS, LEAST_DISTINCT = 6, 3, 3, 8
+LEAST_ASSIGNED, COPIED_REPOSITORIES, COPIED_OWNERS, LEAST_DISTINCT = 6, 3, 2, 8
+#: Matches of a text that are walked through together.
+CHUNK = 64
 VALUE_OF_ASSIGN = r"^[A-Za-z_]+[\"']?\x20*[:=]\x20*[\"']?"
 SPAN = "array<struct<start:bigint,rank:int,kind:string,end:bigint,value:string>>"
 
 
+def _let(value: Column, use) -> Column:
+    """``use`` of a value that is computed once."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
 def kind_spans(text: Column, kind: str) -> Column:
-    """Leftmost matches of one kind that do not overlap, with their places."""
+    """Leftmost matches of one kind that do not overlap, with their places.
+
+    A list that grows by one is copied at every step, so matches are walked in
+    chunks: chunk starts first, then the matches of each chunk from its start.
+    """
     pattern = F.lit(f"({KINDS[kind]})")
     found = F.regexp_extract_all(text, pattern, F.lit(1))
     pieces = F.split(text, KINDS[kind], -1)
     rank = [*KINDS].index(kind)
+    nothing = F.array().cast(SPAN)
+    starts = F.array(F.lit(0).cast("long"))
+
+    def width(pair):
+        return (F.char_length(pair["piece"]) + F.char_length(pair["hit"])).cast("long")
 
     def step(state, pair):
         start = state["at"] + F.char_length(pair["piece"])
@@ -52,13 +72,23 @@ def kind_spans(text: Column, kind: str) -> Column:
         one = F.struct(start.cast("long").alias("start"), F.lit(rank).alias("rank"), F.lit(kind).alias("kind"), end.cast("long").alias("end"), value.alias("value"))
         return F.struct(end.cast("long").alias("at"), F.concat(state["out"], F.array(one)).alias("out"))
 
-    zipped = F.zip_with(pieces, found, lambda p, h: F.struct(p.alias("piece"), h.alias("hit")))
-    pairs = F.filter(zipped, lambda x: x["hit"].isNotNull())
-    nothing = F.array().cast(SPAN)
-    walked = F.aggregate(pairs, F.struct(F.lit(0).cast("long").alias("at"), nothing.alias("out")), step, lambda s: s["out"])
-    if kind == "assign":
-        walked = F.filter(walked, lambda x: F.char_length(x["value"]) >= LEAST_ASSIGNED)
-    return F.when(F.size(found) > 0, walked).otherwise(nothing)
+    def chunked(pairs):
+        parts = F.transform(F.sequence(F.lit(0), F.floor((F.size(pairs) - 1) / CHUNK).cast("int")), lambda k: F.slice(pairs, k * CHUNK + 1, F.lit(CHUNK)))
+        return _let(parts, walked)
+
+    def walked(parts):
+        sizes = F.transform(parts, lambda part: F.aggregate(part, F.lit(0).cast("long"), lambda n, pair: n + width(pair)))
+        from_ = F.aggregate(sizes, starts, lambda s, n: F.concat(s, F.array(F.element_at(s, -1) + n)))
+        of = lambda part, at: F.aggregate(part, F.struct(at.alias("at"), nothing.alias("out")), step, lambda s: s["out"])
+        each = F.filter(F.zip_with(parts, from_, lambda part, at: F.struct(part.alias("part"), at.alias("at"))), lambda x: x["part"].isNotNull())
+        return F.flatten(F.transform(each, lambda x: of(x["part"], x["at"])))
+
+    def spans(both):
+        pairs = F.filter(F.zip_with(both["pieces"], both["found"], lambda p, h: F.struct(p.alias("piece"), h.alias("hit"))), lambda x: x["hit"].isNotNull())
+        return F.when(F.size(both["found"]) > 0, _let(pairs, chunked)).otherwise(nothing)
+
+    out = _let(F.struct(pieces.alias("pieces"), found.alias("found")), spans)
+    return F.filter(out, lambda x: F.char_length(x["value"]) >= LEAST_ASSIGNED) if kind == "assign" else out
 
 
 def secret_spans(docs: DataFrame) -> DataFrame:
@@ -76,10 +106,11 @@ def ownership(spans: DataFrame, repository: Column, owner: Column) -> DataFrame:
     one = spans.select(F.explode("spans").alias("s"), repository.cast("string").alias("repository"), owner.cast("string").alias("owner"))
     keyed = one.select(F.sha2("s.value", 256).alias("hash"), "repository", "owner", _random_looking(F.col("s.value")).alias("random_looking"))
     pairs = keyed.groupBy("hash", "repository", "owner", "random_looking").agg(F.count("*").alias("n"))
+    # counted in two steps, distinct pairs first: no list of a value's holders is ever formed
     return pairs.groupBy("hash").agg(
         F.sum("n").alias("n_places"),
-        F.size(F.collect_set("repository")).cast("long").alias("n_repositories"),
-        F.size(F.collect_set("owner")).cast("long").alias("n_owners"),
+        F.count_distinct("repository").alias("n_repositories"),
+        F.count_distinct("owner").alias("n_owners"),
         F.max("random_looking").alias("random_looking"),
     )
 
@@ -90,28 +121,41 @@ def _random_looking(value: Column) -> Column:
 
 
 def verdict() -> Column:
-    copied = (F.col("n_repositories") >= COPIED_REPOSITORIES) | (F.col("n_owners") >= COPIED_OWNERS)
-    return F.when(copied, F.lit("example")).when(F.col("random_looking"), F.lit("live")).otherwise(F.lit("unclear"))
+    copied = (F.col("n_owners") >= COPIED_OWNERS) & (F.col("n_repositories") >= COPIED_REPOSITORIES)
+    own = (F.col("n_owners") <= 1) & F.col("random_looking")
+    return F.when(copied, F.lit("example")).when(own, F.lit("live")).otherwise(F.lit("unclear"))
+
+
+REPOSITORY, OWNER = ("source", "lang"), "source"
+
+
+def _named(columns: tuple[str, ...]) -> Column:
+    """Columns as one name; a null among them gives none."""
+    return F.concat(*[x for c in columns for x in (F.lit("/"), F.col(c).cast("string"))])
 
 
-def secret_candidates(docs: DataFrame, repository: str = "source", owner: tuple[str, ...] = ("source", "lang")) -> DataFrame:
+def secret_candidates(docs: DataFrame, repository: tuple[str, ...] = REPOSITORY, owner: str = OWNER) -> DataFrame:
     """One row for each candidate value of the corpus: hash, counts and verdict. Values themselves are not returned."""
     found = secret_spans(docs)
-    return ownership(found, F.col(repository), F.concat_ws("/", *owner)).withColumn("verdict", verdict())
+    return ownership(found, _named(repository), F.col(owner)).withColumn("verdict", verdict())
 
 
-def scan_secrets(docs: DataFrame, repository: str = "source", owner: tuple[str, ...] = ("source", "lang")) -> DataFrame:
+def scan_secrets(docs: DataFrame, repository: tuple[str, ...] = REPOSITORY, owner: str = OWNER) -> DataFrame:
     """doc_id, spans, and how many of them are copied examples, live-looking or unclear.
 
     Rows without candidates skip the shuffle; those with them meet the counts by
-    hash and come together again by doc_id and the digest of their spans.
+    hash and come together again by doc_id and the digest of their spans. A value
+    that more than a two-thousandth of all spans hold is spread over salts first.
     """
     flat = F.transform("spans", lambda s: F.concat_ws(":", s["kind"], s["start"], s["end"], s["value"]))
-    found = common.persist_shared(secret_spans(docs.select("doc_id", "text", *dict.fromkeys([repository, *owner]))).drop("text").withColumn("row", F.xxhash64(F.concat_ws(",", flat))))
-    counts = ownership(found, F.col(repository), F.concat_ws("/", *owner)).withColumn("verdict", verdict())
+    found = common.persist_shared(secret_spans(docs.select("doc_id", "text", *dict.fromkeys([*repository, owner]))).drop("text").withColumn("row", F.xxhash64(F.concat_ws(",", flat))))
+    counts = ownership(found, _named(repository), F.col(owner)).withColumn("verdict", verdict())
     rows = found.filter(F.size("spans") > 0).select("doc_id", "row", "spans").dropDuplicates(["doc_id", "row"])
     each = rows.select("doc_id", "row", F.explode("spans").alias("s")).select("doc_id", "row", F.sha2("s.value", 256).alias("hash"))
-    judged = each.join(counts.select("hash", "verdict"), "hash").groupBy("doc_id", "row").agg(*[F.count_if(F.col("verdict") == v).alias(f"n_{v}") for v in ("live", "example", "unclear")])
+    counts = common.persist_shared(counts.select("hash", "n_places", "verdict"))
+    hot = common.hot_keys(counts, ["hash"], "n_places")
+    spread, verdicts = common.salted(each, ["hash"], hot, F.struct("doc_id", "row")), common.repeated_for_salts(counts.select("hash", "verdict"), ["hash"], hot)
+    judged = spread.join(verdicts, ["hash", "salt"]).groupBy("doc_id", "row").agg(*[F.count_if(F.col("verdict") == v).alias(f"n_{v}") for v in ("live", "example", "unclear")])
     nought = {f"n_{v}": F.coalesce(F.col(f"n_{v}"), F.lit(0)) for v in ("live", "example", "unclear")}
     both = found.select("doc_id", "row", "spans").alias("f").join(judged.alias("j"), F.col("f.doc_id").eqNullSafe(F.col("j.doc_id")) & (F.col("f.row") == F.col("j.row")), "left")
     return both.select("f.doc_id", "spans", "n_live", "n_example", "n_unclear").withColumns(nought)
@@ -143,9 +187,9 @@ def _oracle() -> str:
               SELECT *, unnest(h) m, unnest(range(1, len(h) + 1)) i FROM (
                 SELECT doc_id, source, lang, regexp_extract_all(t, '{quoted}') h, string_split_regex(t, '{quoted}') p FROM d))) {keep}""")
     return f"""WITH d AS (SELECT doc_id, source, lang, coalesce(text, '') t FROM documents), a AS ({' UNION ALL '.join(part)}),
-o AS (SELECT value, count(DISTINCT source) r, count(DISTINCT concat_ws('/', source, lang)) w,
+o AS (SELECT value, count(DISTINCT '/' || source || '/' || lang) r, count(DISTINCT source) w,
         max(regexp_matches(value, '[0-9]') AND regexp_matches(value, '[A-Za-z]') AND len(list_distinct(string_split(value, ''))) >= {LEAST_DISTINCT}) x FROM a GROUP BY 1),
-j AS (SELECT a.*, CASE WHEN r >= {COPIED_REPOSITORIES} OR w >= {COPIED_OWNERS} THEN 'example' WHEN x THEN 'live' ELSE 'unclear' END v FROM a JOIN o USING (value)),
+j AS (SELECT a.*, CASE WHEN r >= {COPIED_REPOSITORIES} AND w >= {COPIED_OWNERS} THEN 'example' WHEN w <= 1 AND x THEN 'live' ELSE 'unclear' END v FROM a JOIN o USING (value)),
 g AS (SELECT doc_id, count(*) FILTER (kind = 'assign') na, count(*) FILTER (kind = 'access') nb, count(*) FILTER (kind = 'hex') nc,
         count(*) FILTER (v = 'live') nl, count(*) FILTER (v = 'example') ne, count(*) FILTER (v = 'unclear') nu,
         string_agg(concat(kind, ':', CAST(s AS BIGINT), ':', CAST(e AS BIGINT)), ',' ORDER BY s, rank) FILTER (rank < 3) b,
