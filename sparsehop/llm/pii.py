@@ -1,23 +1,28 @@
 """Format-preserving Feistel pseudonyms for personal data, on DataFrame functions alone.
 
-Cards and account numbers, telephone numbers, IPv4 addresses, e-mail names and
-dates are found by one expression, validated, and permuted within their format
-by an alternating Feistel network keyed through SHA-256. Signs and spacing stay
-where they stand, a card keeps a valid check digit, an address valid octets and
-a date a valid day, so equal values stay equal (and distinct ones distinct) over
-all documents, however they are punctuated.
-
-* number: 12 to 19 digits, alone or in groups of four. All but the last digit are
-  permuted; the last is as far from the Luhn check digit as it was, so cards stay
-  valid and other numbers do not become cards.
-* phone: "+", a country code and digits, or ten digits as 3-3-4; the code stays.
+Bank accounts, cards, telephone numbers, IPv4 addresses, e-mail names and dates
+are found by one expression, validated, and permuted within their format by an
+alternating Feistel network keyed through SHA-256. Signs and spacing stay where
+they stand and do not enter the permutation, check digits are made anew, an
+address keeps valid octets and a date a valid day, so equal values stay equal
+(and distinct ones distinct) over all documents, however they are punctuated.
+
+* account: two capitals, two check digits and 11 to 30 capitals or digits, whole
+  or in groups of four, with remainder 1 by 97. The digits after the check digits
+  are permuted; country and letters stay.
+* number: 12 to 19 digits, alone or in groups of four, with a valid Luhn digit.
+  All but the last digit are permuted.
+* phone: "+", a country code and digits, or ten digits as 3-3-4. The country code,
+  told by the published list whatever signs follow it, stays; a number of ten
+  digits is the same with and without its code.
 * ip: four octets up to 255, permuted as 32 bits.
 * email: the letters and digits before "@", permuted over base 36; the rest stays.
 * date: yyyy-mm-dd, dd.mm.yyyy or mm/dd/yyyy that exists, from 1800 to 2199,
   permuted over the 146,097 days of those four centuries.
 
-A match that fails its test stays as it is. Null texts stay null; empty texts
-have no matches. Rows are independent of each other.
+A match that fails its test stays as it is. Of matches that might begin at one
+place, the first of SHAPES is taken. Null texts stay null; empty texts have no
+matches. Rows are independent of each other, so repeated rows get equal results.
 """
 
 from __future__ import annotations
@@ -32,6 +37,7 @@ ROUNDS = 8
 EXAMPLE_KEY = "example key, to be replaced"
 # What each kind looks like, in the order in which alternatives are tried.
 SHAPES = {
+    "account": r"(?<![0-9A-Za-z])[A-Z]{2}[0-9]{2}(?:[A-Z0-9]{11,30}|(?: [A-Z0-9]{4}){2,7}(?: [A-Z0-9]{1,3})?)(?![0-9A-Za-z])",
     "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9][A-Za-z0-9._%+-]{0,63}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){1,8}",
     "date": r"(?<![0-9.])(?:[0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{2}\.[0-9]{2}\.[0-9]{4}|[0-9]{2}/[0-9]{2}/[0-9]{4})(?![0-9]|\.[0-9])",
     "phone": r"\+[0-9]{1,3}(?:[ .-]?\(?[0-9]{2,4}\)?){2,4}(?![0-9])|(?<![0-9A-Za-z])(?:\([0-9]{3}\) ?|[0-9]{3}[ .-])[0-9]{3}[ .-][0-9]{4}(?![0-9A-Za-z])",
@@ -40,6 +46,8 @@ SHAPES = {
 }
 KINDS = [*SHAPES]
 ANY = "|".join(SHAPES.values())
+# Fixed value: telephone country codes of one and two digits, and three for all others.
+COUNTRY = r"^\+(1|7|20|27|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|[0-9]{3})"
 DAYS, DAY_PARTS, FIRST_DAY = 146_097, (189, 773), "1800-01-01"
 CHARS = "0123456789abcdefghijklmnopqrstuvwxyz"
 
@@ -123,17 +131,45 @@ def _number(hit: Column, key: str) -> Column:
         size = F.char_length(digits)
 
         def ended(body: Column) -> Column:
-            return F.concat(body, F.pmod(10 - luhn_sum(F.concat(body, F.lit("0"))) % 10 + luhn_sum(digits) % 10, F.lit(10)).cast("string"))
+            return F.concat(body, F.pmod(10 - luhn_sum(F.concat(body, F.lit("0"))) % 10, F.lit(10)).cast("string"))
 
-        return refill(hit, _named(feistel_string(F.substring(digits, F.lit(1), size - 1), 10, key, F.lit("number"), 32), ended), "[0-9]")
+        moved = refill(hit, _named(feistel_string(F.substring(digits, F.lit(1), size - 1), 10, key, F.lit("number"), 32), ended), "[0-9]")
+        return F.when(luhn_sum(digits) % 10 == 0, moved).otherwise(hit)
 
     return _named(F.regexp_replace(hit, "[^0-9]", ""), of)
 
 
+def remainder_97(signs: Column) -> Column:
+    """Digits and capitals (A is 10) read as one decimal number, modulo 97."""
+
+    def add(n, c):
+        letter = c.rlike("[A-Z]")
+        return F.pmod(n * F.when(letter, 100).otherwise(10) + F.when(letter, F.ascii(c) - 55).otherwise(F.ascii(c) - 48), F.lit(97))
+
+    return F.aggregate(F.filter(F.split(signs, ""), lambda c: c != ""), F.lit(0), add)
+
+
+def _account(hit: Column, key: str) -> Column:
+    def of(plain: Column) -> Column:
+        country, body = F.substring(plain, 1, 2), F.substring(plain, F.lit(5), F.char_length(plain))
+        moved = refill(body, feistel_string(F.regexp_replace(body, "[^0-9]", ""), 10, key, country, 32), "[0-9]")
+
+        def ended(new: Column) -> Column:
+            return F.concat(country, F.lpad((98 - remainder_97(F.concat(new, country, F.lit("00")))).cast("string"), 2, "0"), new)
+
+        valid = remainder_97(F.concat(body, F.substring(plain, 1, 4))) == 1
+        return F.when(valid & (F.char_length(plain) <= 34), refill(hit, _named(moved, ended), "[0-9A-Z]")).otherwise(hit)
+
+    return _named(F.replace(hit, F.lit(" "), F.lit("")), of)
+
+
 def _phone(hit: Column, key: str) -> Column:
-    code = F.regexp_extract(hit, r"^(\+[0-9]{1,3})(?=[ .(-])", 1)
-    rest = F.substring(hit, F.char_length(code) + 1, F.char_length(hit))
-    return F.concat(code, refill(rest, feistel_string(F.regexp_replace(rest, "[^0-9]", ""), 10, key, F.lit("phone"), 32), "[0-9]"))
+    def of(digits: Column) -> Column:
+        code = F.when(F.substring(hit, 1, 1) == "+", F.regexp_extract(F.concat(F.lit("+"), digits), COUNTRY, 1)).otherwise("")
+        rest = F.substring(digits, F.char_length(code) + 1, F.char_length(digits))
+        return refill(hit, F.concat(code, feistel_string(rest, 10, key, F.lit("phone"), 32)), "[0-9]")
+
+    return _named(F.regexp_replace(hit, "[^0-9]", ""), of)
 
 
 def _ip(hit: Column, key: str) -> Column:
@@ -159,13 +195,13 @@ def _date(hit: Column, key: str) -> Column:
     return out
 
 
-PSEUDONYMS = {"email": _email, "date": _date, "phone": _phone, "ip": _ip, "number": _number}
+PSEUDONYMS = {"account": _account, "email": _email, "date": _date, "phone": _phone, "ip": _ip, "number": _number}
 
 
 def kind_of(hit: Column) -> Column:
     """Which alternative a match belongs to, in the order in which they are tried."""
     out = F.lit("number")
-    for kind, shape in (("ip", r"^[0-9]{1,3}(\.[0-9]{1,3}){3}$"), ("date", r"^([0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{2}[./][0-9]{2}[./][0-9]{4})$"), ("email", "@")):
+    for kind, shape in (("account", r"^[A-Z]{2}[0-9]{2}"), ("ip", r"^[0-9]{1,3}(\.[0-9]{1,3}){3}$"), ("date", r"^([0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{2}[./][0-9]{2}[./][0-9]{4})$"), ("email", "@")):
         out = F.when(hit.rlike(shape), F.lit(kind)).otherwise(out)
         if kind == "ip":
             out = F.when(hit.rlike(r"^\+|^\(|^[0-9]{3}[ .-][0-9]{3}[ .-][0-9]{4}$"), F.lit("phone")).otherwise(out)
@@ -173,7 +209,7 @@ def kind_of(hit: Column) -> Column:
 
 
 def pseudonymize(docs: DataFrame, key: str) -> DataFrame:
-    """``docs`` with ``text`` pseudonymised and one count for each kind: n_email, n_date, n_phone, n_ip, n_number.
+    """``docs`` with ``text`` pseudonymised and one count for each kind: n_account, n_email, n_date, n_phone, n_ip, n_number.
 
     The counts are of values that changed their form's digits; matches that fail their test are not among them.
     """
