@@ -8,7 +8,8 @@ independent hash of its words, and a candidate span by the share of the
 template's words that its hits cover; short phrases and one-line notices must
 match word for word on one diagonal. Phrases alone count for the base columns.
 
-Null and empty texts have no words, no labels and score 0. Rows that repeat a
+Null and empty texts have no words, no labels and score 0. Very long texts are
+read whole; their diagonals are rows and never one list. Rows that repeat a
 doc_id are told apart by their text; equal rows get equal results.
 """
 
@@ -19,7 +20,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import common
@@ -112,6 +113,7 @@ def templates(spark, phrases: dict[str, str] = PHRASES, wordings: dict[str, str]
 
 def _gram_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """A row for each k-gram, and one with place -1 and the number of words for each text."""
+    common.fresh_worker()
     grams = Grams()
     for batch in common.small(batches):
         raws = common.raw_texts(batch)
@@ -143,17 +145,11 @@ def license_spans(met: DataFrame) -> DataFrame:
     kept = [c for c in by if c not in ("whole", "t_len")]
     diagonals = hits.groupBy(*by, "diagonal").agg(F.count("*").alias("votes"), F.min("at").alias("first"), (F.max("at") + K - 1).alias("last"), F.collect_set("t_at").alias("t_ats"))
     exact = diagonals.filter(F.col("whole") & (F.col("votes") == F.col("t_len") - (K - 1))).select(*kept, "first", "last", F.lit(1.0).alias("share"))
-    sorted_diagonals = F.array_sort(F.collect_list(F.struct("diagonal", "first", "last", "t_ats")))
-
-    def join(groups, d):
-        tail = F.element_at(groups, -1)
-        near = (F.size(groups) > 0) & (d["diagonal"] - F.get(groups, F.size(groups) - 1)["diagonal"] <= MERGE_GAP)
-        one = F.struct(d["diagonal"], F.least(tail["first"], d["first"]).alias("first"), F.greatest(tail["last"], d["last"]).alias("last"), F.array_union(tail["t_ats"], d["t_ats"]).alias("t_ats"))
-        fresh = F.struct(d["diagonal"], d["first"], d["last"], d["t_ats"])
-        return F.when(near, F.concat(F.slice(groups, 1, F.greatest(F.size(groups) - 1, F.lit(0))), F.array(one))).otherwise(F.concat(groups, F.array(fresh)))
-
-    empty = F.array().cast("array<struct<diagonal:int,first:int,last:int,t_ats:array<int>>>")
-    merged = diagonals.filter(~F.col("whole")).groupBy(*by).agg(F.aggregate(sorted_diagonals, empty, join).alias("groups")).select(*by, F.inline("groups"))
+    # neighbours on the text's own scale of diagonals: a running count of the gaps numbers the merged ones
+    order = Window.partitionBy(*by).orderBy("diagonal")
+    gap = (F.col("diagonal") - F.lag("diagonal").over(order) > MERGE_GAP).cast("int")
+    numbered = diagonals.filter(~F.col("whole")).withColumn("gap", F.coalesce(gap, F.lit(0))).withColumn("group", F.sum("gap").over(order))
+    merged = numbered.select(*by, "group", "first", "last", F.explode("t_ats").alias("t_at")).groupBy(*by, "group").agg(F.min("first").alias("first"), F.max("last").alias("last"), F.collect_set("t_at").alias("t_ats"))
     covered = F.size(F.array_distinct(F.flatten(F.transform("t_ats", lambda i: F.sequence(i, i + (K - 1))))))
     close = (F.col("last") - F.col("first") + 1) <= 2 * F.col("t_len")
     voted = merged.withColumn("share", covered / F.col("t_len")).filter(close & (F.col("share") >= LEAST_SHARE)).select(*kept, "first", "last", "share")
