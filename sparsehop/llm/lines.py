@@ -11,10 +11,11 @@ edits keeps one of them. The index has each segment by its number, the line's
 length and its hash; a probing line looks up, for each length that is in reach
 and not above its own, the substrings that may stand where the segment stood.
 Keys of one or two lines give pairs. On keys of more, each line looks for one
-earlier line within reach among bounded lists of the others, so that a crowd
-never becomes all its pairs. All pairs are verified by banded bit-parallel edit
-distance: the band of 2 * MAX_EDITS + 1 diagonals is one integer, updated once a
-character; letter counts and pieces that a true pair must share go before it.
+earlier line within reach among bounded lists of the others, and no further once
+it has one, so that a crowd never becomes all its pairs. On all keys the banded
+bit-parallel edit distance decides: the band of 2 * MAX_EDITS + 1 diagonals is one
+integer, updated once a character; parities and pieces that a true pair must share go
+before it.
 
 Null and empty texts have one empty line, which is shorter than any ``least`` and
 stays. Rows that repeat a doc_id share their places: equal lines at one place
@@ -52,42 +53,36 @@ def _line_of(place: Column) -> Column:
     return F.pmod(place, F.lit(LINES).cast("decimal(38,0)")).cast("int")
 
 
-def occurrences(docs: DataFrame, edits: int | None = None, least: int = MIN_CHARS) -> DataFrame:
+def occurrences(docs: DataFrame, edits: int | None = None, least: int = MIN_CHARS, below: int | None = None) -> DataFrame:
     """h1, h2 (hashes of the line) and place of every line of ``least`` characters or more; with ``edits``, its probe keys.
 
     The keys are plain columns p0, p1, ..., the line's own index keys first; the lines themselves go no further.
-    Lines under ``MIN_CHARS`` have no keys.
     """
     split = docs.select("doc_id", F.posexplode(F.split(common.text_of(), "\n", -1)).alias("line_no", "line"))
     long = split.filter(F.char_length("line") >= least)
+    if below is not None:
+        long = long.filter(F.char_length("line") < below)
     own = [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2")]
-    keys = [] if edits is None else probe_keys(F.col("line"), edits)
-    if least < MIN_CHARS:
-        keys = [F.when(F.char_length("line") >= MIN_CHARS, k) for k in keys]
-    probes = [k.alias(f"p{n}") for n, k in enumerate(keys)]
+    probes = [] if edits is None else [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits))]
     return long.select(*own, _place().alias("place"), *probes)
 
 
-# Letters whose numbers in a line are kept, a byte each.
-COUNTED = "entaiors"
+# Characters whose numbers in a line are told apart as odd or even, a bit each.
+COUNTED = "abcdefghijklmnopqrstuvwxyz .,-0123456789"
 
 
-def letter_counts(line: Column) -> Column:
-    """How often each counted letter stands in a line, modulo 256, eight bytes in one integer."""
+def parities(line: Column) -> Column:
+    """Whether each counted character stands in a line an odd number of times, a bit each."""
     total = F.lit(0).cast("bigint")
     for i, c in enumerate(COUNTED):
-        n = F.char_length(line) - F.char_length(F.replace(line, F.lit(c), F.lit("")))
-        total = total.bitwiseOR(F.shiftleft(n.cast("bigint").bitwiseAND(F.lit(255).cast("bigint")), 8 * i))
+        odd = (F.octet_length(line) - F.octet_length(F.replace(line, F.lit(c), F.lit("")))) % 2
+        total = total.bitwiseOR(F.shiftleft(odd.cast("bigint"), i))
     return total
 
 
-def counts_agree(a: Column, b: Column, edits: int) -> Column:
-    """Whether two lines' letters allow the distance: an edit moves two counts by one at most."""
-    apart = F.lit(0).cast("bigint")
-    for i in range(len(COUNTED)):
-        x, y = (F.shiftright(v, 8 * i).bitwiseAND(F.lit(255).cast("bigint")) for v in (a, b))
-        apart = apart + F.least(F.abs(x - y), 256 - F.abs(x - y))
-    return apart <= 2 * edits
+def parities_agree(a: Column, b: Column, edits: int) -> Column:
+    """Whether two lines' characters allow the distance: an edit turns two bits at most."""
+    return F.bit_count(a.bitwiseXOR(b)) <= 2 * edits
 
 
 def _bounds(length: Column, segment: int, edits: int) -> tuple[Column, Column]:
@@ -191,10 +186,16 @@ def pieces_agree(x: Column, y: Column, edits: int) -> Column:
 
 
 def distinct_lines(docs: DataFrame, edits: int = MAX_EDITS, least: int = MIN_CHARS) -> DataFrame:
-    """h1, h2, first place, n places and probe keys of each distinct line."""
-    seen = occurrences(docs, edits, least)
+    """h1, h2, first place, n places and probe keys of each distinct line; lines under ``MIN_CHARS`` have no keys."""
+    counted = [F.min("place").alias("first"), F.count(F.lit(1)).alias("n")]
+    seen = occurrences(docs, edits, max(least, MIN_CHARS))
     keys = [c for c in seen.columns if c[0] == "p" and c != "place"]
-    return seen.groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count(F.lit(1)).alias("n"), *[F.first(c).alias(c) for c in keys])
+    long = seen.groupBy("h1", "h2").agg(*counted, *[F.first(c).alias(c) for c in keys])
+    if least >= MIN_CHARS:
+        return long
+    # short lines go their own way: keys that stay null would cost as much as those of long ones
+    short = occurrences(docs, None, least, MIN_CHARS).groupBy("h1", "h2").agg(*counted)
+    return long.unionByName(short, allowMissingColumns=True)
 
 
 def meetings(lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
@@ -211,39 +212,81 @@ def meetings(lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
     return met.select("a", "key", "n", "low", "high", (F.col("at") <= edits).alias("own"))
 
 
-def crowded_pairs(rows: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
-    """(a, b): for each line on a key of three or more lines, one earlier line within the distance, if the key has any.
+def _common_prefix(x: Column, y: Column) -> Column:
+    """Length of the common prefix, by halving steps."""
+    steps = F.array(*[F.lit(1 << k) for k in range(30, -1, -1)])
+
+    def walk(least):
+        grown = lambda at, k: F.when((at + k <= least) & (F.substring(x, at + 1, k) == F.substring(y, at + 1, k)), at + k).otherwise(at)
+        return F.aggregate(F.filter(steps, lambda k: k <= least), F.lit(0), grown)
+
+    return _let(F.least(F.char_length(x), F.char_length(y)), walk)
+
+
+def _stripped(x: Column, y: Column, use) -> Column:
+    """``use`` of two strings without their common prefix, backwards; what the strings have in common there is no edit."""
+    rest = lambda v, n: F.reverse(F.substring(v, n + 1, F.char_length(v)))
+    return _let(_common_prefix(x, y), lambda n: _let(rest(x, n), lambda a: _let(rest(y, n), lambda b: use(a, b))))
+
+
+def within(x: Column, y: Column, edits: int) -> Column:
+    """Whether two lines are within ``edits`` edits: shared pieces first, then the banded distance of what is between their common ends."""
+
+    def distance(a, b):
+        empty = (F.char_length(a) == 0) | (F.char_length(b) == 0)
+        banded = _let(code_points(b), lambda p: _let(code_points(a), lambda t: banded_distance(p, t, edits) <= edits))
+        return F.when(empty, F.lit(True)).otherwise(banded)
+
+    close = F.abs(F.char_length(x) - F.char_length(y)) <= edits
+    return close & pieces_agree(x, y, edits) & _stripped(x, y, lambda a, b: _stripped(a, b, distance))
+
+
+def crowded_lines(rows: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
+    """(h1): lines on keys of three lines or more that have an earlier line within the distance there.
 
     ``rows`` has a, key and own. The lines on a key are dealt into blocks by a hash; a
     line meets whole blocks, each as one list, so pairs are never rows and no list is
-    unbounded. Probes look among the index's lines and these among the probes.
+    unbounded. A line that finds an earlier one asks no further: each round, those that
+    are left ask twice as many blocks. Probes look among the index's lines and these
+    among the probes.
     """
-    held = texts.select(F.col("h1").alias("a"), "first", "counts", "line")
+    held = texts.select(F.col("h1").alias("a"), "first", "parity", "line")
     sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("probes"))
     full = rows.join(sizes, "key").withColumn("blocks", F.ceil(F.col("probes") / BLOCK).cast("int")).join(held, "a")
-    full = full.withColumn("block", F.pmod(F.xxhash64("a"), F.col("blocks")).cast("int"))
-    out = None
-    for mine, theirs in ((full, full.filter("own")), (full.filter("own"), full)):
-        lists = theirs.groupBy("key", "block").agg(F.array_sort(F.collect_list(F.struct("first", F.col("a").alias("b"), "counts", "line"))).alias("others"))
-        asked = mine.select("a", "key", "first", "counts", "line", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"))
-
-        def witness(found, y):
-            fits = (y["b"] != F.col("a")) & (y["first"] < F.col("first")) & counts_agree(y["counts"], F.col("counts"), edits)
-            return F.when(found.isNotNull(), found).when(fits & (F.levenshtein(F.col("line"), y["line"], edits) >= 0), y["b"])
-
-        one = asked.join(lists, ["key", "block"]).select("a", F.aggregate("others", F.lit(None).cast("bigint"), witness).alias("b")).filter("b IS NOT NULL")
-        out = one if out is None else out.unionByName(one)
-    return out.distinct()
+    full = common.persist_shared(full.withColumn("block", F.pmod(F.xxhash64("a"), F.col("blocks")).cast("int")).drop("probes"))
+    most = full.agg(F.max("blocks")).first()[0]
+    if most is None:
+        return rows.select(F.col("a").alias("h1")).limit(0)
+
+    def witness(y):
+        return (y["b"] != F.col("a")) & (y["first"] < F.col("first")) & parities_agree(y["parity"], F.col("parity"), edits) & within(F.col("line"), y["line"], edits)
+
+    done, low, high = None, 0, 1
+    while low < most:
+        left = full.filter(F.col("blocks") > low)
+        if done is not None:
+            left = left.join(done.withColumnRenamed("h1", "a"), "a", "left_anti")
+        some = None
+        asked_of = full.filter((F.col("block") >= low) & (F.col("block") < high))
+        for mine, theirs in ((left, asked_of.filter("own")), (left.filter("own"), asked_of)):
+            lists = theirs.groupBy("key", "block").agg(F.collect_list(F.struct("first", F.col("a").alias("b"), "parity", "line")).alias("others"))
+            asked = mine.select("a", "key", "first", "parity", "line", F.explode(F.sequence(F.lit(low), F.least("blocks", F.lit(high)) - 1)).alias("block"))
+            one = asked.join(lists, ["key", "block"]).filter(F.exists("others", witness)).select(F.col("a").alias("h1"))
+            some = one if some is None else some.unionByName(one)
+        some = common.persist_shared(some.distinct())
+        done = some if done is None else done.unionByName(some)
+        low, high = high, 2 * high + 1
+    return done
 
 
 def line_texts(docs: DataFrame, ends: DataFrame) -> DataFrame:
-    """``ends`` (h1, h2, first) with each line's text and letter counts, read from the document where it stands first."""
+    """``ends`` (h1, h2, first) with each line's text and parities, read from the document where it stands first."""
     kind = docs.schema["doc_id"].dataType.simpleString()
     spots = ends.groupBy(_doc_of(F.col("first"), kind).alias("id")).agg(F.collect_set(_line_of(F.col("first"))).alias("wanted"))
     texts = docs.select("doc_id", "text").join(spots, F.col("doc_id").eqNullSafe(F.col("id")))
     read = texts.select("doc_id", F.split(common.text_of(), "\n", -1).alias("pieces"), F.explode("wanted").alias("line_no"))
     found = read.select(_place().alias("first"), F.get("pieces", F.col("line_no")).alias("line")).withColumn("h1", F.xxhash64("line")).dropDuplicates(["first", "h1"])
-    return ends.join(found, ["first", "h1"]).withColumn("counts", letter_counts(F.col("line")))
+    return ends.join(found, ["first", "h1"]).withColumn("parity", parities(F.col("line")))
 
 
 def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> DataFrame:
@@ -253,13 +296,11 @@ def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> Dat
     crowd = met.filter("n > 2").select("a", "key", "own")
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("h1")).union(crowd.select("a")).distinct()
     texts = common.persist_shared(line_texts(docs, lines.select("h1", "h2", "first").join(wanted, "h1")))
-    able = pairs.unionByName(crowded_pairs(crowd, texts, edits)).distinct()
-    side = lambda k, t: texts.select(F.col("h1").alias(k), F.col("h2").alias(f"{k}2"), F.col("first").alias(f"{k}_first"), F.col("counts").alias(f"{k}_counts"), F.col("line").alias(t))
-    both = able.join(side("a", "x"), "a").join(side("b", "y"), "b").filter(counts_agree(F.col("a_counts"), F.col("b_counts"), edits) & pieces_agree(F.col("x"), F.col("y"), edits))
-    both = common.persist_shared(both.withColumns({"xp": code_points(F.col("x")), "yp": code_points(F.col("y"))}).drop("x", "y"))
-    both = both.filter(banded_distance(F.col("yp"), F.col("xp"), edits) <= edits)
-    later = F.when(F.col("a_first") > F.col("b_first"), F.struct(F.col("a").alias("h1"), F.col("a2").alias("h2"))).otherwise(F.struct(F.col("b").alias("h1"), F.col("b2").alias("h2")))
-    return both.select(later.alias("line")).select("line.h1", "line.h2").distinct()
+    side = lambda k, t: texts.select(F.col("h1").alias(k), F.col("first").alias(f"{k}_first"), F.col("parity").alias(f"{k}_parity"), F.col("line").alias(t))
+    both = pairs.join(side("a", "x"), "a").join(side("b", "y"), "b").filter(parities_agree(F.col("a_parity"), F.col("b_parity"), edits) & within(F.col("x"), F.col("y"), edits))
+    later = both.select(F.when(F.col("a_first") > F.col("b_first"), F.col("a")).otherwise(F.col("b")).alias("h1"))
+    gone = later.unionByName(crowded_lines(crowd, texts, edits)).distinct()
+    return gone.join(texts.select("h1", "h2"), "h1")
 
 
 def removed_lines(docs: DataFrame, edits: int = MAX_EDITS, least: int = MIN_CHARS) -> DataFrame:
@@ -267,7 +308,9 @@ def removed_lines(docs: DataFrame, edits: int = MAX_EDITS, least: int = MIN_CHAR
     lines = common.persist_shared(distinct_lines(docs, edits, least))
     near = near_lines(docs, lines, edits).withColumn("near", F.lit(True))
     judged = lines.select("h1", "h2", "first", "n").join(near, ["h1", "h2"], "left").filter("near OR n > 1").select("h1", "h2", "first", "near")
-    gone = occurrences(docs, least=least).join(judged, ["h1", "h2"]).filter(F.col("near") | (F.col("place") > F.col("first")))
+    hot, by = common.hot_keys(lines.select("h1", "h2", "n"), ["h1", "h2"], "n"), ["h1", "h2"]
+    places = common.salted(occurrences(docs, least=least), by, hot, F.col("place"))
+    gone = places.join(common.repeated_for_salts(judged, by, hot), [*by, "salt"]).filter(F.col("near") | (F.col("place") > F.col("first")))
     kind = docs.schema["doc_id"].dataType.simpleString()
     return gone.select("place").distinct().select(_doc_of(F.col("place"), kind).alias("doc_id"), _line_of(F.col("place")).alias("line_no"))
 
