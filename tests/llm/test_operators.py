@@ -58,6 +58,49 @@ def test_every_operator_takes_odd_rows_empty_tables_and_clashing_names(spark, od
         assert run(empty).count() == 0, name
 
 
+def test_values_of_a_very_long_text_of_null_ids_and_of_ties(spark):
+    """3 MB of lines beside rows without ids and equal rows: every operator's figures, not only its rows."""
+    import tiktoken
+
+    r = random.Random(6)
+    line = lambda: " ".join(f"w{r.randrange(9999)}" for _ in range(10))
+    long = "\n".join(line() for _ in range(50_000)) + "\nunder the mit license 4111111111111111 token=abcdef0123"
+    rows = [(None, "under the mit license"), (None, "under the mit license"), (5, long), (6, "tie under the mit license"), (6, "tie under the mit license")]
+    docs = spark.createDataFrame(rows, SCHEMA).withColumns({"source": F.lit("s"), "lang": F.lit("en")})
+    n = len(words(long))
+    got = {x.doc_id: x for x in licenses.scan_licenses(docs, licenses.templates(spark)).collect()}
+    assert got[5].n_words == n and got[5].n_base == 1 and words(long)[got[5].first_word :][:4] == ["under", "the", "mit", "license"] and got[None].first_word == 0
+    spans = {x.doc_id: x.spans for x in secrets.scan_secrets(docs).collect()}
+    assert [(s.kind, s.start) for s in spans[5]] == [("assign", long.index("token="))] and not spans[None]
+    assert {x.doc_id: x.n_number for x in pii.pseudonymize(docs, "k").collect()} == {None: 0, 5: 1, 6: 0}
+    kept = lines.dedup_lines(docs).collect()
+    assert sorted(x.n_removed for x in kept if x.doc_id != 5) == [0, 0, 0, 0] and next(x for x in kept if x.doc_id == 5).n_removed == 0
+    assert sorted((x.class_id is None, x.n_links) for x in neardup.near_duplicates(docs).collect()) == [(False, 0), (False, 1), (False, 1), (True, 1), (True, 1)]
+    bench = spark.createDataFrame([(1, " ".join(words(long)[200_000:200_030])), (2, "under the mit")], "item_id bigint, text string")
+    hits = {x.doc_id: (x.n_words, x.n_hit, list(x.item_ids)) for x in decontaminate.benchmark_hits(docs, bench).collect()}
+    assert hits == {None: (4, 3, ["2"]), 5: (n, 33, ["1", "2"]), 6: (5, 3, ["2"])}
+    path, pattern = bpe.default_vocabulary()
+    library = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=bpe.read_ranks(path), special_tokens={})
+    assert {x.doc_id: x.n_tokens for x in bpe.bpe_encode(docs, path, pattern, False).collect()} == {d: len(library.encode_ordinary(t)) for d, t in rows}
+    cut = {(x.doc_id, x.n_removed) for x in suffix.remove_repeats(docs).collect()}
+    assert {d for d, _ in cut} == {None, 5, 6} and all(k == 0 for d, k in cut if d != 5)
+    media_row = next(x for x in media.media_columns(docs.select("doc_id", "text"), tensors=False).collect() if x.doc_id == 5)
+    assert media_row.n_bytes == len(long.encode()) and media_row.payload_sha256 == hashlib.sha256(media.payload_of(long.encode())).hexdigest()
+    labels = spark.createDataFrame([(6, 1), (5, 0), (None, 1)], "doc_id bigint, toxic int")
+    assert len({x.score for x in toxicity.toxicity(docs, labels).collect() if x.doc_id == 6}) == 1
+
+
+def test_a_token_without_an_end():
+    import tiktoken
+
+    path, pattern = bpe.default_vocabulary()
+    ranks = bpe.read_ranks(path)
+    library = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+    word = "ab" * 10_000
+    assert [i for x in bpe.MergeReplay(ranks).encode([word.encode()]) for i in x] == library.encode_ordinary(word)
+    assert len(bpe.MergeReplay(ranks).encode([b"a" * 1_000_000])[0]) < 1_000_000
+
+
 # --- license scan ---------------------------------------------------------------------------------
 
 
@@ -157,6 +200,32 @@ def test_disguised_words_are_read(spark):
     assert reader.restored("plain words stay, as they are") == {"plain", "words", "stay", "as", "they", "are"}
 
 
+def test_viterbi_finds_the_best_of_all_readings(spark):
+    """Every path of the lattice, scored one by one, against the search."""
+    import itertools
+
+    docs = spark.createDataFrame([(i, prose(i, 60, 300) + " the stupid loser idiot") for i in range(30)], SCHEMA)
+    model = toxicity.language_model(toxicity.trigram_counts(docs))
+    reader = toxicity.Deobfuscator(model)
+    for run in ("1d10t", "l0s3r", "stuuupid", "s t u p", "$tup1d", "b4d", "a*b1", "x"):
+        scores = {}
+        for path in itertools.product(*reader.lattice(run), [(" ", 0.0)]):
+            text, score, a, b = "".join(p for p, _ in path), -sum(c for _, c in path), 0, 0
+            for c in text:
+                i = toxicity.ALPHABET.get(c, 0)
+                score += float(model[a, b, i])
+                a, b = b, i
+            scores[text.strip()] = max(score, scores.get(text.strip(), -1e9))
+        assert abs(scores[reader.decode(run)] - max(scores.values())) < 1e-6, run
+
+
+def test_one_text_stands_for_the_rows_of_a_label(spark):
+    docs = spark.createDataFrame([(1, "b text"), (1, "a text"), (1, "b text"), (2, None), (None, "x")], SCHEMA).unionByName(spark.range(3000).select(F.lit(3).cast("bigint").alias("doc_id"), F.concat(F.lit("again "), F.col("id")).alias("text")))
+    labels = spark.createDataFrame([(i, i % 2) for i in range(1, 40)] + [(None, 1)], "doc_id bigint, toxic int")
+    rows = toxicity.training_slots(docs, labels, np.zeros((toxicity.SIZE,) * 3, np.float32)).collect()
+    assert len(rows) == sum(zlib.crc32(str(i).encode()) % 5 != 0 for i in (1, 2, 3))
+
+
 def test_held_out_accuracy_and_no_leak(spark, tmp_path):
     bad = ["idiot", "moron", "scum"]
     rows, marks = [], []
@@ -202,11 +271,43 @@ def test_links_and_classes_equal_brute_force(spark, monkeypatch):
     assert got == {i: (root[i], len(near[i])) for i in range(len(docs))}
 
 
-def test_prefix_shortens_until_the_recall_is_met():
-    d = neardup.prefix_depth()
-    reach = lambda k: 1 - (1 - 0.8**k) ** neardup.TREES
-    assert reach(d) >= neardup.TARGET_RECALL > reach(d + 1)
-    assert neardup.prefix_depth(0.95) > d
+def test_prefixes_shorten_until_the_recall_is_met():
+    floor, n = neardup.floor_length(), neardup.trees_to_shorten()
+    reach = lambda n: 1 - (1 - 0.8**floor) ** n * (1 - 0.8**neardup.DEPTH) ** (neardup.TREES - n)
+    assert reach(n) >= neardup.TARGET_RECALL > reach(n - 1) and n < neardup.TREES
+    assert neardup.floor_length(0.95) > floor
+
+
+def test_the_most_crowded_trees_are_searched_whole(spark):
+    docs = [prose(1, 60, 400) + f" end{i}" for i in range(40)] + [prose(100 + i, 60, 400) for i in range(10)]
+    signed = neardup.sign(spark.createDataFrame([*enumerate(docs)], SCHEMA)).withColumn("set", F.col("doc_id")).cache()
+    whole, places = neardup.searched_lengths(signed)
+    bits = {r.set: r.whole for r in whole.collect()}
+    crowds, floor = {}, neardup.floor_length()
+    paths = {r.set: np.frombuffer(r.paths, ">u2").reshape(neardup.TREES, neardup.DEPTH) for r in signed.collect()}
+    for s, p in paths.items():
+        for t in range(neardup.TREES):
+            crowds.setdefault((t, p[t, :floor].tobytes()), []).append(s)
+    for s, p in paths.items():
+        mine = sorted((-len(c), t) for t in range(neardup.TREES) if len(c := crowds[t, p[t, :floor].tobytes()]) > 1)
+        assert bits.get(s, 0) == sum(1 << t for _, t in mine[: neardup.TREES - neardup.trees_to_shorten()])
+    assert {(r.set, r.tree) for r in places.collect()} == {(s, t) for (t, _), c in crowds.items() if len(c) > 1 for s in c}
+
+
+def test_recall_of_pairs_at_the_threshold(spark):
+    """Pairs of 0.80 to 0.83 inside crowds of their like: all links are found."""
+    r, docs = random.Random(4), []
+    for k in range(12):
+        b = prose(200 + k, 120, 5000).split()
+        for j in range(14):
+            c, at = list(b), r.randrange(100)
+            for i in range(at, at + 2 + j % 2 * 3):
+                c[i] = f"n{k}x{j}x{i}"
+            docs.append(" ".join(c))
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(words, docs)]
+    want = {i: sum(j != i and len(a & b) >= 0.8 * len(a | b) for j, b in enumerate(sets)) for i, a in enumerate(sets)}
+    got = {x.doc_id: x.n_links for x in neardup.near_duplicates(spark.createDataFrame([*enumerate(docs)], SCHEMA)).collect()}
+    assert got == want and 0 < sum(want.values()) < 12 * 14 * 13
 
 
 # --- secrets --------------------------------------------------------------------------------------
@@ -228,6 +329,31 @@ def test_secret_spans_and_verdicts(spark):
     assert rows[10].n_example == 1 and rows[0].n_live >= 1 and rows[10].n_live == 0
 
 
+def test_owners_and_repositories_both_decide(spark):
+    hold = {  # value: (source, lang) of its rows
+        "one_owner": ("0123456789abcdef" * 2, [("a", "en"), ("a", "fr"), ("a", "de"), ("a", "es")]),
+        "two_owners_two_places": ("89abcdef01234567" * 2, [("a", "en"), ("b", "en")]),
+        "copied": ("deadbeef01234567" * 2, [("a", "en"), ("b", "en"), ("b", "fr")]),
+        "nobody": ("feedbeef01234567" * 2, [(None, "en"), (None, None)]),
+    }
+    rows = [(0, f"x {v} y", s, lang) for v, places in hold.values() for s, lang in places for _ in range(3)]
+    docs = spark.createDataFrame(rows, SCHEMA + ", source string, lang string")
+    by = {r.hash: r for r in secrets.secret_candidates(docs).collect()}
+    seen = {k: by[hashlib.sha256(v.encode()).hexdigest()] for k, (v, _) in hold.items()}
+    assert {k: (r.n_places, r.n_repositories, r.n_owners, r.verdict) for k, r in seen.items()} == {
+        "one_owner": (12, 4, 1, "live"), "two_owners_two_places": (6, 2, 2, "unclear"), "copied": (9, 3, 2, "example"), "nobody": (6, 0, 0, "live"),
+    }
+
+
+def test_private_keys_with_their_body_and_many_matches(spark):
+    pem = "-----BEGIN RSA PRIVATE KEY-----\nMIIB+/=\nabc\n-----END RSA PRIVATE KEY-----"
+    many = " ".join(f"token={'v%06d' % i}" for i in range(5000))
+    docs = spark.createDataFrame([(0, f"a {pem} b -----BEGIN PRIVATE KEY----- c", "s", "en"), (1, many, "s", "en")], SCHEMA + ", source string, lang string")
+    rows = {r.doc_id: r.spans for r in secrets.secret_spans(docs).collect()}
+    assert [(x.start, x.end) for x in rows[0] if x.kind == "pem"] == [(2, 2 + len(pem)), (2 + len(pem) + 3, 2 + len(pem) + 3 + 27)]
+    assert [(x.start, x.end) for x in rows[1]] == [(m.start(), m.end()) for m in ASSIGN.finditer(many)]
+
+
 # --- pseudonyms -----------------------------------------------------------------------------------
 
 
@@ -256,8 +382,9 @@ def test_pseudonyms_keep_format_validity_and_links(spark):
     texts = [f"x {c} y" for c in cards + others] + ["call +1 (017) 555-7713 or 017-555-7713", "ip 1.2.3.4 and 999.1.1.1", "on 2024-02-29 or 29.02.2024 not 30.02.2024", "Ann.Lee@mail.example.com", "4111 1111 1111 1111 4111111111111111", "clean text 12 34"]
     out = [x.text for x in pii.pseudonymize(spark.createDataFrame([*enumerate(texts)], SCHEMA), "k").orderBy("doc_id").collect()]
     moved = [t.split()[1] for t in out[:100]]
-    assert all(luhn(m) for m in moved[:60]) and all(luhn(a) == luhn(b) for a, b in zip(moved[60:], others, strict=True))
-    assert len(set(moved)) == len({*cards, *others}) and moved[0] != cards[0]
+    others = [x for x in others if not luhn(x)]
+    assert all(luhn(m) for m in moved[:60]) and {*others} <= {*moved}
+    assert len(set(moved)) == 100 and moved[0] != cards[0]
     assert all(direct_feistel(c[:15], 10, "k", "number") == m[:15] for c, m in zip(cards[:5], moved[:5], strict=True))
     phone = re.fullmatch(r"call \+1 \((\d{3})\) (\d{3})-(\d{4}) or \1-\2-\3", out[100])
     assert phone and out[101].endswith("999.1.1.1") and all(int(o) < 256 for o in out[101].split()[1].split("."))
@@ -267,6 +394,23 @@ def test_pseudonyms_keep_format_validity_and_links(spark):
     assert out[104][:19].replace(" ", "") == out[104][20:] and out[105] == texts[105]
 
 
+def test_phones_are_one_value_however_they_are_written(spark):
+    texts = ["+49 1701234567", "+491701234567", "+49-170-123-4567", "+49 (170) 1234567", "+1 (663) 555-6869", "+16635556869", "(663) 555-6869", "663.555.6869"]
+    out = [x.text for x in pii.pseudonymize(spark.createDataFrame([*enumerate(texts)], SCHEMA), "k").orderBy("doc_id").collect()]
+    plain = [re.sub("[^0-9]", "", t) for t in out]
+    assert len(set(plain[:4])) == 1 and plain[0][:2] == "49" and plain[0] != "491701234567"
+    assert plain[4] == plain[5] == "1" + plain[6] == "1" + plain[7] and plain[6] != "6635556869"
+    assert [re.sub("[0-9]", "0", t) for t in out] == [re.sub("[0-9]", "0", t) for t in texts]
+
+
+def test_accounts_keep_their_check_and_bad_numbers_stay(spark):
+    texts = ["GB82 WEST 1234 5698 7654 32", "GB82WEST12345698765432", "DE89370400440532013000", "DE89370400440532013001", "123456789012", "1234 5678 9012 3456"]
+    out = [x.text for x in pii.pseudonymize(spark.createDataFrame([*enumerate(texts)], SCHEMA), "k").orderBy("doc_id").collect()]
+    check = lambda t: int("".join(str(int(c, 36)) for c in t.replace(" ", "")[4:] + t[:4])) % 97
+    assert [check(t) for t in out[:3]] == [1, 1, 1] and out[0].replace(" ", "") == out[1] and out[1][4:8] == "WEST" and out[0] != texts[0] and out[2] != texts[2]
+    assert out[3:] == texts[3:]
+
+
 def test_day_and_address_networks_are_permutations(spark):
     df = spark.range(0, pii.DAYS)
     assert df.select(pii.feistel_number(F.col("id"), pii.DAY_PARTS, "k", "date").alias("v")).agg(F.countDistinct("v"), F.min("v"), F.max("v")).first()[:] == (pii.DAYS, 0, pii.DAYS - 1)
@@ -516,13 +660,12 @@ def test_windows_equal_direct_search(spark):
     assert read(decontaminate.benchmark_hits(frame, bench)) == want
 
 
-def test_blocks_of_patterns_give_the_same(spark, monkeypatch):
+def test_blocks_of_patterns_give_the_same(spark):
     bench = spark.createDataFrame([(i, prose(i, 25)) for i in range(8)], "item_id bigint, text string")
     docs = spark.createDataFrame([(i, prose(i % 9, 25) + " " + prose(50 + i, 40)) for i in range(20)], SCHEMA)
-    read = lambda: sorted((r.doc_id, r.n_hit, tuple(r.item_ids)) for r in decontaminate.benchmark_hits(docs, bench).collect())
+    read = lambda **k: sorted((r.doc_id, r.n_hit, tuple(r.item_ids)) for r in decontaminate.benchmark_hits(docs, bench, **k).collect())
     whole = read()
-    monkeypatch.setattr(decontaminate, "BLOCK_WINDOWS", 20)
-    assert read() == whole and any(n for _, n, _ in whole)
+    assert read(block_bytes=1500) == whole and any(n for _, n, _ in whole)
 
 
 # --- byte pairs -----------------------------------------------------------------------------------
