@@ -55,7 +55,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = common.load(spark, sf_dir, "documents")
+    """The last stage's rows; a stage's table goes as soon as the next stage's is written."""
+    docs, written = common.load(spark, sf_dir, "documents"), None
     for _, stage in STAGES[:-1]:
         docs = common.persist_shared(stage(spark, docs, sf_dir))
+        if written is not None:
+            common.forget_shared(written)
+        written = docs
     return STAGES[-1][1](spark, docs, sf_dir)
