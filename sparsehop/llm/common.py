@@ -115,17 +115,25 @@ def shared_dir(spark: SparkSession) -> str:
     return where.rstrip("/")
 
 
+def _release(spark: SparkSession) -> None:
+    """Let Spark's cleaner remove the shuffle files of frames that nobody holds any more."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def persist_shared(df: DataFrame) -> DataFrame:
     """Write a frame to the shared folder and read it back: lineage ends in files that outlive executors.
 
     The shuffle files behind the frame are of no more use; collecting the driver's
-    garbage lets Spark's cleaner remove them from the executors' disks.
+    garbage lets Spark's cleaner remove them from the executors' disks. Events that
+    still wait to be told hold the plan that has just ended, so the next call
+    collects again before it writes.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/stage-{uuid.uuid4().hex}"
+    _release(spark)
     df.write.parquet(path)
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    _release(spark)
     return spark.read.schema(df.schema).parquet(path)
 
 

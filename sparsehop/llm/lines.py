@@ -59,11 +59,11 @@ def occurrences(docs: DataFrame, edits: int | None = None, least: int = MIN_CHAR
     The keys are plain columns p0, p1, ..., the line's own index keys first; the lines themselves go no further.
     """
     split = docs.select("doc_id", F.posexplode(F.split(common.text_of(), "\n", -1)).alias("line_no", "line"))
-    long = split.filter(F.char_length("line") >= least)
+    long = split.withColumn("size", F.char_length("line")).filter(F.col("size") >= least)
     if below is not None:
-        long = long.filter(F.char_length("line") < below)
+        long = long.filter(F.col("size") < below)
     own = [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2")]
-    probes = [] if edits is None else [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits))]
+    probes = [] if edits is None else [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits, F.col("size")))]
     return long.select(*own, _place().alias("place"), *probes)
 
 
@@ -98,18 +98,13 @@ def _key(line: Column, segment: int, length: Column, start: Column, size: Column
     return F.xxhash64(F.lit(segment), length, F.substring(line, start + 1, size))
 
 
-def index_keys(line: Column, edits: int) -> list[Column]:
-    length = F.char_length(line)
-    return [_key(line, s, length, *_bounds(length, s, edits)) for s in range(edits + 1)]
-
-
-def probe_keys(line: Column, edits: int) -> list[Column]:
+def probe_keys(line: Column, edits: int, length: Column) -> list[Column]:
     """Keys of the substrings at which a line no longer than this one may have its segments.
 
     With d characters less and s segments before it, a segment lies at most s places to the left
     of its own start and, counted from the end, at most edits - s places to the right of it.
     """
-    length, keys = F.char_length(line), []
+    keys = []
     for less, s, shift in probe_places(edits):
         other = length - less
         start, size = _bounds(other, s, edits)
@@ -299,7 +294,7 @@ def near_lines(docs: DataFrame, lines: DataFrame, edits: int = MAX_EDITS) -> Dat
     side = lambda k, t: texts.select(F.col("h1").alias(k), F.col("first").alias(f"{k}_first"), F.col("parity").alias(f"{k}_parity"), F.col("line").alias(t))
     both = pairs.join(side("a", "x"), "a").join(side("b", "y"), "b").filter(parities_agree(F.col("a_parity"), F.col("b_parity"), edits) & within(F.col("x"), F.col("y"), edits))
     later = both.select(F.when(F.col("a_first") > F.col("b_first"), F.col("a")).otherwise(F.col("b")).alias("h1"))
-    gone = later.unionByName(crowded_lines(crowd, texts, edits)).distinct()
+    gone = common.persist_shared(later.unionByName(crowded_lines(crowd, texts, edits)).distinct())
     return gone.join(texts.select("h1", "h2"), "h1")
 
 
