@@ -9,6 +9,7 @@ from . import sqltext as Q
 from .functions import semiring as S
 from .functions import vector as V
 from .graph import Graph, canonicalize_report, degree_quantiles, edges_from_pairs, subgraph, top_hubs
+from .layout import bucketed
 from .operators import algorithms as A
 from .operators import baselines as B
 from .operators import bfs as X
@@ -17,7 +18,8 @@ from .operators import matmat as M
 from .options import BfsOptions, MatvecOptions
 from .plans import cost as C
 from .plans import workloads as W
-from .plans.direction import PullOnly, PushOnly, RatioRule, Schedule, TwoPhase
+from .plans.direction import BytesRule, PullOnly, PushOnly, RatioRule, Schedule, TwoPhase
+from .plans.metrics import physical
 from .runtime import persist
 from .sources import generators as G
 from .sources import tables as T
@@ -41,8 +43,8 @@ def _kron(spark) -> Graph:
 
 
 def _stored(g: Graph) -> Graph:
-    """A graph whose edges are written once, as every traversal reads them many times."""
-    return Graph(persist(g.edges, "edges"), g.directed, g.vertex_table)
+    """A graph whose edges are written once, bucketed by source, as every traversal joins them there many times."""
+    return bucketed(g)
 
 
 def _ids(df: DataFrame, id_) -> DataFrame:
@@ -248,6 +250,7 @@ register("bfs_operand_reuse", BFS_WORD)(_bfs_query(T.word, 0, RatioRule, BfsOpti
 register("bfs_no_operand_reuse", BFS_WORD)(_bfs_query(T.word, 0, RatioRule, BfsOptions(operand_reuse=False)))
 register("bfs_struct_only", BFS_ORD)(_bfs_query(T.ordpart, 1, PushOnly, BfsOptions(structure_only=True, merge="sort")))
 register("bfs_key_value", BFS_ORD)(_bfs_query(T.ordpart, 1, PushOnly, BfsOptions(structure_only=False)))
+register("bfs_bytes_rule", BFS_ORD)(_bfs_query(T.ordpart, 1, BytesRule))
 register("bfs_schedule", BFS_ORD)(_bfs_query(T.ordpart, 1, lambda: Schedule(["push", "push", "pull", "pull", "pull", "push"])))
 register("bfs_duplicates_kept", BFS_ORD)(_bfs_query(T.ordpart, 1, PushOnly, BfsOptions(merge="none", mask_placement="pre")))
 register("bfs_segment_waves", BFS_WORD)(_bfs_query(T.word, 0, RatioRule, BfsOptions(waves=True)))
@@ -367,11 +370,29 @@ for _variant, _side in (("row", "src"), ("row_masked", "dst"), ("col", "src"), (
     register(f"micro_{_variant}", _micro_sql(_variant, _side))(lambda spark, sf, v=_variant: W.micro(_kron(spark), v, SIZES))
 
 
-@register("micro_crossover", _micro_sql("col", "src").replace("SELECT 'col'", ", z1 AS (SELECT 'col'", 1) + ") SELECT min(size) AS size FROM z1 WHERE accesses > (SELECT count(*) / 2 FROM e)")
+@register("micro_crossover", _micro_sql("col", "src").replace("SELECT 'col'", ", z1 AS (SELECT 'col'", 1).replace(str(SIZES), str(W.sizes_of(875))) + ") SELECT min(size) AS size FROM z1 WHERE accesses * greatest(1, log2(size)) > (SELECT count(*) FROM e)")
 def _(spark, sf):
+    """Where the column product with its merge (accesses times the logarithm of the lists) overtakes the row product, over sizes up to all vertices."""
     g = _kron(spark)
-    col, row = W.micro(g, "col", SIZES), W.micro(g, "row", SIZES)
-    return W.crossover(col, row.withColumn("accesses", F.col("accesses") / 2))
+    sizes = W.sizes_of(g.M)
+    return W.crossover(W.micro(g, "col", sizes).withColumn("accesses", F.col("accesses") * F.greatest(F.lit(1.0), F.log2("size"))), W.micro(g, "row", sizes))
+
+
+SAMPLE_1 = SAMPLE.replace("48271) %", "48271 + 1000003) %")
+_MICRO = {  # outputs of each variant at size z.size
+    "row": "SELECT DISTINCT e.dst AS id FROM e JOIN smp ON smp.id = e.src WHERE smp.n <= z.size", "row_masked": "SELECT DISTINCT e.dst AS id FROM e JOIN smp ON smp.id = e.dst WHERE smp.n <= z.size",
+    "col": "SELECT DISTINCT e.dst AS id FROM e JOIN smp ON smp.id = e.src WHERE smp.n <= z.size",
+    "col_masked": "SELECT DISTINCT e.dst AS id FROM e JOIN smp ON smp.id = e.src JOIN sm1 ON sm1.id = e.dst WHERE smp.n <= z.size AND sm1.n <= greatest(1, 2 * z.size // 3)",
+}
+
+
+@register(
+    "micro_products",
+    f"WITH RECURSIVE {Q.graph('g_kron10')}, smp AS MATERIALIZED {SAMPLE}, sm1 AS MATERIALIZED {SAMPLE_1}, z AS (SELECT unnest({[1, 32, 256, 875]}) AS size) "
+    + " UNION ALL ".join(f"SELECT '{v}' AS variant, CAST(z.size AS BIGINT) AS size, (SELECT count(*) FROM ({q})) AS n, CAST((SELECT coalesce(sum(id), 0) FROM ({q})) AS BIGINT) AS total FROM z" for v, q in _MICRO.items()),
+)
+def _(spark, sf):
+    return W.micro_products(_kron(spark), [1, 32, 256, 875])
 
 
 @register(
@@ -393,9 +414,21 @@ def _(spark, sf):
     return C.table1(g, G.sample_vertices(g, 64), G.sample_vertices(g, 256))
 
 
-@register("sample_sources", f"WITH RECURSIVE {Q.graph('g_kron10')}, smp AS {SAMPLE}, r(source, id, depth) AS (SELECT id, id, 0 FROM smp WHERE n <= 32 UNION SELECT r.source, e.dst, r.depth + 1 FROM r JOIN e ON e.src = r.id WHERE r.depth < 7), lv AS (SELECT source, id, min(depth) AS depth FROM r GROUP BY 1, 2), dg AS (SELECT src AS id, count(*) AS g FROM e GROUP BY 1) SELECT CAST(depth + 1 AS INTEGER) AS iter, count(DISTINCT source) AS sources, count(*) AS nnz_f, CAST(sum(g) AS BIGINT) AS out_edges_f FROM lv JOIN dg USING (id) GROUP BY depth")
+TRACES = """rk AS MATERIALIZED (SELECT src, dst, row_number() OVER (PARTITION BY dst ORDER BY src) AS place FROM e), dg AS MATERIALIZED (SELECT src AS id, count(*) AS g FROM e GROUP BY 1),
+ ft AS (SELECT a.source, k.dst AS id, min(k.place) AS first FROM rk k JOIN lv a ON a.id = k.src JOIN lv t ON t.source = a.source AND t.id = k.dst WHERE a.depth = t.depth - 1 GROUP BY 1, 2),
+ b AS (SELECT lv.source, lv.depth, count(*) AS n, sum(g) AS ins, coalesce(sum(first), 0) AS firsts FROM lv JOIN dg USING (id) LEFT JOIN ft ON ft.source = lv.source AND ft.id = lv.id GROUP BY 1, 2),
+ st AS (SELECT source, depth + 1 AS iter, n AS nnz_f, CAST((SELECT count(*) FROM vx) - sum(n) OVER w AS BIGINT) AS nnz_u, CAST(ins AS BIGINT) AS out_edges_f, CAST((SELECT count(*) FROM e) - sum(ins) OVER w AS BIGINT) AS in_edges_u,
+  CAST((SELECT count(*) FROM e) - sum(ins) OVER w - coalesce(lead(ins) OVER w, 0) + coalesce(lead(firsts) OVER w, 0) AS BIGINT) AS parents_checked FROM b WINDOW w AS (PARTITION BY source ORDER BY depth))"""
+
+
+def _many(sources: str, bound: int) -> str:
+    return f"r(source, id, depth) AS ({sources} UNION SELECT r.source, e.dst, r.depth + 1 FROM r JOIN e ON e.src = r.id WHERE r.depth < {bound}), lv AS MATERIALIZED (SELECT source, id, min(depth) AS depth FROM r GROUP BY 1, 2)"
+
+
+@register("sample_sources", f"WITH RECURSIVE {Q.graph('g_kron10')}, smp AS {SAMPLE}, {_many('SELECT id, id, 0 FROM smp WHERE n <= 1000', 6)}, {TRACES} SELECT * FROM st")
 def _(spark, sf):
-    return W.sample_sources(_kron(spark), 32)
+    """1000 sampled sources (this graph has 875): cost of push and of pull at every level of every search."""
+    return W.sample_sources(_kron(spark), 1000)
 
 
 @register("demo_one_step", "SELECT m AS method, CAST(i AS BIGINT) AS id FROM (VALUES ('push'), ('pull'), ('pull early exit'), ('pull reuse')) a(m), (VALUES (4), (5)) b(i)")
@@ -409,6 +442,20 @@ def _(spark, sf):
     return W.generality(g, _mask_cust(spark, sf).select("id").join(g.vertices(), "id", "left_semi"))
 
 
+def _generality_sql() -> str:
+    five = "SELECT CAST(2 * s_suppkey + 1 AS BIGINT) AS id, CAST(2 * s_suppkey + 1 AS BIGINT) AS source, 0 FROM supplier WHERE s_suppkey < 8"
+    ins = f"(WITH {Q.graph('g_partsupp')} SELECT dst AS id, count(*) AS degree FROM e GROUP BY 1)"
+    ranks = f"SELECT 'adaptive ranks' AS algorithm, sum(coalesce(frozen_at, 6) * degree) AS masked, 6 * sum(degree) AS unmasked, count(*) * 6 / sum(coalesce(frozen_at, 6)) AS bound FROM ({Q.pagerank_adaptive('g_partsupp', 6, 0.05)}) JOIN {ins} USING (id)"
+    tri = f"""(WITH {Q.graph('g_copurchase')}, dg AS MATERIALIZED (SELECT src AS id, count(*) AS g FROM e GROUP BY 1), o AS MATERIALIZED (SELECT e.src AS a, e.dst AS b FROM e JOIN dg x ON x.id = e.src JOIN dg y ON y.id = e.dst WHERE (x.g, e.src) < (y.g, e.dst)),
+ n AS (SELECT a, count(*) AS n FROM o GROUP BY 1) SELECT 'triangles' AS algorithm, (SELECT sum(n) FROM o JOIN n ON n.a = o.b) AS masked, count(*) AS unmasked, count(DISTINCT (x.a, y.b)) / (SELECT count(*) FROM o) AS bound FROM o x JOIN o y ON y.a = x.b)"""
+    centre = f"(WITH RECURSIVE {Q.graph('g_partsupp')}, {_many(five.replace('AS id, CAST', 'AS source, CAST').replace('AS source, 0', 'AS id, 0'), 8)}, {TRACES} SELECT 'batched centrality' AS algorithm, sum(in_edges_u) AS masked, count(*) * (SELECT count(*) FROM e) AS unmasked, count(*) * (SELECT count(*) FROM vx) / sum(nnz_u) AS bound FROM st)"
+    rounds = " UNION ALL ".join(f"SELECT sum(g) AS d, count(*) AS n FROM c{i} JOIN dg USING (id)" for i in range(12))
+    mis = "(" + Q.mis("g_partsupp", 12, f", dg AS (SELECT src AS id, count(*) AS g FROM e GROUP BY 1), t AS ({rounds}) SELECT 'independent set' AS algorithm, sum(d) AS masked, count(*) * (SELECT count(*) FROM e) AS unmasked, count(*) * (SELECT count(*) FROM vx) / sum(n) AS bound FROM t WHERE n > 0") + ")"
+    layer = f"(WITH {_X} SELECT 'sparse layers' AS algorithm, (SELECT sum(n) FROM x y JOIN (SELECT i, count(*) AS n FROM x GROUP BY 1) USING (i) WHERE y.j < 8) AS masked, count(*) AS unmasked, count(DISTINCT (x.i, w.j)) / (SELECT count(*) FROM x WHERE j < 8) AS bound FROM x JOIN w ON w.i = x.j)"
+    both = " UNION ALL ".join(f"SELECT * FROM {p}" for p in (f"({ranks})", tri, centre, mis, layer))
+    return f"SELECT algorithm, CAST(masked AS BIGINT) AS masked, CAST(unmasked AS BIGINT) AS unmasked, round(unmasked / masked, 6) AS ratio, round(bound, 6) AS bound FROM ({both})"
+
+
 DESCRIBED = ["g_ordpart", "g_custpart", "g_partsupp", "g_copurchase", "g_word", "g_geo", "g_custorder", "g_userkey", "g_chain", "g_ladder", "g_pages", "g_conv", "g_toy"]
 
 
@@ -485,7 +532,7 @@ def _(spark, sf):
 register("mis", Q.mis("g_partsupp", 12))(lambda spark, sf: A.mis(_stored(T.partsupp(spark, sf))))
 register("components", f"WITH RECURSIVE {Q.graph('g_geo')}, r(id, root) AS (SELECT id, id FROM vx UNION SELECT e.dst, r.root FROM r JOIN e ON e.src = r.id WHERE r.root < e.dst) SELECT id, min(root) AS component FROM r GROUP BY id")(lambda spark, sf: A.components(_stored(T.geo(spark, sf))))
 _TRI = f"WITH {Q.graph('g_copurchase')} SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON y.src = x.dst AND x.src < x.dst AND x.dst < y.dst JOIN e z ON z.src = x.src AND z.dst = y.dst"
-register("triangle_list", _TRI)(lambda spark, sf: M.triangles(_stored(T.copurchase(spark, sf))))
+register("triangle_list", _TRI.replace(Q.graph("g_copurchase"), Q.graph("g_knn")))(lambda spark, sf: M.triangles(_stored(T.knn(spark, sf))))
 register("triangle_count", f"SELECT count(*) AS triangles FROM ({_TRI})")(lambda spark, sf: M.triangle_count(_stored(T.copurchase(spark, sf))))
 register("triangle_count_unmasked", f"SELECT count(*) AS triangles FROM ({_TRI})")(lambda spark, sf: M.triangle_count_unmasked(_stored(T.copurchase(spark, sf))))
 
@@ -524,6 +571,14 @@ def _activations(spark, sf):
     return T.load(spark, sf, "embeddings").select(F.col("vec_id").cast("bigint").alias("i"), F.posexplode("embedding").alias("j", "v")).select("i", F.col("j").cast("bigint").alias("j"), F.round(F.col("v").cast("double") * 1000).alias("val"))
 
 
+@register("generality_algorithms", _generality_sql())
+def _(spark, sf):
+    """The gain of masks in all five algorithms that have one."""
+    src = T.load(spark, sf, "supplier").filter("s_suppkey < 8").select((2 * F.col("s_suppkey") + 1).alias("id"))
+    x = _activations(spark, sf)
+    return W.masked_algorithms(_stored(T.partsupp(spark, sf)), _stored(T.copurchase(spark, sf)), src, x, _layer_weights(spark, 64), x.filter("j < 8").select("i", "j"))
+
+
 register("sparse_layer", f"WITH {_X} SELECT * FROM (SELECT x.i, w.j, greatest(sum(x.val * w.val) - 10, 0) AS val FROM x JOIN w ON w.i = x.j GROUP BY 1, 2) WHERE val > 0")(lambda spark, sf: M.sparse_layer(_activations(spark, sf), _layer_weights(spark, 64), -10.0))
 register("sparse_layers_masked", f"WITH {_X}, y AS (SELECT * FROM (SELECT x.i, w.j, greatest(sum(x.val * w.val) - 10, 0) AS val FROM x JOIN w ON w.i = x.j GROUP BY 1, 2) WHERE val > 0) SELECT * FROM (SELECT y.i, w.j, greatest(sum(y.val * w.val) - 10, 0) AS val FROM y JOIN w ON w.i = y.j WHERE w.j < 8 GROUP BY 1, 2) WHERE val > 0")(
     lambda spark, sf: M.sparse_layers(_activations(spark, sf), [_layer_weights(spark, 64)] * 2, -10.0, _activations(spark, sf).filter("j < 8").select("i", "j"))
@@ -544,6 +599,18 @@ register("path_counts", f"WITH {Q.graph('g_partsupp')}, a AS (SELECT dst AS id,
     lambda spark, sf: A.path_counts(_stored(T.partsupp(spark, sf)), spark.createDataFrame([(1, 1)], "id bigint, val bigint"), 2)
 )
 
+@register("cost_physical", "SELECT 'push' AS plan, CAST(0 AS BIGINT) AS edge_exchanges UNION ALL SELECT 'plain', 1")
+def _(spark, sf):
+    """Exchanges of the edge table in one product: none on the bucketed store, one on plain files (the vector is too large to be sent along)."""
+    g, plain = _stored(T.custpart(spark, sf)), Graph(persist(T.custpart(spark, sf).edges, "edges"))
+    rows = []
+    for name, graph in (("push", g), ("plain", plain)):
+        x = graph.vertices().select("id", F.lit(True).alias("val"))
+        moved = physical(K.expand(graph, x, S.OR_AND, MatvecOptions(join_strategy="merge")))
+        rows.append((name, int(moved["shuffle_rows"] >= graph.nnz + graph.M)))
+    return spark.createDataFrame(rows, "plan string, edge_exchanges long")
+
+
 for _name, _base in B.BASELINES.items():
     register(f"baseline_{_name}", BFS_ORD)(lambda spark, sf, f=_base: f(_stored(T.ordpart(spark, sf)), 1).levels.select("id", "depth"))
 register("baseline_fc_duplicates", BFS_ORD)(lambda spark, sf: B.fc_gpu(_stored(T.ordpart(spark, sf)), 1, dup=True).levels.select("id", "depth"))

@@ -20,9 +20,21 @@ def pack_words(ids: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
     """(block, words): the Boolean dense form, one row for each block that has a set bit. Ids are not negative."""
     word = F.shiftright("id", 6)
     ones = ids.groupBy(word.alias("word")).agg(F.bit_or(bit_of(F.col("id"))).alias("bits"))
-    pairs = F.map_from_entries(F.collect_list(F.struct((F.col("word") % block_words).alias("k"), "bits")))
-    filled = F.transform(F.sequence(F.lit(0).cast("bigint"), F.lit(block_words - 1).cast("bigint")), lambda i: F.coalesce(F.element_at(F.col("m"), i), F.lit(0).cast("bigint")))
-    return ones.groupBy(F.floor(F.col("word") / block_words).alias("block")).agg(pairs.alias("m")).select("block", filled.alias("words"))
+    ones = ones.select(F.floor(F.col("word") / block_words).alias("block"), F.struct((F.col("word") % block_words).cast("int").alias("k"), "bits").alias("one"))
+    # every word of a block stands once, as a nought beside those that have bits
+    noughts = ones.select("block").distinct().select("block", F.explode(F.sequence(F.lit(0), F.lit(block_words - 1))).alias("k")).select("block", F.struct("k", F.lit(0).cast("bigint").alias("bits")).alias("one"))
+    both = ones.unionByName(noughts).groupBy("block", F.col("one.k").alias("k")).agg(F.bit_or("one.bits").alias("bits"))
+    listed = both.groupBy("block").agg(F.array_sort(F.collect_list(F.struct("k", "bits"))).alias("words"))
+    return listed.select("block", F.transform("words", lambda w: w["bits"]).alias("words"))
+
+
+def all_words(ids: DataFrame, max_id: int, block_words: int = 4096) -> DataFrame:
+    """One row with the words of ids 0 to ``max_id``: blocks are packed in parallel and laid end to end, each word touched once."""
+    spark, last = ids.sparkSession, (max_id >> 6) // block_words
+    empty = spark.range(last + 1).select(F.col("id").alias("block"), F.array_repeat(F.lit(0).cast("bigint"), block_words).alias("noughts"))
+    blocks = empty.join(pack_words(ids, block_words), "block", "left").select("block", F.coalesce("words", "noughts").alias("words"))
+    laid = blocks.agg(F.array_sort(F.collect_list(F.struct("block", "words"))).alias("blocks"))
+    return laid.select(F.flatten(F.transform("blocks", lambda b: b["words"])).alias("words"))
 
 
 def unpack_words(blocks: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:

@@ -49,7 +49,7 @@ class Graph:
         return self.edges.groupBy(F.col("dst").alias("id")).agg(F.count(F.lit(1)).alias("degree"))
 
     def rows(self) -> DataFrame:
-        """(vertex, nbrs): in-neighbours of each vertex, ascending. Long rows belong in segments, see layout."""
+        """(vertex, nbrs): in-neighbours of each vertex, ascending, one row each; searches take the segments of ``layout``."""
         return self.edges.groupBy(F.col("dst").alias("vertex")).agg(F.array_sort(F.collect_list("src")).alias("nbrs"))
 
     @cached_property

@@ -6,20 +6,38 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .graph import Graph
-from .runtime import new_path
+from .runtime import new_path, persist
 
 #: The first segment's neighbours, and how much each next segment grows.
 FIRST_SEGMENT, GROWTH, LONGEST = 16, 16, 4096
 
 
+def placed(edges: DataFrame, key: str = "dst", by: str = "src", name: str = "at") -> DataFrame:
+    """Edges with their place, from 0, among those of the same ``key`` in the order of ``by``; no task holds a hub.
+
+    Edges are dealt by ranges of (key, by) and numbered inside a range. A key that
+    goes on in the next range begins there at the number of its edges before; as a
+    range's end cuts one key at most, the table of such keys is never longer than
+    twice the number of ranges and is sent to all.
+    """
+    ranged = persist(edges.repartitionByRange(key, by).withColumn("range", F.spark_partition_id()), "ranged")
+    inside = F.row_number().over(Window.partitionBy("range", key).orderBy(by)) - 1
+    counts = ranged.groupBy("range", key).agg(F.count(F.lit(1)).alias("n"))
+    ends = ranged.groupBy("range").agg(F.min(key).alias("low"), F.max(key).alias("high"))
+    edge = ends.select("range", F.explode(F.array_distinct(F.array("low", "high"))).alias(key))
+    order = Window.partitionBy(key).orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    before = counts.join(F.broadcast(edge), ["range", key]).select("range", key, F.coalesce(F.sum("n").over(order), F.lit(0)).alias("before")).filter("before > 0")
+    whole = ranged.withColumn("inside", inside).join(F.broadcast(before), ["range", key], "left")
+    return whole.withColumn(name, (F.col("inside") + F.coalesce("before", F.lit(0))).cast("int")).drop("range", "inside", "before")
+
+
 def segment(g: Graph, first: int = FIRST_SEGMENT, growth: int = GROWTH, longest: int = LONGEST) -> DataFrame:
     """(vertex, seg, nbrs): in-neighbours in ascending order, cut so that no row holds more than ``longest``.
 
     Segment 0 has the first few; a hub's later segments are rows of their own, so
     no task ever holds a hub's whole list in one array.
     """
-    at = F.row_number().over(Window.partitionBy("dst").orderBy("src")) - 1
-    placed = g.pattern().withColumn("at", at)
+    numbered = placed(g.pattern())
     number, low, size = F.lit(None).cast("int"), 0, first
     cuts = []
     while size < longest:
@@ -28,7 +46,7 @@ def segment(g: Graph, first: int = FIRST_SEGMENT, growth: int = GROWTH, longest:
     number = (F.lit(len(cuts)) + F.floor((F.col("at") - low) / longest)).cast("int")
     for k, (a, b) in reversed([*enumerate(cuts)]):
         number = F.when(F.col("at") < b, F.lit(k)).otherwise(number)
-    return placed.groupBy(F.col("dst").alias("vertex"), number.alias("seg")).agg(F.array_sort(F.collect_list("src")).alias("nbrs"))
+    return numbered.groupBy(F.col("dst").alias("vertex"), number.alias("seg")).agg(F.array_sort(F.collect_list("src")).alias("nbrs"))
 
 
 def write_edge_store(g: Graph, path: str | None = None, block_bits: int = 12) -> str:
@@ -66,10 +84,18 @@ def open_edge_store(spark, path: str, block_bits: int = 12) -> EdgeStore:
     return EdgeStore(spark, path, block_bits)
 
 
-def bucket_edges(g: Graph, table: str, buckets: int) -> DataFrame:
-    """A table bucketed and sorted by source: joins with vectors bucketed alike need no exchange of edges."""
-    g.edges.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src").saveAsTable(table)
-    return g.edges.sparkSession.table(table)
+def bucket_edges(g: Graph, table: str | None = None, buckets: int | None = None) -> DataFrame:
+    """A table bucketed and sorted by source, in the shared folder: joins on the source exchange the vector, never the edges."""
+    spark = g.edges.sparkSession
+    path = new_path(spark, "bucketed")
+    table, buckets = table or "sparsehop_" + path.rsplit("-", 1)[1], buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    g.edges.repartition(buckets, "src").write.mode("overwrite").option("path", path).bucketBy(buckets, "src").sortBy("src").saveAsTable(table)
+    return spark.table(table)
+
+
+def bucketed(g: Graph) -> Graph:
+    """The graph on a bucketed table of its edges, written once for all the levels and rounds to come."""
+    return Graph(bucket_edges(g), g.directed, g.vertex_table)
 
 
 def grid(g: Graph, bits: int = 10) -> DataFrame:

@@ -9,7 +9,7 @@ from ..functions.semiring import COUNT_TIMES, MIN_FIRST, MIN_PLUS, PLUS_TIMES
 from ..graph import Graph
 from ..plans.direction import PULL, TwoPhase
 from ..plans.direction import Level as Seen
-from ..runtime import commit, new_path, persist
+from ..runtime import commit, forget, new_path, persist
 from . import kernels as K
 
 
@@ -32,7 +32,8 @@ def sssp(g: Graph, source: int, rule=None, operand_reuse: bool = False) -> DataF
         better = y.join(dist.select("id", F.col("val").alias("old")), "id", "left").filter("old IS NULL OR val < old").select("id", "val")
         front, nnz = commit(better, f"{root}/{turn}-front")
         if nnz:
-            dist, _ = commit(K.accumulate(dist, front, MIN_PLUS), f"{root}/{turn}-dist")
+            old, (dist, _) = dist, commit(K.accumulate(dist, front, MIN_PLUS), f"{root}/{turn}-dist")
+            forget(old)
     return dist.select("id", F.col("val").alias("dist"))
 
 
@@ -64,7 +65,8 @@ def pagerank(g: Graph, damping: float = 0.85, iters: int = 10, freeze_tol: float
         new = F.lit((1 - damping) / m) + damping * (F.coalesce(F.col("y"), F.lit(0.0)) + F.col("loose") / m)
         moved = rank.join(y.select("id", F.col("val").alias("y")), "id", "left").join(loose).withColumn("new", F.when(F.col("frozen").isNull(), new).otherwise(F.col("val")))
         frozen = F.col("frozen") if freeze_tol is None else F.when(F.col("frozen").isNull() & (F.abs(F.col("new") - F.col("val")) < freeze_tol * F.col("val")), F.lit(i)).otherwise(F.col("frozen"))
-        rank = persist(moved.select("id", F.col("new").alias("val"), frozen.alias("frozen")), "rank")
+        old, rank = rank, persist(moved.select("id", F.col("new").alias("val"), frozen.alias("frozen")), "rank")
+        forget(old)
     return rank.select("id", F.col("val").alias("rank"), F.col("frozen").alias("frozen_at"))
 
 
@@ -85,7 +87,8 @@ def personalized_pagerank(g: Graph, seeds: DataFrame, damping: float = 0.85, ite
         x = share.filter("out IS NOT NULL").select("id", (F.col("val") / F.col("out")).alias("val"))
         y = K.col_mxv(pattern, x, PLUS_TIMES) if nnz <= switch * g.M else K.row_masked_mxv(pattern, x, g.vertices(), PLUS_TIMES)
         back = start.join(loose).select("id", ((1 - damping) * F.col("val") + damping * F.col("loose") * F.col("val")).alias("val"))
-        rank, nnz = commit(K.accumulate(y.select("id", (damping * F.col("val")).alias("val")), back, PLUS_TIMES), new_path(g.edges.sparkSession, "ppr"))
+        old, (rank, nnz) = rank, commit(K.accumulate(y.select("id", (damping * F.col("val")).alias("val")), back, PLUS_TIMES), new_path(g.edges.sparkSession, "ppr"))
+        forget(old)
     return rank.select("id", F.col("val").alias("rank"))
 
 
@@ -132,12 +135,14 @@ def priority(seed: int = 0):
     return F.pmod(F.pmod(F.col("id"), F.lit(1_000_003)) * 48_271 + seed * 7_919 + 12_345, F.lit(1_000_003))
 
 
-def mis(g: Graph, seed: int = 0) -> DataFrame:
+def mis(g: Graph, seed: int = 0, log: list[DataFrame] | None = None) -> DataFrame:
     """(id): a maximal independent set. Each round the candidates whose (priority, id) beats all candidate neighbours join;
-    they and their neighbours leave. The candidate set is the mask of each round's product."""
+    they and their neighbours leave. The candidate set is the mask of each round's product; ``log`` takes each round's."""
     open_ = persist(g.vertices().select("id", F.struct(priority(seed).alias("p"), F.col("id").alias("i")).alias("rank")), "open")
     chosen = None
     while not open_.isEmpty():
+        if log is not None:
+            log.append(open_.select("id"))
         edges = g.pattern().join(open_.select(F.col("id").alias("src"), F.col("rank").alias("theirs")), "src").join(open_.select(F.col("id").alias("dst")), "dst", "left_semi")
         best = edges.groupBy(F.col("dst").alias("id")).agg(F.max("theirs").alias("best"))
         won = persist(open_.join(best, "id", "left").filter("best IS NULL OR rank > best").select("id"), "won")
@@ -158,7 +163,8 @@ def components(g: Graph) -> DataFrame:
         better = y.join(label.select("id", F.col("val").alias("old")), "id").filter("val < old").select("id", "val")
         front, nnz = commit(better, f"{root}/{turn}-front")
         if nnz:
-            label, _ = commit(K.accumulate(label, front, MIN_FIRST), f"{root}/{turn}")
+            old, (label, _) = label, commit(K.accumulate(label, front, MIN_FIRST), f"{root}/{turn}")
+            forget(old)
     return label.select("id", F.col("val").alias("component"))
 
 

@@ -108,31 +108,28 @@ def fits_words(g: Graph, opts: MatvecOptions) -> bool:
     return g.facts["min_id"] >= 0 and (g.facts["max_id"] + 64) // 8 <= opts.broadcast_bytes
 
 
-def all_words(x: DataFrame, max_id: int) -> DataFrame:
-    """One row with the words of all blocks; its size is checked by ``fits_words`` before."""
-    ones = x.groupBy(F.shiftright("id", 6).alias("w")).agg(F.bit_or(V.bit_of(F.col("id"))).alias("bits"))
-    filled = F.transform(F.sequence(F.lit(0).cast("bigint"), F.lit(max_id >> 6).cast("bigint")), lambda i: F.coalesce(F.try_element_at(F.col("m"), i), F.lit(0).cast("bigint")))
-    return ones.agg(F.map_from_entries(F.collect_list(F.struct("w", "bits"))).alias("m")).select(filled.alias("words"))
-
-
 def probe_rows(g: Graph, x: DataFrame, on: DataFrame, how: str, opts: MatvecOptions, rows: DataFrame | None = None) -> DataFrame:
     """(id, parent): admitted rows with an in-neighbour in x, and the least such neighbour.
 
     The mask is joined before any list is read. Vertices whose bits fit the budget
     are probed by a bit test that stops at the first hit; beyond it the lists'
-    entries meet x in an equi-join.
+    entries meet x in an equi-join. Rows are segments, so a hub is many of them
+    and its finds are united.
     """
-    rows = g.rows() if rows is None else rows
+    if rows is None:
+        from ..layout import LONGEST, segment
+
+        rows = segment(g, LONGEST, 1)
     open_rows = rows.join(on.select(F.col("id").alias("vertex")), "vertex", how)
     if fits_words(g, opts):
-        words = F.broadcast(all_words(x.select("id"), max(g.facts["max_id"], 0)))
+        words = F.broadcast(V.all_words(x.select("id"), max(g.facts["max_id"], 0)))
         read = open_rows.join(words, F.exists("nbrs", lambda n: F.getbit(F.get("words", F.shiftright(n, 6).cast("int")), n.bitwiseAND(63).cast("int")) == 1))
         first = F.aggregate(
             "nbrs",
             F.lit(None).cast("bigint"),
             lambda s, n: F.when(s.isNotNull(), s).when(F.getbit(F.get("words", F.shiftright(n, 6).cast("int")), n.bitwiseAND(63).cast("int")) == 1, n),
         )
-        return read.select(F.col("vertex").alias("id"), first.alias("parent"))
+        return read.select(F.col("vertex").alias("id"), first.alias("parent")).groupBy("id").agg(F.min("parent").alias("parent"))
     entries = open_rows.select("vertex", F.explode("nbrs").alias("src"))
     return entries.join(x.select(F.col("id").alias("src")), "src", "left_semi").groupBy(F.col("vertex").alias("id")).agg(F.min("src").alias("parent"))
 
@@ -167,10 +164,10 @@ def balanced_expand(g: Graph, x: DataFrame, parts: int = 8) -> DataFrame:
     lengths = g.out_degrees().join(x.select("id"), "id")
     starts = V.prefix_sum(lengths, "id", "degree", parts)
     total = F.broadcast(lengths.agg(F.sum("degree").alias("total")))
-    lists = g.pattern().join(starts.select(F.col("id").alias("src"), "before"), "src")
-    from pyspark.sql import Window
+    from ..layout import placed
 
-    place = F.col("before") + F.row_number().over(Window.partitionBy("src").orderBy("dst")) - 1
+    lists = placed(g.pattern().join(starts.select(F.col("id").alias("src"), "before"), "src").withColumnRenamed("before", "start"), "src", "dst")
+    place = F.col("start") + F.col("at")
     return lists.join(total).select(F.floor(place * parts / F.col("total")).cast("int").alias("part"), "src", "dst")
 
 

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..graph import Graph
+from ..layout import placed
 
 
 def _sum_degrees(degrees: DataFrame, ids: DataFrame) -> DataFrame:
@@ -36,8 +37,7 @@ def col(g: Graph, f: DataFrame) -> DataFrame:
 
 def row_early(g: Graph, mask: DataFrame, f: DataFrame) -> DataFrame:
     """With early exit: the place of each admitted row's first hit in ascending order, or the row's length."""
-    place = F.row_number().over(Window.partitionBy("dst").orderBy("src"))
-    rows = g.pattern().join(mask.select(F.col("id").alias("dst")).distinct(), "dst", "left_semi").withColumn("place", place)
+    rows = placed(g.pattern().join(mask.select(F.col("id").alias("dst")).distinct(), "dst", "left_semi")).withColumn("place", F.col("at") + 1)
     hits = rows.join(f.select(F.col("id").alias("src"), F.lit(True).alias("hit")).distinct(), "src", "left")
     return hits.groupBy("dst").agg(F.coalesce(F.min(F.when(F.col("hit"), F.col("place"))), F.count(F.lit(1))).alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)).cast("bigint").alias("n"))
 
@@ -89,8 +89,7 @@ def trace(g: Graph, levels: DataFrame) -> DataFrame:
     and the running sums over levels are over a table of one row a level.
     """
     depths = g.vertices().join(levels.select("id", "depth"), "id", "left")
-    place = F.row_number().over(Window.partitionBy("dst").orderBy("src"))
-    edges = g.pattern().withColumn("place", place)
+    edges = placed(g.pattern()).withColumn("place", F.col("at") + 1)
     of = depths.select(F.col("id").alias("dst"), F.col("depth").alias("own"))
     up = levels.select(F.col("id").alias("src"), F.col("depth").alias("theirs"))
     rows = edges.join(of, "dst").join(up, "src", "left")
@@ -134,7 +133,6 @@ def ablation(tr: DataFrame, alpha: float = 0.01) -> DataFrame:
     t = ratio_directions(tr, alpha, alpha)
     pull = F.col("direction") == "pull"
     nnz = F.col("out_edges_f")
-    total = tr.agg(F.sum("out_edges_f").alias("push_all"))
     all_rows = t.crossJoin(g_total(tr)).agg(
         F.sum(nnz).alias("a0"),
         F.sum(F.when(pull, F.col("nnz")).otherwise(nnz)).alias("a2"),
@@ -143,7 +141,6 @@ def ablation(tr: DataFrame, alpha: float = 0.01) -> DataFrame:
         F.sum(F.when(pull, 0).otherwise(nnz)).alias("pushed"),
         F.sum(F.when(pull, F.col("nnz_f")).otherwise(0)).alias("packed"),
     )
-    del total
     steps = [("baseline", "a0", 2 * F.col("a0")), ("structure only", "a0", F.col("a0")), ("change of direction", "a2", F.col("pushed") + F.col("packed")), ("masking", "a3", F.col("pushed") + F.col("packed")), ("early exit", "a4", F.col("pushed") + F.col("packed")), ("operand reuse", "a4", F.col("pushed"))]
     made = F.array(*[F.struct(F.lit(i).alias("step"), F.lit(s).alias("stack"), F.col(a).cast("bigint").alias("accesses"), w.cast("bigint").alias("words")) for i, (s, a, w) in enumerate(steps)])
     return all_rows.select(F.inline(made))

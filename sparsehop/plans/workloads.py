@@ -7,16 +7,20 @@ import time
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions import vector as V
 from ..functions.semiring import OR_AND
 from ..graph import Graph
+from ..layout import LONGEST, placed, segment
+from ..operators import algorithms as A
 from ..operators import baselines
 from ..operators import kernels as K
+from ..operators import matmat as M
 from ..operators.bfs import bfs, bfs_multi, double_sweep
 from ..options import BfsOptions, MatvecOptions
 from ..runtime import persist
 from ..sources.generators import sample_vertices
 from . import cost
-from .direction import PullOnly, PushOnly, RatioRule
+from .direction import PushOnly, RatioRule
 
 ALPHAS = [0.001, 0.005, 0.01, 0.02, 0.05, 0.1, 0.2]
 
@@ -61,6 +65,23 @@ def micro_times(g: Graph, variant: str, sizes: list[int], runs: int = 3) -> list
     return rows
 
 
+def micro_products(g: Graph, sizes: list[int]) -> DataFrame:
+    """(variant, size, n, total): the four products run over random sets of growing size; how many outputs and the sum of their ids."""
+    every = g.vertices().select("id", F.lit(True).alias("val"))
+    out = None
+    for n in sizes:
+        f = persist(sample_vertices(g, n).select("id", F.lit(True).alias("val")))
+        mask = sample_vertices(g, max(1, 2 * n // 3), 1)
+        made = {
+            "row": V.to_sparse(K.row_mxv(g, f, OR_AND), OR_AND), "row_masked": K.row_masked_mxv(g, every, f.select("id"), OR_AND),
+            "col": K.col_mxv(g, f, OR_AND), "col_masked": K.col_masked_mxv(g, f, mask, OR_AND),
+        }
+        for variant, y in made.items():
+            one = y.agg(F.lit(variant).alias("variant"), F.lit(n).cast("bigint").alias("size"), F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("id"), F.lit(0)).cast("bigint").alias("total"))
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
 def micro_merge(g: Graph, sizes: list[int]) -> DataFrame:
     """(kind, size, n, work, words): merges of an expansion by three kinds, in comparisons and sort words."""
     out = None
@@ -82,7 +103,7 @@ def crossover(a: DataFrame, b: DataFrame) -> DataFrame:
 def level_times(g: Graph, source: int, runs: int = 1) -> list[dict]:
     """Per level: counts, and the mean time of a push and of a pull from the same state."""
     levels = persist(bfs(g, source).levels)
-    rows, trace = persist(g.rows()), {x["iter"]: x.asDict() for x in cost.trace(g, levels).collect()}
+    rows, trace = persist(segment(g, LONGEST, 1)), {x["iter"]: x.asDict() for x in cost.trace(g, levels).collect()}
     out, opts = [], MatvecOptions()
     for depth in range(max(trace)):
         front = persist(levels.filter(F.col("depth") == depth).select("id", F.lit(True).alias("val")))
@@ -94,11 +115,27 @@ def level_times(g: Graph, source: int, runs: int = 1) -> list[dict]:
     return out
 
 
+def source_traces(g: Graph, many: DataFrame) -> DataFrame:
+    """(source, iter, nnz_f, nnz_u, out_edges_f, in_edges_u, parents_checked) of searches (source, id, depth): both directions' cost at every level.
+
+    As in ``cost.trace``: a vertex is passed over whole before the level of its parents and stops at the first of them there.
+    """
+    degree = g.in_degrees().withColumnRenamed("degree", "ins").join(g.out_degrees().withColumnRenamed("degree", "outs"), "id", "full").fillna(0)
+    up = many.select("source", F.col("id").alias("src"), (F.col("depth") + 1).alias("depth"))
+    edges = placed(g.pattern()).withColumn("place", F.col("at") + 1)
+    first = edges.join(up, "src").join(many.withColumnRenamed("id", "dst"), ["source", "dst", "depth"]).groupBy("source", F.col("dst").alias("id")).agg(F.min("place").alias("first"))
+    by = many.join(degree, "id").join(first, ["source", "id"], "left").groupBy("source", "depth")
+    sums = by.agg(F.count(F.lit(1)).alias("n"), F.sum("ins").alias("ins"), F.sum("outs").alias("outs"), F.coalesce(F.sum("first"), F.lit(0)).alias("firsts"))
+    order = Window.partitionBy("source").orderBy("depth")  # one row a level
+    upto = order.rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    left = F.lit(g.nnz) - F.sum("ins").over(upto)
+    checked = left - F.coalesce(F.lead("ins").over(order), F.lit(0)) + F.coalesce(F.lead("firsts").over(order), F.lit(0))
+    return sums.select("source", (F.col("depth") + 1).alias("iter"), F.col("n").alias("nnz_f"), (F.lit(g.M) - F.sum("n").over(upto)).alias("nnz_u"), F.col("outs").alias("out_edges_f"), left.alias("in_edges_u"), checked.cast("bigint").alias("parents_checked"))
+
+
 def sample_sources(g: Graph, n: int) -> DataFrame:
-    """(iter, sources, nnz_f, out_edges_f): sizes and column cost by level, averaged over searches from n sampled sources."""
-    many = persist(bfs_multi(g, sample_vertices(g, n)))
-    per = many.join(g.out_degrees(), "id").groupBy("source", "depth").agg(F.count(F.lit(1)).alias("nnz_f"), F.sum("degree").alias("outs"))
-    return per.groupBy((F.col("depth") + 1).alias("iter")).agg(F.count(F.lit(1)).alias("sources"), F.sum("nnz_f").cast("bigint").alias("nnz_f"), F.sum("outs").cast("bigint").alias("out_edges_f"))
+    """``source_traces`` of n sampled sources (all, where the graph has fewer)."""
+    return source_traces(g, persist(bfs_multi(g, sample_vertices(g, n))))
 
 
 def parents_curve(tr: DataFrame) -> DataFrame:
@@ -143,7 +180,9 @@ def compare(graphs: dict[str, tuple[Graph, int, str]], systems: list[str] | None
             try:
                 ms, _ = timed(run[system], runs)
                 rows.append({"graph": name, "type": kind, "system": system, "ms": ms, "mteps": g.nnz / ms / 1000, "status": "ok"})
-            except MemoryError:
+            except Exception as e:  # Spark wraps an executor's or the driver's error in its own
+                if "OutOfMemory" not in str(e) and not isinstance(e, MemoryError):
+                    raise
                 rows.append({"graph": name, "type": kind, "system": system, "ms": None, "mteps": None, "status": "out of memory"})
     return rows
 
@@ -169,6 +208,39 @@ def describe_all(graphs: dict[str, tuple[Graph, int, str]]) -> list[dict]:
     return [describe(k, g).first().asDict() | {"type": kind, "diameter_lb": double_sweep(g, s)[1]} for k, (g, s, kind) in graphs.items()]
 
 
+def masked_algorithms(g: Graph, dense: Graph, sources: DataFrame, x: DataFrame, w: DataFrame, wanted: DataFrame, iters: int = 6, tol: float = 0.05) -> DataFrame:
+    """(algorithm, masked, unmasked, ratio, bound): entries read with the mask of known outputs and without, in five algorithms.
+
+    ``bound`` is what the mask could save if all rows were alike: outputs without it over outputs with it.
+    Ranks, centrality and independent sets run on ``g``, triangles on ``dense``, layers on ``x``, ``w`` and the mask ``wanted``.
+    """
+    ins = g.in_degrees()
+    ranked = A.pagerank(g, 0.85, iters, tol).select("id", F.coalesce("frozen_at", F.lit(iters)).alias("rounds")).join(ins, "id")
+    parts = [ranked.agg(F.lit("adaptive ranks").alias("algorithm"), F.sum(F.col("rounds") * F.col("degree")).alias("masked"), (F.sum("degree") * iters).alias("unmasked"), (F.count(F.lit(1)) * iters / F.sum("rounds")).alias("bound"))]
+    e = M.oriented(dense)
+    out = persist(e.groupBy("a").agg(F.count(F.lit(1)).alias("n")))
+    lists = e.join(out.select(F.col("a").alias("b"), F.col("n").alias("m")), "b", "left").agg(F.sum("m").alias("masked"), F.count(F.lit(1)).alias("edges"))
+    pairs = e.select("a", F.col("b").alias("x")).join(e.select(F.col("a").alias("x"), F.col("b").alias("y")), "x")
+    whole = pairs.agg(F.count(F.lit(1)).alias("unmasked"), F.count_distinct("a", "y").alias("outputs"))
+    parts.append(lists.crossJoin(whole).select(F.lit("triangles").alias("algorithm"), "masked", "unmasked", (F.col("outputs") / F.col("edges")).alias("bound")))  # each side is one row
+    t = source_traces(g, persist(bfs_multi(g, sources)))
+    parts.append(t.agg(F.lit("batched centrality").alias("algorithm"), F.sum("in_edges_u").alias("masked"), (F.count(F.lit(1)) * g.nnz).alias("unmasked"), (F.count(F.lit(1)) * g.M / F.sum("nnz_u")).alias("bound")))
+    log: list[DataFrame] = []
+    A.mis(g, log=log)
+    open_ = [c.join(ins, "id").agg(F.sum("degree").alias("d"), F.count(F.lit(1)).alias("n")) for c in log]
+    rounds = open_[0]
+    for r in open_[1:]:
+        rounds = rounds.unionByName(r)
+    parts.append(rounds.agg(F.lit("independent set").alias("algorithm"), F.sum("d").alias("masked"), (F.count(F.lit(1)) * g.nnz).alias("unmasked"), (F.count(F.lit(1)) * g.M / F.sum("n")).alias("bound")))
+    mine = wanted.join(x.groupBy("i").agg(F.count(F.lit(1)).alias("n")), "i").agg(F.sum("n").alias("masked"), F.count(F.lit(1)).alias("wanted"))
+    formed = x.select("i", F.col("j").alias("k")).join(w.select(F.col("i").alias("k"), "j"), "k").agg(F.count(F.lit(1)).alias("unmasked"), F.count_distinct("i", "j").alias("outputs"))
+    parts.append(mine.crossJoin(formed).select(F.lit("sparse layers").alias("algorithm"), "masked", "unmasked", (F.col("outputs") / F.col("wanted")).alias("bound")))
+    both = parts[0]
+    for p in parts[1:]:
+        both = both.unionByName(p)
+    return both.select("algorithm", F.col("masked").cast("bigint").alias("masked"), F.col("unmasked").cast("bigint").alias("unmasked"), F.round(F.col("unmasked") / F.col("masked"), 6).alias("ratio"), F.round("bound", 6).alias("bound"))
+
+
 def generality(g: Graph, mask: DataFrame) -> DataFrame:
     """(masked, unmasked, ratio, bound): what a mask of known output saves on one row product."""
     sizes = mask.agg(F.count(F.lit(1)).alias("nm")).crossJoin(g.vertices().agg(F.count(F.lit(1)).alias("m")))
@@ -192,5 +264,3 @@ def one_step(spark: SparkSession, g: Graph) -> DataFrame:
         out = one if out is None else out.unionByName(one)
     return out
 
-
-PUSH_PULL = (PushOnly, PullOnly)

@@ -11,8 +11,10 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's checkpoint folder; a temporary one only where none is set (tests)."""
+    """The session's checkpoint folder; a temporary one only where none is set and all runs on one machine (tests)."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not where and spark.sparkContext.master.split("[")[0] != "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     return (where or os.path.join(tempfile.gettempdir(), "sparsehop-checkpoints")).rstrip("/")
 
 
@@ -32,3 +34,14 @@ def commit(df: DataFrame, path: str) -> tuple[DataFrame, int]:
     seen = Observation()
     df.observe(seen, F.count(F.lit(1)).alias("n")).write.mode("overwrite").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path), int(seen.get["n"])
+
+
+def forget(df: DataFrame) -> None:
+    """Remove the folders behind a frame that ``persist`` or ``commit`` read back, once a later state has taken its place."""
+    spark = df.sparkSession
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    root = shared_dir(spark)
+    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        path = jvm.org.apache.hadoop.fs.Path(folder)
+        if root.split(":")[-1] in folder:
+            path.getFileSystem(conf).delete(path, True)

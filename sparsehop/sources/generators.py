@@ -13,13 +13,17 @@ MODULUS, STEP = 2**31 - 1, 48_271
 def recursive_pairs(spark: SparkSession, scale: int, edge_factor: int) -> DataFrame:
     """(src, dst): edge_factor * 2**scale raw pairs; each round picks a quadrant by thousandths 570, 190, 190, 50."""
     h = F.pmod(F.col("id") * 2_654_435_761 + 12_345, F.lit(MODULUS))
-    df = spark.range(edge_factor << scale).select(h.alias("h"), F.lit(0).cast("bigint").alias("src"), F.lit(0).cast("bigint").alias("dst"))
-    for _ in range(scale):
-        t = F.col("h") % 1000
-        right = (((t >= 570) & (t < 760)) | (t >= 950)).cast("bigint")
-        down = (t >= 760).cast("bigint")
-        df = df.select(F.pmod(F.col("h") * STEP, F.lit(MODULUS)).alias("h"), (F.col("src") * 2 + down).alias("src"), (F.col("dst") * 2 + right).alias("dst"))
-    return df.select("src", "dst")
+    start = spark.range(edge_factor << scale).select(h.alias("h"))
+    # round k draws start * STEP**k, so the rounds are columns of one projection and not a tower of them
+    draws = start.select(*[(F.pmod(F.col("h") * pow(STEP, k, MODULUS), F.lit(MODULUS)) % 1000).cast("int").alias(f"t{k}") for k in range(scale)])
+
+    def number(bit):
+        total = F.lit(0).cast("bigint")
+        for k in range(scale):
+            total = total + F.when(bit(F.col(f"t{k}")), F.lit(1 << (scale - 1 - k)).cast("bigint")).otherwise(F.lit(0).cast("bigint"))
+        return total
+
+    return draws.select(number(lambda t: t >= 760).alias("src"), number(lambda t: ((t >= 570) & (t < 760)) | (t >= 950)).alias("dst"))
 
 
 def kron(spark: SparkSession, scale: int, edge_factor: int) -> Graph:

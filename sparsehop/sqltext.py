@@ -104,11 +104,12 @@ def betweenness(name: str, sources: str, depth: int) -> str:
     return f"{out} SELECT vx.id, round(coalesce(s, 0), 6) AS score FROM vx LEFT JOIN (SELECT id, sum(delta) AS s FROM ({every}) WHERE source <> id GROUP BY id) USING (id)"
 
 
-def mis(name: str, rounds: int) -> str:
+def mis(name: str, rounds: int, tail: str | None = None) -> str:
+    """Rounds as CTEs: c0, c1, ... the candidates and w1, w2, ... the chosen; all chosen, or what ``tail`` asks."""
     out = f"WITH {graph(name)}, c0 AS (SELECT id, ((id % 1000003) * 48271 + 12345) % 1000003 AS p FROM vx)"
     won = []
     for i in range(1, rounds + 1):
         out += f""", w{i} AS MATERIALIZED (SELECT c.id FROM c{i - 1} c WHERE NOT EXISTS (SELECT 1 FROM e JOIN c{i - 1} o ON o.id = e.src WHERE e.dst = c.id AND (o.p, o.id) > (c.p, c.id))),
  c{i} AS MATERIALIZED (SELECT * FROM c{i - 1} WHERE id NOT IN (SELECT id FROM w{i}) AND id NOT IN (SELECT e.dst FROM e JOIN w{i} ON w{i}.id = e.src))"""
         won.append(f"SELECT id FROM w{i}")
-    return f"{out} {' UNION ALL '.join(won)}"
+    return f"{out} {tail or ' UNION ALL '.join(won)}"

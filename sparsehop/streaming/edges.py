@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,9 +33,19 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
         out, mark = new_path(spark, "sink"), new_path(spark, "mark")
         stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", mark).outputMode("append").trigger(availableNow=True).start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(out)
-    name = "sink_" + uuid.uuid4().hex
-    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", new_path(spark, "mark")).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+    root = new_path(spark, "sink")
+    last: list[int] = []
+
+    def keep(df: DataFrame, batch: int) -> None:
+        """A batch is one folder, written whole, so a batch that runs again replaces itself."""
+        df.write.mode("overwrite").parquet(f"{root}/batch={batch}")
+        last.append(batch)
+
+    stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", new_path(spark, "mark")).trigger(availableNow=True).start().awaitTermination()
+    if not last:
+        return spark.createDataFrame([], stream.schema)
+    # a complete result is all of its last batch; updates are all batches, each row the state when it was given
+    return spark.read.schema(stream.schema).parquet(f"{root}/batch={max(last)}" if mode == "complete" else root)
 
 
 class DepthState:
@@ -70,10 +78,12 @@ def incremental_depths(stream: DataFrame, source: int) -> DataFrame:
     return state.depths.select("id", F.col("val").cast("int").alias("depth"))
 
 
-def stateful_degree(edges: DataFrame, timeout_ms: int = 3_600_000) -> DataFrame:
-    """(src, degree): a running degree of each source as batches arrive; a state that stays idle past the timeout goes.
+def stateful_degree(edges: DataFrame, idle_ms: int = 3_600_000) -> DataFrame:
+    """(src, degree): a running degree of each source as batches arrive; ``edges`` has src, dst and the watermarked ts.
 
-    Update mode: a source is given again whenever its degree grows.
+    A state goes once the watermark has passed its last edge by ``idle_ms``: time is the
+    data's own, so a stream that has read all its input ends. Update mode: a source is
+    given again whenever its degree grows.
     """
     import pandas as pd
     from pyspark.sql.streaming.state import GroupStateTimeout
@@ -82,9 +92,11 @@ def stateful_degree(edges: DataFrame, timeout_ms: int = 3_600_000) -> DataFrame:
         if state.hasTimedOut:
             state.remove()
             return
-        n = (state.get[0] if state.exists else 0) + sum(len(b) for b in batches)
-        state.update((n,))
-        state.setTimeoutDuration(timeout_ms)
+        n, latest = state.get if state.exists else (0, 0)
+        for b in batches:
+            n, latest = n + len(b), max(latest, int(b["ts"].max().timestamp() * 1000))
+        state.update((n, latest))
+        state.setTimeoutTimestamp(max(latest + idle_ms, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame({"src": [key[0]], "degree": [n]})
 
-    return edges.groupBy("src").applyInPandasWithState(grow, "src bigint, degree bigint", "degree bigint", "update", GroupStateTimeout.ProcessingTimeTimeout)
+    return edges.groupBy("src").applyInPandasWithState(grow, "src bigint, degree bigint", "degree bigint, latest bigint", "update", GroupStateTimeout.EventTimeTimeout)

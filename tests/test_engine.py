@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 from sparsehop.functions import semiring as S
 from sparsehop.functions import vector as V
 from sparsehop.graph import Graph
-from sparsehop.layout import segment
+from sparsehop.layout import LONGEST, bucketed, placed, segment
 from sparsehop.operators import algorithms as A
 from sparsehop.operators import baselines as B
 from sparsehop.operators import kernels as K
@@ -16,8 +16,10 @@ from sparsehop.options import BfsOptions, MatvecOptions
 from sparsehop.plans import cost as C
 from sparsehop.plans import workloads as W
 from sparsehop.plans.direction import BestOfBoth, EdgeRule, PullOnly, PushOnly, RatioRule, Schedule
+from sparsehop.plans.metrics import physical
 from sparsehop.sources import generators as G
 from sparsehop.sources import tables as T
+from sparsehop.streaming import edges as E
 
 from .reference import adjacency, depths, parents, trace
 
@@ -251,3 +253,63 @@ def test_timed_workloads_take_all_graphs_and_ten_runs(spark, monkeypatch):
     assert queries["workload_compare"](spark, "").count() == 2 * len(names)
     assert queries["workload_compare_by_type"](spark, "").count() == 1
     assert seen == [(names, 10), (names, 10)]
+
+
+def test_a_hub_of_a_million_neighbours_is_many_rows(spark):
+    n = 1_000_000
+    g = Graph(spark.range(1, n + 1).select(F.col("id").alias("src"), F.lit(0).cast("bigint").alias("dst")).union(spark.createDataFrame([(1, 2), (5, 2)], "src bigint, dst bigint")), directed=True)
+    rows = segment(g, LONGEST, 1).select("vertex", "seg", F.size("nbrs").alias("n"), F.element_at("nbrs", 1).alias("low")).filter("vertex = 0").collect()
+    assert max(r.n for r in rows) == LONGEST and sum(r.n for r in rows) == n
+    assert sorted((r.seg, r.low) for r in rows) == [(k, 1 + k * LONGEST) for k in range(-(-n // LONGEST))]
+    x = spark.createDataFrame([(n,), (77,)], "id bigint")
+    hit = K.probe_rows(g, x, spark.createDataFrame([(3,)], "id bigint"), "left_anti", MatvecOptions()).collect()
+    assert [(r.id, r.parent) for r in hit] == [(0, 77)]
+
+
+def test_places_do_not_depend_on_ranges(spark):
+    pairs = [(s, d) for d in range(3) for s in range(d, 4000 * (d + 1), d + 1)]
+    df = spark.createDataFrame(pairs, "src bigint, dst bigint").repartition(7)
+    got = {(r.src, r.dst): r.at for r in placed(df).collect()}
+    want, seen = {}, {}
+    for s, d in sorted(pairs, key=lambda p: (p[1], p[0])):
+        want[s, d] = seen[d] = seen.get(d, -1) + 1
+    assert got == want
+
+
+def test_words_of_many_ids(spark):
+    ids = spark.range(0, 3_000_000, 7)
+    words = V.all_words(ids, 3_000_000).first().words
+    assert sum(bin(w & (2**64 - 1)).count("1") for w in words) == len(range(0, 3_000_000, 7))
+    assert all((words[i >> 6] >> (i & 63)) & 1 for i in range(0, 3_000_000, 70_007) if i % 7 == 0)
+    assert V.unpack_words(V.pack_words(ids)).agg(F.count("*"), F.sum("id")).first()[:] == (428_572, sum(range(0, 3_000_000, 7)))
+
+
+def test_levels_on_the_bucketed_store_exchange_no_edges(spark):
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        g = bucketed(G.kron(spark, 8, 8))
+        x = g.vertices().select("id", F.lit(True).alias("val"))
+        joined = plan(K.expand(g, x, S.OR_AND, MatvecOptions()))
+        assert "Bucketed: true" in joined
+        moved = physical(K.expand(g, x, S.OR_AND, MatvecOptions()))
+        assert moved["rows"] == g.nnz and 0 < moved["shuffle_rows"] < g.nnz
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_stateful_degrees_end_with_the_data(spark, tmp_path):
+    rows = [(i, f"2024-01-0{1 + i // 4} 00:00:00", i % 3, "view", 1.0, '{"k": %d}' % (i % 2)) for i in range(12)]
+    events = spark.createDataFrame(rows, "event_id bigint, ts string, user_id bigint, event_type string, value double, props string")
+    events.withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.parquet(str(tmp_path / "events"))
+    stream = E.edge_stream(spark, str(tmp_path / "events"), "1 hour").select("src", "dst", "ts")
+    got = {r.src: r.degree for r in E.drain(E.stateful_degree(stream), "update").groupBy("src").agg(F.max("degree").alias("degree")).collect()}
+    assert got == {0: 4, 2: 4, 4: 4}
+
+
+def test_a_search_that_runs_out_of_memory_is_reported(spark, monkeypatch):
+    def fails(g, source):
+        raise RuntimeError("java.lang.OutOfMemoryError: Java heap space")
+
+    monkeypatch.setattr(B, "BASELINES", {"fails": fails})
+    rows = W.compare({"toy": (T.toy(spark), 0, "mesh")}, ["fails"])
+    assert [(r["system"], r["status"], r["ms"]) for r in rows] == [("fails", "out of memory", None)]
