@@ -79,17 +79,18 @@ def _counts(g: Graph, front: DataFrame, visited: DataFrame, needs: tuple[str, ..
     return out
 
 
-def bfs(g: Graph, source: int, rule=None, opts: BfsOptions = BfsOptions(), count: bool = False) -> BfsResult:
+def bfs(g: Graph, source: int, rule=None, opts: BfsOptions = BfsOptions(), count: bool = False, rows: DataFrame | None = None) -> BfsResult:
     """(id, depth[, parent]) of the vertices that a source reaches.
 
     Every level is a written table under one folder, named by its depth, so the
     visited set is that folder, plans stay the same size, and a lost executor
     costs one level. ``count`` adds the deterministic access counters to the trace.
+    ``rows`` is a stored row table (``layout.segment``) that several searches share.
     """
-    return bfs_many(g, [source], rule, opts, count)
+    return bfs_many(g, [source], rule, opts, count, rows)
 
 
-def bfs_many(g: Graph, sources: list[int], rule=None, opts: BfsOptions = BfsOptions(), count: bool = False) -> BfsResult:
+def bfs_many(g: Graph, sources: list[int], rule=None, opts: BfsOptions = BfsOptions(), count: bool = False, rows: DataFrame | None = None) -> BfsResult:
     """A search from the set of sources, all at depth 0."""
     if opts.operand_reuse and opts.max_depth is not None and len(sources) > 1:
         raise ValueError("operand reuse needs whole levels: not with capped searches from several sources")
@@ -101,7 +102,7 @@ def bfs_many(g: Graph, sources: list[int], rule=None, opts: BfsOptions = BfsOpti
     fields = "id bigint, parent bigint" if opts.with_parent else "id bigint"
     start = spark.createDataFrame([(s, None) if opts.with_parent else (s,) for s in sorted(set(sources))], fields)
     front, nnz = commit(start, f"{root}/depth=0")
-    rows = segments = None
+    segments = None
     trace, depth, reached = [], 0, nnz
     while nnz and (opts.max_depth is None or depth < opts.max_depth):
         visited = spark.read.schema(f"{fields}, depth int").parquet(root)
