@@ -23,7 +23,10 @@ find such strings without all pairs of documents or one array over the corpus:
 Removed spans of a document are united and cut from its bytes. Null and empty
 texts have no bytes and no spans. Rows that are equal in doc_id and text are one
 document and get equal results; rows that share a doc_id (null first) but not
-the text are documents in the order of their texts' digests.
+the text are documents in the order of their texts' digests; so are documents
+whose ids are not whole numbers, in the order of the ids.
+
+``repeat_groups`` lists the groups themselves, with every occurrence.
 """
 
 from __future__ import annotations
@@ -139,8 +142,8 @@ def _fold(keys: list[np.ndarray], doc: np.ndarray, start: np.ndarray) -> tuple[n
     return order, np.concatenate([[False], same])[: len(order)]
 
 
-def _collect_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Runs of (doc, text) rows; a slice's own repeats are folded before they are sent anywhere."""
+def _collect_runs(batches: Iterator[pa.RecordBatch], fold: bool = True) -> Iterator[pa.RecordBatch]:
+    """Runs of (doc, text) rows; with ``fold``, a slice's own repeats are folded before they are sent anywhere."""
     common.fresh_worker()
     hasher = Hasher()
     for batch in common.small(batches):
@@ -151,6 +154,9 @@ def _collect_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
             if not len(text):
                 continue
             doc = docs[a:b][text]
+            if not fold:
+                yield _runs_batch(key, c1, c2, doc, start, windows)
+                continue
             order, again = _fold([key, c1, c2], doc, start)
             # a repeat inside the slice is certain to have an earlier start: it needs its span alone
             gone, kept = order[again], order[~again]
@@ -284,7 +290,7 @@ def maximal_repeats(contexts: list[bytes], windows: list[int]) -> Iterator[tuple
             yield length, [*zip(owner[low : high + 1].tolist(), (order[low : high + 1] - starts[owner[low : high + 1]]).tolist(), strict=True)]
 
 
-REPEATS = "repeat string, length int, doc bigint, start int, earlier boolean"
+REPEATS = "repeat string, length int, doc bigint, start int, earlier boolean, context_doc bigint, context_start int"
 
 
 def _arrays(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -295,17 +301,17 @@ def _arrays(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     def packed(rows: list[tuple]) -> pa.RecordBatch:
         columns = [*zip(*rows, strict=True)]
-        types = (pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.bool_())
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["repeat", "length", "doc", "start", "earlier"])
+        types = (pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.bool_(), pa.int64(), pa.int32())
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["repeat", "length", "doc", "start", "earlier", "context_doc", "context_start"])
 
     def finish() -> Iterator[pa.RecordBatch]:
         """Intervals nest, so their occurrences can be many more than the contexts: they leave as they are found."""
         rows: list[tuple] = []
         contexts, counts = [h[4] for h in held], [h[3] - WINDOW + 1 for h in held]
         for k, (length, places) in enumerate(maximal_repeats(contexts, counts) if len(held) > 1 else ()):
-            spots = sorted({(held[c][1], held[c][2] + o) for c, o in places})
-            name = f"{held[places[0][0]][0]}:{spots[0][0]}:{spots[0][1]}:{k}"
-            rows += [(name, length, doc, start, i > 0) for i, (doc, start) in enumerate(spots)]
+            spots = sorted({(held[c][1], held[c][2] + o): (held[c][1], held[c][2]) for c, o in places}.items())
+            name = f"{held[places[0][0]][0]}:{spots[0][0][0]}:{spots[0][0][1]}:{k}"
+            rows += [(name, length, *spot, i > 0, *context) for i, (spot, context) in enumerate(spots)]
             if len(rows) > 5000:
                 yield packed(rows)
                 rows = []
@@ -393,6 +399,37 @@ def repeated_passages(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     return removed, repeats
 
 
+def repeat_groups(docs: DataFrame) -> DataFrame:
+    """(repeat, length, doc, start, earlier): every group of repeats with all its occurrences; doc is doc_id, which must be unique.
+
+    Three kinds of groups: whole contexts that stand in several places, maximal
+    repeats that the interval trees find among different contexts, and, under
+    anchors with more than ``MOST_CONTEXTS`` contexts, equal windows. A tree sees one
+    place of each context; all other places of that context are added to its groups.
+    """
+    runs = common.persist_shared(_numbered(docs).select("doc", "text").mapInArrow(lambda batches: _collect_runs(batches, False), RUN))
+    by = ["anchor", "c1", "c2"]
+    heads = runs.groupBy(*by).agg(F.min(F.struct("doc", "start")).alias("head"), F.count(F.lit(1)).alias("n"), F.first("windows").alias("windows"))
+    heads = common.persist_shared(heads.select(*by, F.col("head.doc").alias("context_doc"), F.col("head.start").alias("context_start"), "n", (F.col("windows") + (WINDOW - 1)).alias("length")))
+    hot = common.hot_keys(heads.select(*by, "n"), by, "n")
+    members = common.salted(runs.select(*by, "doc", "start"), by, hot, F.struct("doc", "start")).join(common.repeated_for_salts(heads, by, hot), [*by, "salt"])
+    members = common.persist_shared(members.select("context_doc", "context_start", "doc", "start", "n", "length"))
+    whole = members.filter("n > 1").select(F.concat_ws(":", F.lit("whole"), "context_doc", "context_start").alias("repeat"), "length", "doc", "start")
+    several = heads.groupBy("anchor").agg(F.count(F.lit(1)).alias("contexts")).filter("contexts > 1")
+    judged = heads.join(several, "anchor").select("anchor", F.col("context_doc").alias("doc"), F.col("context_start").alias("start"), "length", "contexts")
+    texts = _with_bytes(docs, judged.filter(F.col("contexts") <= MOST_CONTEXTS), _cut_contexts, "anchor bigint, doc bigint, start int, length int, context binary")
+    parts = texts.repartition("anchor").sortWithinPartitions("anchor", "doc", "start").mapInArrow(_arrays, REPEATS).select("repeat", "length", "start", "context_doc", "context_start")
+    spans = judged.filter(F.col("contexts") > MOST_CONTEXTS)
+    windows = spans.select(F.col("doc").alias("context_doc"), F.col("start").alias("context_start"), F.explode(F.sequence(F.lit(0), F.col("length") - WINDOW)).alias("shift"))
+    hashed = _with_bytes(docs, spans, _cut_windows, RUN).select("c1", "c2", F.col("doc").alias("context_doc"), "start").distinct()
+    placed = hashed.join(windows.withColumn("start", F.col("context_start") + F.col("shift")), ["context_doc", "start"]).select(F.concat_ws(":", F.lit("window"), "c1", "c2").alias("repeat"), F.lit(WINDOW).alias("length"), "start", "context_doc", "context_start")
+    found = parts.unionByName(placed).withColumn("shift", F.col("start") - F.col("context_start")).drop("start")
+    every = found.join(members.select("context_doc", "context_start", "doc", F.col("start").alias("at")), ["context_doc", "context_start"])
+    out = whole.unionByName(every.select("repeat", "length", "doc", (F.col("at") + F.col("shift")).cast("int").alias("start"))).distinct()
+    first = out.groupBy("repeat").agg(F.min(F.struct("doc", "start")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
+    return out.join(first, "repeat").select("repeat", "length", "doc", "start", (F.struct("doc", "start") > F.col("first")).alias("earlier"))
+
+
 def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     common.fresh_worker()
     for batch in common.small(batches):
@@ -424,7 +461,7 @@ def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and kept (the remaining bytes) of each row."""
     doubtful = docs.groupBy("doc_id").agg(F.count("*").alias("n")).filter(F.col("doc_id").isNull() | (F.col("n") > 1))
-    if not doubtful.isEmpty():
+    if not isinstance(docs.schema["doc_id"].dataType, T.IntegralType) or not doubtful.isEmpty():
         apart = _told_apart(docs)
         done = remove_repeats(apart.select(F.col("number").alias("doc_id"), "text")).withColumnRenamed("doc_id", "number")
         named = apart.select("doc_id", "digest", "number").join(done, "number")

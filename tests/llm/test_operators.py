@@ -182,6 +182,35 @@ def test_interval_tree_gives_all_occurrences():
     assert not [1 for n, places in found if n < 100 or len(places) < 2]
 
 
+@pytest.mark.parametrize("most", [2000, 1])
+def test_groups_hold_all_occurrences(spark, monkeypatch, most):
+    monkeypatch.setattr(suffix, "MOST_CONTEXTS", most)
+    shared = [prose(70 + i, 60) for i in range(3)]
+    texts = [f"{prose(i, 20)} {shared[i % 3]} {prose(40 + i, 20)}" for i in range(9)] + [shared[0], shared[0] + " tail " + shared[1][:150], shared[1]]
+    docs = spark.createDataFrame([*enumerate(texts)], SCHEMA)
+    groups = {}
+    for r in suffix.repeat_groups(docs).collect():
+        groups.setdefault(r.repeat, []).append((r.doc, r.start, r.length, r.earlier))
+    raw, covered = [t.encode() for t in texts], set()
+    for name, places in groups.items():
+        strings = {raw[d][s : s + n] for d, s, n, _ in places}
+        assert len(strings) == 1 and len(places) > 1, name
+        (string,) = strings
+        everywhere = [(d, k) for d, t in enumerate(raw) for k in range(len(t) - len(string) + 1) if t.startswith(string, k)]
+        # a whole context is one of several contexts that hold its bytes; the trees' and windows' groups are complete
+        assert {(d, s) for d, s, _, _ in places} <= set(everywhere) and (name.startswith("whole") or sorted((d, s) for d, s, _, _ in places) == everywhere), name
+        assert [e for *_, e in sorted(places)] == [False] + [True] * (len(places) - 1)
+        covered |= {(d, k) for d, s, n, e in places if e for k in range(s, s + n)}
+    gone = {r.doc_id: r.n_removed for r in suffix.remove_repeats(docs).collect()}
+    assert gone == {d: sum(x == d for x, _ in covered) for d in range(len(texts))} and sum(gone.values())
+
+
+def test_ids_that_are_no_numbers(spark):
+    t = prose(5, 60)
+    rows = {r.doc_id: r.n_removed for r in suffix.remove_repeats(spark.createDataFrame([("b", t), ("a", t)], "doc_id string, text string")).collect()}
+    assert rows == {"a": 0, "b": len(t)}
+
+
 def test_rows_that_share_an_id(spark):
     t = prose(3, 60)
     rows = suffix.remove_repeats(spark.createDataFrame([(1, t), (1, t), (2, t), (None, t), (None, t + " end")], SCHEMA)).collect()
