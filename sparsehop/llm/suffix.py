@@ -380,17 +380,17 @@ def _cut_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def repeated_passages(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(removed spans, maximal repeats): spans are (doc, start, length); repeats are REPEATS rows, one an occurrence.
+    """(removed spans, maximal repeats): spans are (doc, start, length); repeats are rows as in REPEATS, one an occurrence.
 
     A whole context that a slice or an anchor folds away is a repeat of its
     representative and appears among the spans; the repeats table holds what the
-    suffix arrays find among distinct contexts.
+    suffix arrays find among distinct contexts, and ``repeat_groups`` has both.
     """
     runs = _numbered(docs).select("doc", "text").mapInArrow(_collect_runs, RUN)
     found = common.persist_shared(_deal(runs))
     contested = found.filter(F.col("kind") == CONTESTED)
     contexts = _with_bytes(docs, contested, _cut_contexts, "anchor bigint, doc bigint, start int, length int, context binary")
-    repeats = common.persist_shared(contexts.repartition("anchor").sortWithinPartitions("anchor", "doc", "start").mapInArrow(_arrays, REPEATS))
+    repeats = common.persist_shared(contexts.repartition("anchor").sortWithinPartitions("anchor", "doc", "start").mapInArrow(_arrays, REPEATS).drop("context_doc", "context_start"))
     removed = found.filter(F.col("kind") == REMOVED).select("doc", "start", "length").unionByName(repeats.filter("earlier").select("doc", "start", "length"))
     crowded = found.filter(F.col("kind") == CROWDED)
     if not crowded.isEmpty():
