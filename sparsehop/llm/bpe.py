@@ -28,7 +28,7 @@ from . import common
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: Bytes, as Python holds them, of the pre-tokens with their ids that one generation of a worker's memory takes.
-CACHE_BYTES = 80_000_000
+CACHE_BYTES = 48_000_000
 #: Pairs of ids whose rank a worker remembers.
 CACHE_PAIRS = 200_000
 #: Bytes of text that are split at once, and of new pre-tokens that are encoded together.
