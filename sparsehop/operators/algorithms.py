@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+from copy import copy
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.semiring import COUNT_TIMES, MIN_FIRST, MIN_PLUS, PLUS_TIMES
 from ..graph import Graph
-from ..plans.direction import PULL, TwoPhase
+from ..plans.direction import PULL, RatioRule, TwoPhase
 from ..plans.direction import Level as Seen
 from ..runtime import commit, forget, new_path, persist
 from . import kernels as K
@@ -70,54 +72,107 @@ def pagerank(g: Graph, damping: float = 0.85, iters: int = 10, freeze_tol: float
     return rank.select("id", F.col("val").alias("rank"), F.col("frozen").alias("frozen_at"))
 
 
-def personalized_pagerank(g: Graph, seeds: DataFrame, damping: float = 0.85, iters: int = 10, switch: float = 0.01) -> DataFrame:
-    """(id, rank): mass starts at and returns to the seeds; columns while the active set is small, rows later.
+def personalized_pagerank(g: Graph, seeds: DataFrame, damping: float = 0.85, iters: int = 10, switch: float = 0.01, rule=None, operand_reuse: bool = True, tol: float = 0.0) -> DataFrame:
+    """(id, rank): mass starts at and returns to the seeds; a rule picks columns or rows each round.
 
-    A vertex without out-edges sends its mass back to the seeds.
+    A vertex without out-edges sends its mass back to the seeds. The frontier is the
+    set of ranks that moved by more than ``tol`` in the last round, and a push sends
+    on their changes alone. A pull with operand reuse reads the ranks themselves, which gives the
+    same result; so does a push where ``tol`` is 0, as no rank is left out there.
+    Changes up to ``tol`` are kept but not sent on.
     """
+    rule = rule or RatioRule(switch, switch)
     base = seeds.select("id").distinct()
     n = base.count()
+    if not n:
+        return base.withColumn("rank", F.lit(0.0))
     start = persist(base.select("id", F.lit(1.0 / n).alias("val")), "seeds")
     rank, nnz = commit(start, new_path(g.edges.sparkSession, "ppr"))
     out = g.out_degrees().withColumnRenamed("degree", "out")
     pattern = Graph(g.pattern().withColumn("val", F.lit(1.0)), g.directed)
+    before = None
     for _ in range(iters):
-        share = rank.join(out, "id", "left")
+        pull = rule.next(Seen(nnz, g.M)) == PULL
+        whole = before is None or (operand_reuse and (pull or tol == 0))
+        share = (rank if whole else _changes(rank, before, tol)).join(out, "id", "left")
         loose = F.broadcast(share.agg(F.coalesce(F.sum(F.when(F.col("out").isNull(), F.col("val"))), F.lit(0.0)).alias("loose")))
         x = share.filter("out IS NOT NULL").select("id", (F.col("val") / F.col("out")).alias("val"))
-        y = K.col_mxv(pattern, x, PLUS_TIMES) if nnz <= switch * g.M else K.row_masked_mxv(pattern, x, g.vertices(), PLUS_TIMES)
-        back = start.join(loose).select("id", ((1 - damping) * F.col("val") + damping * F.col("loose") * F.col("val")).alias("val"))
-        old, (rank, nnz) = rank, commit(K.accumulate(y.select("id", (damping * F.col("val")).alias("val")), back, PLUS_TIMES), new_path(g.edges.sparkSession, "ppr"))
-        forget(old)
+        y = K.row_masked_mxv(pattern, x, g.vertices(), PLUS_TIMES) if pull else K.col_mxv(pattern, x, PLUS_TIMES)
+        back = start.join(loose).select("id", (((1 - damping) * F.col("val") if whole else F.lit(0.0)) + damping * F.col("loose") * F.col("val")).alias("val"))
+        after = K.accumulate(y.select("id", (damping * F.col("val")).alias("val")), back, PLUS_TIMES)
+        gone, before = before, rank
+        rank, nnz = commit(after if whole else K.accumulate(before, after, PLUS_TIMES), new_path(g.edges.sparkSession, "ppr"))
+        if gone is not None:
+            forget(gone)
+        if tol > 0:
+            nnz = _changes(rank, before, tol).count()
+            if not nnz:
+                break
+    if before is not None:
+        forget(before)
     return rank.select("id", F.col("val").alias("rank"))
 
 
-def betweenness(g: Graph, sources: DataFrame, batch: int = 64) -> DataFrame:
+def _changes(new: DataFrame, old: DataFrame, tol: float) -> DataFrame:
+    """(id, val): by how much the values moved, where that is more than ``tol``."""
+    both = new.select("id", F.col("val").alias("now")).join(old.select("id", F.col("val").alias("then")), "id", "full")
+    return both.select("id", (F.coalesce("now", F.lit(0.0)) - F.coalesce("then", F.lit(0.0))).alias("val")).filter(F.abs("val") > tol)
+
+
+def betweenness(g: Graph, sources: DataFrame, batch: int = 64, rule=None) -> DataFrame:
     """(id, score): dependency sums over the given sources, in batches that advance in step.
 
     Forward: path counts by masked products over (source, vertex), the mask being
-    each source's unvisited vertices. Backward: by depth, each vertex gives its
-    predecessors their share.
+    each source's unvisited vertices; a rule picks the direction by the share of
+    (source, vertex) pairs in the frontier. Backward: by depth, each vertex gives its
+    predecessors their share. A batch has at most 64 sources, the bits of a mask word.
     """
+    if not 0 < batch <= 64:
+        raise ValueError("a batch holds 1 to 64 sources")
     spark = g.edges.sparkSession
     ids = [r.id for r in sources.select("id").distinct().orderBy("id").collect()]  # the batch list is the caller's own
-    parts = [_betweenness_batch(g, spark.createDataFrame([(i,) for i in ids[k : k + batch]], "id bigint")) for k in range(0, len(ids), batch)]
+    if not ids:
+        return g.vertices().select("id", F.lit(0.0).alias("score"))
+    parts = [_betweenness_batch(g, spark.createDataFrame([(i, k) for k, i in enumerate(ids[at : at + batch])], "source bigint, k int"), copy(rule) if rule else RatioRule()) for at in range(0, len(ids), batch)]
     total = parts[0]
     for p in parts[1:]:
         total = total.unionByName(p)
     return g.vertices().join(total.groupBy("id").agg(F.sum("score").alias("score")), "id", "left").select("id", F.coalesce("score", F.lit(0.0)).alias("score"))
 
 
-def _betweenness_batch(g: Graph, sources: DataFrame) -> DataFrame:
+def _paths_pushed(g: Graph, front: DataFrame, seen: DataFrame) -> DataFrame:
+    """(source, id, paths): column product of the frontier, masked after the merge."""
+    grown = g.pattern().join(front.withColumnRenamed("id", "src"), "src").groupBy("source", F.col("dst").alias("id")).agg(F.sum("paths").alias("paths"))
+    return grown.join(seen.select("source", "id", F.lit(True).alias("on")), ["source", "id"], "left").filter("on IS NULL").select("source", "id", "paths")
+
+
+def _paths_pulled(g: Graph, front: DataFrame, seen: DataFrame, members: DataFrame, n: int) -> DataFrame:
+    """The same by masked rows: a word for each vertex has the sources that have not visited it.
+
+    Rows without an open bit are not read, and a neighbour's entries (one a
+    source, at most 64) are sifted by the row's word before they are expanded.
+    """
+    numbers = F.broadcast(members)  # at most 64 rows
+    bit = F.call_function("shiftleft", F.lit(1).cast("bigint"), F.col("k"))
+    visited = seen.join(numbers, "source").groupBy("id").agg(F.bit_or(bit).alias("bits"))
+    every = F.lit(-1 if n == 64 else (1 << n) - 1).cast("bigint")
+    rows = g.vertices().join(visited, "id", "left").select(F.col("id").alias("dst"), every.bitwiseAND(F.bitwise_not(F.coalesce("bits", F.lit(0).cast("bigint")))).alias("open")).filter("open <> 0")
+    lists = front.join(numbers, "source").groupBy(F.col("id").alias("src")).agg(F.collect_list(F.struct("k", "paths")).alias("entries"))
+    read = g.pattern().join(rows, "dst").join(lists, "src")
+    kept = read.select("dst", F.explode(F.filter("entries", lambda e: F.getbit(F.col("open"), e["k"]) == 1)).alias("e"))
+    return kept.groupBy(F.col("e.k").alias("k"), F.col("dst").alias("id")).agg(F.sum("e.paths").alias("paths")).join(numbers, "k").select("source", "id", "paths")
+
+
+def _betweenness_batch(g: Graph, members: DataFrame, rule) -> DataFrame:
     spark, root = g.edges.sparkSession, new_path(g.edges.sparkSession, "paths")
-    front, nnz = commit(sources.select(F.col("id").alias("source"), "id", F.lit(1.0).alias("paths")), f"{root}/depth=0")
-    depth = 0
+    front, nnz = commit(members.select("source", F.col("source").alias("id"), F.lit(1.0).alias("paths")), f"{root}/depth=0")
+    n, depth = nnz, 0
     schema = "source bigint, id bigint, paths double, depth int"
     while nnz:
-        seen = spark.read.schema(schema).parquet(root).select("source", "id", F.lit(True).alias("on"))
-        grown = g.pattern().join(front.withColumnRenamed("id", "src"), "src").groupBy("source", F.col("dst").alias("id")).agg(F.sum("paths").alias("paths"))
+        seen = spark.read.schema(schema).parquet(root).select("source", "id")
+        fresh = _paths_pulled(g, front, seen, members, n) if rule.next(Seen(nnz, g.M * n)) == PULL else _paths_pushed(g, front, seen)
         depth += 1
-        front, nnz = commit(grown.join(seen, ["source", "id"], "left").filter("on IS NULL").select("source", "id", "paths"), f"{root}/depth={depth}")
+        front, nnz = commit(fresh, f"{root}/depth={depth}")
     all_paths = spark.read.schema(schema).parquet(root)
     down = persist(all_paths.filter(F.col("depth") == depth - 1).select("source", "id", "paths", "depth", F.lit(0.0).alias("delta")), "delta")
     done = down

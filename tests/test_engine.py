@@ -313,3 +313,19 @@ def test_a_search_that_runs_out_of_memory_is_reported(spark, monkeypatch):
     monkeypatch.setattr(B, "BASELINES", {"fails": fails})
     rows = W.compare({"toy": (T.toy(spark), 0, "mesh")}, ["fails"])
     assert [(r["system"], r["status"], r["ms"]) for r in rows] == [("fails", "out of memory", None)]
+
+
+@pytest.mark.parametrize("seed", [3])
+def test_ranks_and_centrality_agree_in_every_direction(spark, seed):
+    g = Graph(graph(spark, random_pairs(seed)).edges.cache())
+    seeds = g.vertices().filter("id < 3").select("id")
+    ranks = [
+        {r.id: r.rank for r in A.personalized_pagerank(g, seeds, iters=4, **how).collect()}
+        for how in ({"rule": PushOnly()}, {"rule": PullOnly()}, {"rule": PullOnly(), "operand_reuse": False}, {"rule": Schedule(["push", "pull", "push"]), "tol": 1e-14})
+    ]
+    for other in ranks[1:]:
+        assert other.keys() == ranks[0].keys() and all(abs(other[i] - ranks[0][i]) < 1e-9 for i in other)
+    some = g.vertices().filter("id < 5").select("id")
+    pushed, pulled, mixed = ({r.id: round(r.score, 9) for r in A.betweenness(g, some, 3, rule).collect()} for rule in (PushOnly(), PullOnly(), Schedule(["push", "pull"])))
+    assert pushed == pulled == mixed and max(pushed.values()) > 0
+    assert A.personalized_pagerank(g, seeds.limit(0)).count() == 0 and {r.score for r in A.betweenness(g, seeds.limit(0)).collect()} == {0.0}
