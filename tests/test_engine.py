@@ -329,3 +329,19 @@ def test_ranks_and_centrality_agree_in_every_direction(spark, seed):
     pushed, pulled, mixed = ({r.id: round(r.score, 9) for r in A.betweenness(g, some, 3, rule).collect()} for rule in (PushOnly(), PullOnly(), Schedule(["push", "pull"])))
     assert pushed == pulled == mixed and max(pushed.values()) > 0
     assert A.personalized_pagerank(g, seeds.limit(0)).count() == 0 and {r.score for r in A.betweenness(g, seeds.limit(0)).collect()} == {0.0}
+
+
+def test_waves_read_a_hub_in_the_logarithm_of_its_segments(spark, monkeypatch):
+    from sparsehop import runtime
+
+    n = 60 * LONGEST
+    g = Graph(spark.range(1, n + 1).select(F.col("id").alias("src"), F.lit(0).cast("bigint").alias("dst")).union(spark.createDataFrame([(1, 2), (5, 2)], "src bigint, dst bigint")), directed=True)
+    table = segment(g).cache()
+    last = table.agg(F.max("seg")).first()[0]
+    waves, write = [], runtime.persist
+    monkeypatch.setattr(runtime, "persist", lambda df, name="table": waves.append(name) or write(df, name))
+    for x, want in ((n, [(0, n)]), (5, [(0, 5), (2, 5)]), (n + 7, [])):
+        waves.clear()
+        hit = K.probe_waves(g, spark.createDataFrame([(x,)], "id bigint"), spark.createDataFrame([(3,)], "id bigint"), "left_anti", MatvecOptions(), table, last)
+        assert sorted((r.id, r.parent) for r in hit.collect()) == want
+        assert waves.count("words") == 1 and waves.count("wave") == (1 if x == 5 else 7) < last
