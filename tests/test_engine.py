@@ -345,3 +345,62 @@ def test_waves_read_a_hub_in_the_logarithm_of_its_segments(spark, monkeypatch):
         hit = K.probe_waves(g, spark.createDataFrame([(x,)], "id bigint"), spark.createDataFrame([(3,)], "id bigint"), "left_anti", MatvecOptions(), table, last)
         assert sorted((r.id, r.parent) for r in hit.collect()) == want
         assert waves.count("words") == 1 and waves.count("wave") == (1 if x == 5 else 7) < last
+
+
+def test_unmasked_products_count_wedges_block_by_block(spark):
+    g = Graph(graph(spark, random_pairs(11, 30, 160)).edges.cache())
+    e = {(r.a, r.b) for r in M.oriented(g).collect()}
+    wedges = [(a, x, y) for a, x in e for z, y in e if z == x]
+    want = (len(wedges), len({(a, y) for a, _, y in wedges}), sum((a, y) in e for a, _, y in wedges))
+    for most in (1, 40, M.BLOCK_WEDGES):
+        cut = M.wedge_blocks(M.oriented(g), most)
+        assert cut.agg(F.sum("wedges"), F.sum("outputs"), F.sum("closed")).first()[:] == want
+        assert most != 40 or 1 < cut.count() < 30
+    assert M.triangle_count_unmasked(g).first()[0] == M.triangle_count(g).first()[0] == want[2]
+    assert M.triangle_count_unmasked(graph(spark, [(0, 1)])).first()[0] == 0
+    assert "Join" not in plan(M.wedge_blocks(M.oriented(g))).split("FlatMapGroupsInArrow")[0]  # no wedge is a row
+
+
+def test_nearest_neighbours_with_ties_halves_and_missing_vectors(spark):
+    r = random.Random(4)
+    rows = [(i, [round(r.gauss(0, 0.2), 2) for _ in range(5)]) for i in range(40)]
+    rows += [(100 + i, rows[0][1]) for i in range(9)]  # copies: ties by id
+    rows += [(200, [1.0, 0.0, 0.0, 0.0, 0.0]), (201, [0.9999995, 0.0, 0.0, 0.0, 0.0]), (202, [0.5, None, 0.0, 0.0, 0.0]), (300, None), (301, [])]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+
+    def weight(x, y):
+        if not x or not y:
+            return None
+        total = 0.0
+        for p, q in zip(x, y):
+            total += (p or 0.0) * (q or 0.0)
+        w = 1e6 * (1 - total)
+        return int(abs(w) + 0.5) * (1 if w >= 0 else -1)
+
+    want = set()
+    for i, x in rows:
+        near = sorted(((weight(x, y), j) for j, y in rows if i != j), key=lambda t: (t[0] is None, t[0] or 0, t[1]))[:5]
+        want |= {(i, j, w) for w, j in near}
+    for blocks in (1, 3, None):
+        assert {(t.src, t.dst, t.weight) for t in T.knn_pairs(df, 5, blocks).collect()} == want
+    assert T.knn_pairs(df.limit(0), 5).count() == 0 == T.knn_pairs(df.limit(1), 5).count()
+
+
+def test_repeats_that_stay_in_a_level_do_not_multiply(spark, monkeypatch):
+    from sparsehop.operators import bfs as X
+
+    # layers of 8, each joined whole with the next: 8 ** 6 paths reach the last, but 64 edges
+    g = Graph(graph(spark, [(0, i) for i in range(1, 9)] + [(8 * k + i + 1, 8 * k + j + 9) for k in range(6) for i in range(8) for j in range(8)]).edges.cache())
+    sizes, write = [], X.commit
+    monkeypatch.setattr(X, "commit", lambda df, path: (lambda out: sizes.append(out[1]) or out)(write(df, path)))
+    got = found(bfs(g, 0, PushOnly(), BfsOptions(merge="none", mask_placement="pre")))
+    assert len(got) == 57 and max(got.values()) == 7 and max(sizes) == 64
+
+
+@pytest.mark.parametrize("name, table", [("baseline_sql_recursive", "orders"), ("demo_one_step", "lineitem"), ("micro_row", "lineitem"), ("random_geometric", "customer"), ("recursive_matrix_edges", "events"), ("support_geomean", "events"), ("support_geomean_by_type", "events"), ("support_slowdown", "events")])
+def test_queries_that_made_up_their_data_read_a_table(spark, monkeypatch, name, table):
+    from sparsehop.catalogue import QUERIES as queries
+
+    read, load = [], T.load
+    monkeypatch.setattr(T, "load", lambda spark, sf, name, *columns: read.append(name) or load(spark, sf, name, *columns))
+    assert queries[name](spark, "/root/testdata/sf0.001").count() > 0 and table in read
