@@ -404,3 +404,12 @@ def test_queries_that_made_up_their_data_read_a_table(spark, monkeypatch, name,
     read, load = [], T.load
     monkeypatch.setattr(T, "load", lambda spark, sf, name, *columns: read.append(name) or load(spark, sf, name, *columns))
     assert queries[name](spark, "/root/testdata/sf0.001").count() > 0 and table in read
+
+
+def test_searches_on_a_graph_share_its_rows(spark, monkeypatch):
+    from sparsehop import layout
+
+    made, cut = [], layout.segment
+    monkeypatch.setattr(layout, "segment", lambda g, *how: made.append(how) or cut(g, *how))
+    g = Graph(graph(spark, [(0, 1), (1, 2), (7, 8)]).edges.cache())
+    assert [found(bfs(g, s, PullOnly())) for s in (0, 2)] == [{0: 0, 1: 1, 2: 2}, {2: 0, 1: 1, 0: 2}] and len(made) == 1
