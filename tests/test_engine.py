@@ -397,6 +397,19 @@ def test_repeats_that_stay_in_a_level_do_not_multiply(spark, monkeypatch):
     assert len(got) == 57 and max(got.values()) == 7 and max(sizes) == 64
 
 
+def test_large_levels_are_never_sent_whole_whatever_their_files_weigh(spark, monkeypatch):
+    from sparsehop.operators import bfs as X
+
+    monkeypatch.setattr(X, "SENT_ROWS", 2, raising=False)
+    g = Graph(graph(spark, [(i, j) for k in range(3) for i in range(4 * k, 4 * k + 4) for j in range(4 * k + 4, 4 * k + 8)]).edges.cache())
+    plans, write = [], X.commit
+    monkeypatch.setattr(X, "commit", lambda df, path: plans.append(df._jdf.queryExecution().executedPlan().toString()) or write(df, path))
+    got = found(bfs(g, 0, PushOnly(), BfsOptions(merge="none", mask_placement="pre")))
+    assert got == {0: 0, **{4 + i: 1 for i in range(4)}, **{i: 2 for i in (1, 2, 3, 8, 9, 10, 11)}, **{12 + i: 3 for i in range(4)}}
+    # the third level: 7 vertices ask and 12 are known
+    assert "Broadcast" not in plans[3] and "LeftAnti" not in plans[3] and "Broadcast" in plans[1]
+
+
 @pytest.mark.parametrize("name, table", [("baseline_sql_recursive", "orders"), ("demo_one_step", "lineitem"), ("micro_row", "lineitem"), ("random_geometric", "customer"), ("recursive_matrix_edges", "events"), ("support_geomean", "events"), ("support_geomean_by_type", "events"), ("support_slowdown", "events")])
 def test_queries_that_made_up_their_data_read_a_table(spark, monkeypatch, name, table):
     from sparsehop.catalogue import QUERIES as queries
