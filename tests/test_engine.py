@@ -410,6 +410,24 @@ def test_large_levels_are_never_sent_whole_whatever_their_files_weigh(spark, mon
     assert "Broadcast" not in plans[3] and "LeftAnti" not in plans[3] and "Broadcast" in plans[1]
 
 
+def test_double_sweep_of_a_long_road_is_no_job_for_each_level(spark, monkeypatch):
+    from sparsehop.operators import bfs as X
+
+    road = Graph(graph(spark, [(i, i + 1) for i in range(5, 300)] + [(900, 901)]).edges.cache())
+    levels, write = [], X.commit
+    monkeypatch.setattr(X, "commit", lambda df, path: levels.append(path) or write(df, path))
+    assert X.double_sweep(road, 290) == (300, 295) and len(levels) < 10
+    near = Graph(graph(spark, [(0, 1), (1, 2), (2, 0), (2, 3), (2, 4), (4, 5), (3, 6), (8, 9)]).edges.cache())
+    oneway = Graph(graph(spark, [(0, 1), (0, 2), (2, 3)]).edges.filter("src < dst"), True)
+    for g, start in ((near, 0), (near, 5), (near, 9), (oneway, 0), (oneway, 3)):
+        assert X.double_sweep(g, start) == X.double_sweep(g, start, 0)
+    alone = Graph(near.edges, False, spark.range(20))
+    assert X.double_sweep(alone, 15) == (15, 0)
+    for most in (0, 100):
+        with pytest.raises(ValueError):
+            X.double_sweep(near, 77, most)
+
+
 @pytest.mark.parametrize("name, table", [("baseline_sql_recursive", "orders"), ("demo_one_step", "lineitem"), ("micro_row", "lineitem"), ("random_geometric", "customer"), ("recursive_matrix_edges", "events"), ("support_geomean", "events"), ("support_geomean_by_type", "events"), ("support_slowdown", "events")])
 def test_queries_that_made_up_their_data_read_a_table(spark, monkeypatch, name, table):
     from sparsehop.catalogue import QUERIES as queries
