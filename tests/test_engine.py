@@ -410,6 +410,17 @@ def test_large_levels_are_never_sent_whole_whatever_their_files_weigh(spark, mon
     assert "Broadcast" not in plans[3] and "LeftAnti" not in plans[3] and "Broadcast" in plans[1]
 
 
+def test_words_are_packed_with_one_exchange_of_ids(spark):
+    from sparsehop.functions import vector as V
+
+    ids = spark.createDataFrame([(i,) for i in (0, 1, 7, 8, 62, 63, 63, 64, 32_767, 32_768, 90_000, 200_000, -5, None)], "id bigint")
+    packed = V.all_words(ids, 100_000)
+    words = packed.first().words
+    assert [i for i in range(64 * len(words)) if words[i >> 6] >> (i & 63) & 1] == [0, 1, 7, 8, 62, 63, 64, 32_767, 32_768, 90_000] and len(words) == 4 * 512
+    # one by block, one to lay the blocks end to end
+    assert packed._jdf.queryExecution().executedPlan().toString().count("Exchange ") == 2
+
+
 def test_double_sweep_of_a_long_road_is_no_job_for_each_level(spark, monkeypatch):
     from sparsehop.operators import bfs as X
 
