@@ -63,7 +63,7 @@ def occurrences(docs: DataFrame, edits: int | None = None, least: int = MIN_CHAR
     if below is not None:
         long = long.filter(F.col("size") < below)
     own = [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2")]
-    probes = [] if edits is None else [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits, F.col("size")))]
+    probes = [] if edits is None else [k.alias(f"p{n}") for n, k in enumerate(probe_keys(F.col("line"), edits, F.col("size"), least))]
     return long.select(*own, _place().alias("place"), *probes)
 
 
@@ -88,7 +88,7 @@ def parities_agree(a: Column, b: Column, edits: int) -> Column:
 def _bounds(length: Column, segment: int, edits: int) -> tuple[Column, Column]:
     """0-based start and size of a segment; the later segments take the characters that are left over."""
     parts = edits + 1
-    size, rest = F.floor(length / parts), length % parts
+    size, rest = F.call_function("div", length, F.lit(parts)).cast("int"), length % parts
     longer = F.greatest(rest - (parts - segment), F.lit(0))
     start = F.lit(segment) * size + longer
     return start.cast("int"), (size + F.when(rest > parts - 1 - segment, 1).otherwise(0)).cast("int")
@@ -98,18 +98,21 @@ def _key(line: Column, segment: int, length: Column, start: Column, size: Column
     return F.xxhash64(F.lit(segment), length, F.substring(line, start + 1, size))
 
 
-def probe_keys(line: Column, edits: int, length: Column) -> list[Column]:
+def probe_keys(line: Column, edits: int, length: Column, least: int = 0) -> list[Column]:
     """Keys of the substrings at which a line no longer than this one may have its segments.
 
     With d characters less and s segments before it, a segment lies at most s places to the left
     of its own start and, counted from the end, at most edits - s places to the right of it.
+    Where no line is shorter than ``least`` and every segment has a character, none leaves the line:
+    the s before it and the edits - s after it hold one character each at least.
     """
     keys = []
     for less, s, shift in probe_places(edits):
         other = length - less
         start, size = _bounds(other, s, edits)
         at = start + shift
-        keys.append(F.when((other > 0) & (at >= 0) & (at + size <= length), _key(line, s, other, at, size)))
+        key = _key(line, s, other, at, size)
+        keys.append(key if least > 2 * edits else F.when((other > 0) & (at >= 0) & (at + size <= length), key))
     return keys
 
 

@@ -734,3 +734,14 @@ def test_merges_that_open_lower_ranks():
     r = random.Random(8)
     many = ["".join(r.choice("abc") for _ in range(r.randrange(1, 14))).encode() for _ in range(800)]
     assert replay.encode(many) == [direct(w) for w in many]
+
+
+def test_line_keys_need_no_guard_where_every_segment_has_a_character(spark):
+    alphabet = "abcdefghij é🙂klmnopqrstuvwxyz0123456789-"
+    df = spark.createDataFrame([(alphabet[k:] + alphabet[:k],) for k in range(3)], "line string").select(F.explode(F.transform(F.sequence(F.lit(5), F.lit(40)), lambda n: F.substring("line", F.lit(1), n))).alias("line")).withColumn("size", F.char_length("line"))
+    sure, guarded = (lines.probe_keys(F.col("line"), 2, F.col("size"), least) for least in (5, 0))
+    both = df.select(*[k.alias(f"a{i}") for i, k in enumerate(sure)], *[k.alias(f"b{i}") for i, k in enumerate(guarded)])
+    assert both.count() == 108 and both.filter(" OR ".join(f"a{i} IS DISTINCT FROM b{i}" for i in range(len(sure)))).count() == 0
+    docs = spark.createDataFrame([(1, "a line of more than twenty characters")], SCHEMA)
+    plan = lines.occurrences(docs, 2)._jdf.queryExecution().optimizedPlan().toString()
+    assert "FLOOR" not in plan.upper() and "xxhash64" in plan
