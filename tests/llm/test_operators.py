@@ -597,6 +597,58 @@ def plane_of(zigzagged, basis):
     return basis @ block @ basis.T
 
 
+def test_payloads_are_colour_images_and_all_their_planes_are_mixed(spark):
+    texts = [prose(3, 60), "x", None]
+    for row, text in zip(sorted(media.media_columns(spark.createDataFrame([*enumerate(texts)], SCHEMA)).collect(), key=lambda r: r.doc_id), texts, strict=True):
+        image = progressive.parse(bytes(row.media))
+        (luma, *chroma), raw = image.components, np.frombuffer(media.payload_of((text or "").encode()), np.uint8)
+        assert [(c.padded[0] * 2, c.padded[1] * 2) for c in chroma] == [luma.padded] * 2
+        assert {p for s in image.scans for p in s.parts} == {0, 1, 2} and len(image.scans) == 3 * len(progressive.SCRIPT)
+        blocks = np.zeros((6 * chroma[0].padded[0] * chroma[0].padded[1], 64), int)
+        blocks.ravel()[: len(raw)] = raw
+        k = np.arange(8)
+        basis = np.cos((2 * k[:, None] + 1) * k * np.pi / 16) * np.where(k == 0, np.sqrt(1 / 8), 0.5)
+        planes, at = [], 0
+        for c, times in ((luma, 1), (chroma[0], 2), (chroma[1], 2)):
+            wide, high = c.padded
+            plane = np.block([[plane_of((blocks[at + y * wide + x] + 256) / np.arange(1, 65), basis) for x in range(wide)] for y in range(high)])
+            planes.append(np.clip(np.rint(plane + 128), 0, 255).repeat(times, 0).repeat(times, 1))
+            at += wide * high
+        y, cb, cr = planes[0], planes[1] - 128, planes[2] - 128
+        want = np.clip(np.rint(np.stack([y + 1.402 * cr, y - 0.344136 * cb - 0.714136 * cr, y + 1.772 * cb], axis=2)), 0, 255)
+        got = np.frombuffer(row.tensor, np.uint8).reshape(row.tensor_shape).astype(int)
+        assert np.abs(got - want).max() <= 3 and (got[..., 0] != got[..., 2]).any()
+        assert row.feature == media.feature_of(got.astype(np.uint8))
+
+
+def flat_image(values, factors, size, names=(1, 2, 3, 4), **marks):
+    """An image whose components have one value each in all of their blocks."""
+    image = progressive.Image(*size, quants={0: np.ones(64, np.int64)}, **marks)
+    most, base, coefs = [max(f[i] for f in factors) for i in (0, 1)], 0, []
+    for name, value, (across, down) in zip(names, values, factors, strict=False):
+        padded = (-(-size[0] // (8 * most[0])) * across, -(-size[1] // (8 * most[1])) * down)
+        image.components.append(progressive.Component(name, across, down, 0, padded, padded, base))
+        base += padded[0] * padded[1]
+        coefs += [[(value - 128) * 8] + [0] * 63] * (padded[0] * padded[1])
+    return image, np.array(coefs)
+
+
+def test_colours_take_every_component_and_any_ratio():
+    whole = [(1, 1)] * 4
+    shown = lambda *a, **k: progressive.rgb(*flat_image(*a, **k))[-1, -1].tolist()
+    assert shown([200, 100, 50, 128], whole, (8, 8), transform=0) == [round(x * 128 / 255) for x in (200, 100, 50)]
+    assert shown([55, 155, 205, 127], whole, (8, 8)) == [round(x * 128 / 255) for x in (200, 100, 50)]
+    assert shown([100, 128, 128, 51], whole, (8, 8), transform=2) == [31, 31, 31]
+    assert shown([9, 80, 200], whole[:3], (8, 8), transform=0) == shown([9, 80, 200], whole[:3], (8, 8), names=b"RGB") == [9, 80, 200]
+    assert shown([9, 80, 200], whole[:3], (8, 8)) == shown([9, 80, 200], whole[:3], (8, 8), names=b"RGB", jfif=True) != [9, 80, 200]
+    assert shown([90, 128, 128], [(3, 3), (2, 1), (1, 2)], (50, 47)) == [90, 90, 90]
+    image, coefs = flat_image([128, 128, 128], [(3, 1), (2, 1), (3, 1)], (24, 8))
+    coefs[4, 0] = 400  # the second component's right block: two blocks stand for three, so from column 12 on
+    assert (np.diff(progressive.rgb(image, coefs)[0, :, 2].astype(int)).nonzero()[0] == [11]).all()
+    with pytest.raises(ValueError):
+        shown([1, 2], whole[:2], (8, 8))
+
+
 def test_near_copies_without_a_doc_id_are_linked(spark):
     base = prose(9, 120, 900).split()
     edited = lambda at: " ".join([*base[:at], "other", *base[at + 1 :]])
