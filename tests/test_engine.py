@@ -455,3 +455,36 @@ def test_searches_on_a_graph_share_its_rows(spark, monkeypatch):
     monkeypatch.setattr(layout, "segment", lambda g, *how: made.append(how) or cut(g, *how))
     g = Graph(graph(spark, [(0, 1), (1, 2), (7, 8)]).edges.cache())
     assert [found(bfs(g, s, PullOnly())) for s in (0, 2)] == [{0: 0, 1: 1, 2: 2}, {2: 0, 1: 1, 0: 2}] and len(made) == 1
+
+
+def test_words_of_few_blocks_take_no_exchange_by_block(spark, monkeypatch):
+    ids = spark.createDataFrame([(0,), (5,), (63,), (64,), (40_000,), (40_000,), (70_001,), (90_000,), (-3,), (None,)], "id bigint")
+    packed = V.all_words(ids, 70_001)
+    assert plan(packed).count("Exchange") == 1
+    monkeypatch.setattr(V, "FEW_BLOCKS", 0)
+    assert packed.first().words == V.all_words(ids, 70_001).first().words
+
+
+def test_stored_rows_without_a_hub_are_pulled_without_a_merge(spark):
+    star = lambda n: Graph.from_edges(spark.range(1, n + 1).select(F.lit(0).cast("bigint").alias("src"), F.col("id").alias("dst")))
+    for n, split in ((50, False), (LONGEST + 9, True)):
+        g, x = star(n), spark.createDataFrame([(3,), (n,)], "id bigint")
+        assert g.stored_rows[1] == split
+        hit = K.probe_rows(g, x, spark.createDataFrame([(9,)], "id bigint"), "left_anti", MatvecOptions(), g.row_store)
+        assert ("functions=[min(parent" in plan(hit)) == split
+        assert [(r.id, r.parent) for r in hit.collect()] == [(0, 3)]
+
+
+def test_traces_from_stored_rows_are_the_same(spark):
+    hub = spark.range(1, LONGEST + 500).select(F.lit(0).cast("bigint").alias("src"), F.col("id").alias("dst"))
+    tail = spark.createDataFrame([(LONGEST + 400, 9000), (9000, 9001), (9001, 9002), (7, 8), (9500, 9501)], "src bigint, dst bigint")
+    g = Graph.from_edges(hub.union(tail))
+    levels = bfs(g, 9002).levels
+    assert sorted(C.trace(g, levels, g.row_store).collect()) == sorted(C.trace(g, levels).collect())
+
+
+def test_edges_are_kept_once_before_they_are_turned(spark):
+    df = spark.createDataFrame([(1, 2), (2, 1), (1, 2), (3, 3), (None, 4), (5, None), (9, 4)], "src int, dst bigint")
+    g = Graph.from_edges(df)
+    assert sorted((r.src, r.dst) for r in g.edges.collect()) == [(1, 2), (2, 1), (4, 9), (9, 4)] and g.edges.columns == ["src", "dst"]
+    assert "Union" not in plan(g.edges)
